@@ -2,18 +2,22 @@
 
 from __future__ import annotations
 
-from . import ngram_join
+from . import chat_format, exact_dedup, ngram_join
 
 
 def queries() -> dict:
     """Query callables by name."""
     return {
+        "op1_chat_format": chat_format.op1_chat_format,
         "op2_ngram_jaccard_join": ngram_join.op2_ngram_jaccard_join,
+        "op9_exact_dedup": exact_dedup.op9_exact_dedup,
     }
 
 
 def oracle_sql() -> dict[str, str]:
     """DuckDB text by query name."""
     return {
+        "op1_chat_format": chat_format.SQL,
         "op2_ngram_jaccard_join": ngram_join.SQL,
+        "op9_exact_dedup": exact_dedup.SQL,
     }
