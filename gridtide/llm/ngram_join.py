@@ -13,8 +13,9 @@ therefore loses no pair.
 
 Sets that share a signature are candidates.  They are compared exactly, first
 with the least member of their signature group (a star, never all pairs), then
-only those pairs whose link is still open: members of different components that
-the triangle inequality does not separate.
+only those pairs whose link is still open: members of different components.
+Before any comparison a 512-bit parity sketch bounds the difference of two sets
+from below, exactly, and drops pairs that cannot reach the similarity.
 """
 
 from __future__ import annotations
@@ -34,8 +35,11 @@ N_WORDS = 5
 NUM, DEN = 80, 100  # similarity as a fraction
 SIG_BYTES, SET_BYTES = 6, 6
 SEEN_MOST = 1 << 18
-CHUNK = 512
+CHUNK = 512  # members of a signature group in one block
 MOST_SCHEMES = 64
+SKETCH = 8  # longs of a parity sketch
+NEED_MOST = 1 << 18  # ids that are broadcast at most
+LONGS = [f"s{i}" for i in range(SKETCH)]
 
 
 def distinct_shingles(hashes: np.ndarray, n: int = N_WORDS) -> np.ndarray:
@@ -116,17 +120,25 @@ def signatures(items: np.ndarray) -> np.ndarray:
     return np.concatenate(out)
 
 
+def parity_sketch(items: np.ndarray) -> np.ndarray:
+    """Bit j is the parity of the items that fall on j; sketches of two sets differ in no more bits than the sets in items."""
+    spread = np.bincount((K.mix(items ^ np.uint64(0xA0761D6478BD642F)) % np.uint64(64 * SKETCH)).astype(np.int64), minlength=64 * SKETCH)
+    return np.packbits((spread & 1).astype(np.uint8)).view(np.uint64)
+
+
 def _describe(batches):
     for batch in K.chunks(batches, "text"):
-        sizes, ones, twos = [], [], []
+        sizes, ones, twos, bits = [], [], [], []
         for items in text_sets(K.Texts(batch.column(1))):
             one, two = set_key(items)
             sizes.append(len(items))
             ones.append(one)
             twos.append(two)
+            bits.append(parity_sketch(items))
+        bits = np.array(bits)
         yield pa.RecordBatch.from_arrays(
-            [batch.column(0), pa.array(sizes, pa.int64()), K.long_array(np.array(ones, np.uint64)), K.long_array(np.array(twos, np.uint64))],
-            names=["doc_id", "n", "h1", "h2"],
+            [batch.column(0), pa.array(sizes, pa.int64()), *(K.long_array(np.array(x, np.uint64)) for x in (ones, twos)), *(K.long_array(bits[:, i]) for i in range(SKETCH))],
+            names=["doc_id", "n", "h1", "h2", *LONGS],
         )
 
 
@@ -223,14 +235,15 @@ class NgramJaccardJoin:
 
     def _verify(self, docs: DataFrame, pairs: DataFrame, tag: str) -> DataFrame:
         """(a, b, common, joint) of each pair, from the whole sets of both texts."""
-        pairs = self.scratch.keep(pairs, f"{tag}-pairs")
         need = pairs.select(F.col("a").alias("doc_id")).unionByName(pairs.select(F.col("b").alias("doc_id"))).distinct()
-        some = docs.join(need, "doc_id", "left_semi").select("doc_id", "text").dropDuplicates(["doc_id"])
-        sets = self.scratch.keep(some.mapInArrow(_sets, "doc long, items binary"), f"{tag}-sets")
+        need = self.scratch.keep(need, f"{tag}-need")
+        few = need.count() <= NEED_MOST
+        some = docs.join(F.broadcast(need) if few else need, "doc_id", "left_semi").select("doc_id", "text")
+        sets = self.scratch.keep(some.mapInArrow(_sets, "doc long, items binary").dropDuplicates(["doc"]), f"{tag}-sets")
         left = pairs.join(sets.select(F.col("doc").alias("a"), F.col("items").alias("x")), "a")
         both = left.join(sets.select(F.col("doc").alias("b"), F.col("items").alias("y")), "b").select("a", "b", "x", "y")
         done = self.scratch.keep(both.mapInArrow(_overlaps, "a long, b long, common long, joint long"), tag)
-        self.scratch.drop(f"{tag}-sets", f"{tag}-pairs")
+        self.scratch.drop(f"{tag}-sets", f"{tag}-need")
         return done
 
     def run(self, documents: DataFrame) -> DataFrame:
@@ -243,7 +256,7 @@ class NgramJaccardJoin:
         """
         keep, scratch = self.scratch.keep, self.scratch
         docs = documents.select(F.col("doc_id").cast("long").alias("doc_id"), F.col("text").cast("string").alias("text"))
-        info = keep(docs.mapInArrow(_describe, "doc_id long, n long, h1 long, h2 long"), "info")
+        info = keep(docs.mapInArrow(_describe, "doc_id long, n long, h1 long, h2 long, " + ", ".join(f"{x} long" for x in LONGS)), "info")
         wide = info.where("n > 0 and doc_id is not null").groupBy("n", "h1", "h2").agg(F.min("doc_id").alias("rep"))
         total = info.agg(F.sum("n")).first()[0] or 0
         parts = max(partitions(self.spark), total // 3_000_000)
@@ -261,26 +274,23 @@ class NgramJaccardJoin:
         heads = entries.groupBy("sig").agg(F.min("doc").alias("lead"))
         starred = keep(entries.join(heads, "sig"), "starred")
         scratch.drop("entries")
+        wanted = starred.select(F.col("doc").alias("doc_id")).distinct()
+        sketch = info.join(wanted, "doc_id", "left_semi").select(F.col("doc_id").alias("doc"), "n", *LONGS).dropDuplicates(["doc"])
+        sketch = keep(sketch, "sketch")
         # each set first meets the least of its leaders
         first = starred.where("doc <> lead").groupBy("doc").agg(F.min("lead").alias("a")).select("a", F.col("doc").alias("b"))
-        known = [self._verify(docs, first, "round-0")]
-        turn = 0
+        checked, turn = None, 0
         while True:
-            checked = known[0]
-            for more in known[1:]:
-                checked = checked.unionByName(more)
+            pairs = first if turn == 0 else self._leader_pairs(starred, labels, checked, sketch) if turn == 1 else self._cross_pairs(starred, labels, checked, sketch, turn)
+            pairs = keep(_possible(pairs, sketch) if turn < 2 else pairs, f"open-{turn}")
+            if turn > 1 and pairs.isEmpty():
+                break
+            done = self._verify(docs, pairs, f"round-{turn}")
+            checked = done if checked is None else checked.unionByName(done)
+            scratch.drop(f"open-{turn}")
             links = checked.where(F.col("common") * DEN >= F.col("joint") * NUM)
             labels = connected(links.select(F.col("b").alias("u"), F.col("a").alias("v")), scratch, f"label-{turn}")
-            labels = labels.select(F.col("node"), "root")
             turn += 1
-            pairs = self._open_pairs(starred, labels, checked, turn)
-            pairs = keep(pairs, f"open-{turn}")
-            if pairs.isEmpty():
-                if turn == 1:
-                    continue
-                break
-            known.append(self._verify(docs, pairs, f"round-{turn}"))
-            scratch.drop(f"open-{turn}")
         degree = links.select(F.explode(F.array("a", "b")).alias("rep")).groupBy("rep").agg(F.count("*").alias("n_links"))
         label = labels.select(F.col("node").alias("rep"), "root")
         found = info.join(wide, ["n", "h1", "h2"], "left").join(label, "rep", "left").join(degree, "rep", "left")
@@ -291,29 +301,50 @@ class NgramJaccardJoin:
             F.coalesce("n_links", F.lit(0)).alias("n_links"),
         )
 
-    def _open_pairs(self, starred: DataFrame, labels: DataFrame, checked: DataFrame, turn: int) -> DataFrame:
-        """Pairs of one signature group whose link is not yet settled by a component or by distances."""
+    def _mixed(self, starred: DataFrame, labels: DataFrame) -> DataFrame:
+        """Members of signature groups that still hold several components, with their component."""
         of = labels.select(F.col("node").alias("doc"), F.col("root").alias("comp"))
         held = starred.join(of, "doc", "left").withColumn("comp", F.coalesce("comp", "doc"))
         mixed = held.groupBy("sig").agg(F.min("comp").alias("lo"), F.max("comp").alias("hi")).where("lo < hi").select("sig")
-        live = held.join(mixed, "sig")
-        dist = checked.select(F.col("a").alias("lead"), F.col("b").alias("doc"), (F.lit(1.0) - F.col("common") / F.col("joint")).alias("d"))
-        live = live.join(dist, ["lead", "doc"], "left").withColumn("d", F.when(F.col("doc") == F.col("lead"), 0.0).otherwise(F.col("d")))
-        if turn == 1:  # every member of a mixed group meets its leader
-            return live.where("d is null and comp is not null").select(F.col("lead").alias("a"), F.col("doc").alias("b")).distinct()
-        # the rest: each far member against members of other components, in blocks of a bounded size
-        live = self.scratch.keep(live, f"live-{turn}")
-        sizes = live.groupBy("sig").agg(F.count("*").alias("m"))
-        live = live.join(sizes, "sig").withColumn("blocks", F.ceil(F.col("m") / CHUNK).cast("int"))
+        return held.join(mixed, "sig")
+
+    def _leader_pairs(self, starred: DataFrame, labels: DataFrame, checked: DataFrame, sketch: DataFrame) -> DataFrame:
+        """Members that their signature's leader has not met and whose component differs."""
+        live = self._mixed(starred, labels)
+        lead = labels.select(F.col("node").alias("lead"), F.col("root").alias("lead_comp"))
+        live = live.where("doc <> lead").select("lead", "doc", "comp").distinct().join(lead, "lead", "left")
+        pairs = live.where(F.coalesce("lead_comp", "lead") != F.col("comp")).select(F.col("lead").alias("a"), F.col("doc").alias("b"))
+        return pairs.join(checked.select("a", "b"), ["a", "b"], "left_anti")
+
+    def _cross_pairs(self, starred: DataFrame, labels: DataFrame, checked: DataFrame, sketch: DataFrame, turn: int) -> DataFrame:
+        """All pairs of a group across components: those outside its main component against every member, in blocks."""
+        live = self.scratch.keep(self._mixed(starred, labels).select("sig", "doc", "comp"), f"live-{turn}")
+        by_comp = live.groupBy("sig", "comp").agg(F.count("*").alias("k"))
+        shape = by_comp.groupBy("sig").agg(F.max_by("comp", F.struct("k", "comp")).alias("main"), F.sum("k").alias("m"))
+        live = live.join(shape, "sig").join(sketch, "doc").withColumn("blocks", F.ceil(F.col("m") / CHUNK).cast("int"))
         cell = F.pmod(F.xxhash64("doc"), F.col("blocks")).cast("int")
-        x = live.where("d > 0.2").withColumn("i", cell).withColumn("j", F.explode(F.sequence(F.lit(0), F.col("blocks") - 1)))
-        y = live.withColumn("j", cell).withColumn("i", F.explode(F.sequence(F.lit(0), F.col("blocks") - 1)))
-        x = x.select("sig", "i", "j", F.col("doc").alias("xd"), F.col("comp").alias("xc"), F.col("d").alias("xr"))
-        y = y.select("sig", "i", "j", F.col("doc").alias("yd"), F.col("comp").alias("yc"), F.col("d").alias("yr"))
-        near = (F.col("xc") != F.col("yc")) & (F.abs(F.col("xr") - F.col("yr")) <= 0.2000001)
-        pairs = x.join(y, ["sig", "i", "j"]).where(near).select(F.least("xd", "yd").alias("a"), F.greatest("xd", "yd").alias("b")).distinct()
-        done = checked.select(F.least("a", "b").alias("a"), F.greatest("a", "b").alias("b"))
-        return pairs.join(done, ["a", "b"], "left_anti")
+        every = F.explode(F.sequence(F.lit(0), F.col("blocks") - 1))
+        names = ["doc", "comp", "n", *LONGS]
+        x = live.where("comp <> main").withColumn("i", cell).withColumn("j", every).select("sig", "i", "j", F.struct(*names).alias("x"))
+        y = live.withColumn("j", cell).withColumn("i", every).select("sig", "i", "j", F.struct(*names).alias("y"))
+        may = (F.col("x.comp") != F.col("y.comp")) & _close(F.col("x"), F.col("y"))
+        pairs = x.join(y, ["sig", "i", "j"]).where(may).select(F.least("x.doc", "y.doc").alias("a"), F.greatest("x.doc", "y.doc").alias("b")).distinct()
+        return pairs.join(checked.select("a", "b"), ["a", "b"], "left_anti")
+
+
+def _close(x, y):
+    """True unless sizes or sketches prove that two sets are too different."""
+    bits = sum((F.bit_count(x[s].bitwiseXOR(y[s])) for s in LONGS), F.lit(0))
+    sizes = F.least(x["n"], y["n"]) * DEN >= F.greatest(x["n"], y["n"]) * NUM
+    return sizes & (bits * (DEN + NUM) <= (x["n"] + y["n"]) * (DEN - NUM))
+
+
+def _possible(pairs: DataFrame, sketch: DataFrame) -> DataFrame:
+    """Pairs (a, b) that :func:`_close` leaves."""
+    whole = F.struct("n", *LONGS)
+    x = sketch.select(F.col("doc").alias("a"), whole.alias("x"))
+    y = sketch.select(F.col("doc").alias("b"), whole.alias("y"))
+    return pairs.join(x, "a").join(y, "b").where(_close(F.col("x"), F.col("y"))).select("a", "b")
 
 
 def op2_ngram_jaccard_join(spark: SparkSession, sf_dir: str) -> DataFrame:
