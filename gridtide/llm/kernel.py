@@ -75,9 +75,9 @@ class Texts:
 class Words:
     """Word starts, ends and hashes of a batch; ``first[i]:first[i+1]`` are text i's."""
 
-    def __init__(self, texts: Texts, fold: bool = True):
+    def __init__(self, texts: Texts, fold: bool = True, inside: np.ndarray = IS_WORD):
         data, offs = texts.data, texts.offs
-        word = IS_WORD[data]
+        word = inside[data]
         begin, end = word.copy(), word.copy()
         if len(data):
             begin[1:] &= ~word[:-1]
@@ -88,16 +88,28 @@ class Words:
         self.starts = np.flatnonzero(begin)
         self.ends = np.flatnonzero(end) + 1
         self.first = np.searchsorted(self.starts, offs)
-        self.fold = fold
+        self.values = np.where(inside, FOLDED if fold else EXACT, np.uint64(0))
         self.data = data
 
     def hashes(self) -> np.ndarray:
         if not len(self.starts):
             return np.zeros(0, np.uint64)
         up, down = powers(len(self.data))
-        sums = np.add.reduceat((FOLDED if self.fold else EXACT)[self.data] * up[: len(self.data)], self.starts)
+        sums = np.add.reduceat(self.values[self.data] * up[: len(self.data)], self.starts)
         return mix(sums * down[self.starts] + (self.ends - self.starts).astype(np.uint64) * STEP)
 
+    def prefix_hashes(self, which: np.ndarray, size: int) -> np.ndarray:
+        """Hashes of the first ``size`` bytes of some words, each longer than that."""
+        up, down = powers(len(self.data))
+        at = self.starts[which]
+        total = np.zeros(len(at), np.uint64)
+        for j in range(size):
+            total += self.values[self.data[at + j]] * up[j]
+        return mix(total + np.uint64(size) * STEP)
+
+    def longer(self, size: int) -> np.ndarray:
+        return np.flatnonzero(self.ends - self.starts > size)
+
 
 def chained(hashes: np.ndarray, n: int) -> np.ndarray:
     """Hash of each run of ``n`` consecutive word hashes (``len - n + 1`` of them)."""
@@ -108,9 +120,28 @@ def chained(hashes: np.ndarray, n: int) -> np.ndarray:
     return mix(total)
 
 
-def word_hash(word: str, fold: bool = True) -> int:
+def word_hash(word: str, fold: bool = True, inside: np.ndarray = IS_WORD) -> int:
     """The hash that :class:`Words` gives to one word."""
-    return int(Words(Texts(pa.array([word])), fold).hashes()[0])
+    return int(Words(Texts(pa.array([word])), fold, inside).hashes()[0])
+
+
+class HashLookup:
+    """Values of a few hashes, found fast among many."""
+
+    def __init__(self, table: dict[int, int]):
+        self.keys = np.array(sorted(table), np.uint64)
+        self.values = np.array([table[int(k)] for k in self.keys], np.int64)
+        self.low = np.zeros(1 << 16, bool)
+        self.low[(self.keys & np.uint64(0xFFFF)).astype(np.int64)] = True
+
+    def find(self, hashes: np.ndarray) -> tuple[np.ndarray, np.ndarray]:
+        """(positions, values) of the hashes that the table holds."""
+        if not len(self.keys) or not len(hashes):
+            return np.zeros(0, np.int64), np.zeros(0, np.int64)
+        some = np.flatnonzero(self.low[(hashes & np.uint64(0xFFFF)).astype(np.int64)])
+        at = np.minimum(np.searchsorted(self.keys, hashes[some]), len(self.keys) - 1)
+        right = self.keys[at] == hashes[some]
+        return some[right], self.values[at[right]]
 
 
 def chunks(batches, text: str, most: int = CHUNK_BYTES):
