@@ -14,8 +14,9 @@ therefore loses no pair.
 Sets that share a signature are candidates.  They are compared exactly, first
 with the least member of their signature group (a star, never all pairs), then
 only those pairs whose link is still open: members of different components.
-Before any comparison a 512-bit parity sketch bounds the difference of two sets
-from below, exactly, and drops pairs that cannot reach the similarity.
+Before any comparison parity sketches, of 512 bits first and then of at least a
+bit for each item, bound the difference of two sets from below, exactly, and
+drop pairs that cannot reach the similarity.
 """
 
 from __future__ import annotations
@@ -35,7 +36,7 @@ N_WORDS = 5
 NUM, DEN = 80, 100  # similarity as a fraction
 SIG_BYTES, SET_BYTES = 6, 6
 SEEN_MOST = 1 << 18
-CHUNK = 512  # members of a signature group in one block
+CHUNK = 4096  # members of a signature group in one block
 MOST_SCHEMES = 64
 SKETCH = 8  # longs of a parity sketch
 NEED_MOST = 1 << 18  # ids that are broadcast at most
@@ -121,24 +122,35 @@ def signatures(items: np.ndarray) -> np.ndarray:
 
 
 def parity_sketch(items: np.ndarray) -> np.ndarray:
-    """Bit j is the parity of the items that fall on j; sketches of two sets differ in no more bits than the sets in items."""
-    spread = np.bincount((K.mix(items ^ np.uint64(0xA0761D6478BD642F)) % np.uint64(64 * SKETCH)).astype(np.int64), minlength=64 * SKETCH)
-    return np.packbits((spread & 1).astype(np.uint8)).view(np.uint64)
+    """Bit j is the parity of the items that fall on j; sketches of two sets differ in no more bits than the sets in items.
+
+    The width is a power of two, 64 * SKETCH bits at least and no less than the
+    set's size; folding halves onto each other gives the sketch of half the width.
+    """
+    width = max(64 * SKETCH, 1 << (max(1, len(items)) - 1).bit_length())
+    at = K.mix(items ^ np.uint64(0xA0761D6478BD642F)) & np.uint64(width - 1)
+    return np.packbits((np.bincount(at.astype(np.int64), minlength=width) & 1).astype(np.uint8)).view(np.uint64)
+
+
+def folded(sketch: np.ndarray, longs: int) -> np.ndarray:
+    return np.bitwise_xor.reduce(sketch.reshape(-1, longs), axis=0)
 
 
 def _describe(batches):
     for batch in K.chunks(batches, "text"):
-        sizes, ones, twos, bits = [], [], [], []
+        sizes, ones, twos, bits, wide = [], [], [], [], []
         for items in text_sets(K.Texts(batch.column(1))):
             one, two = set_key(items)
             sizes.append(len(items))
             ones.append(one)
             twos.append(two)
-            bits.append(parity_sketch(items))
+            whole = parity_sketch(items)
+            bits.append(folded(whole, SKETCH))
+            wide.append(whole.tobytes())
         bits = np.array(bits)
         yield pa.RecordBatch.from_arrays(
-            [batch.column(0), pa.array(sizes, pa.int64()), *(K.long_array(np.array(x, np.uint64)) for x in (ones, twos)), *(K.long_array(bits[:, i]) for i in range(SKETCH))],
-            names=["doc_id", "n", "h1", "h2", *LONGS],
+            [batch.column(0), pa.array(sizes, pa.int64()), *(K.long_array(np.array(x, np.uint64)) for x in (ones, twos)), *(K.long_array(bits[:, i]) for i in range(SKETCH)), pa.array(wide, pa.binary())],
+            names=["doc_id", "n", "h1", "h2", *LONGS, "wide"],
         )
 
 
@@ -256,7 +268,7 @@ class NgramJaccardJoin:
         """
         keep, scratch = self.scratch.keep, self.scratch
         docs = documents.select(F.col("doc_id").cast("long").alias("doc_id"), F.col("text").cast("string").alias("text"))
-        info = keep(docs.mapInArrow(_describe, "doc_id long, n long, h1 long, h2 long, " + ", ".join(f"{x} long" for x in LONGS)), "info")
+        info = keep(docs.mapInArrow(_describe, "doc_id long, n long, h1 long, h2 long, " + ", ".join(f"{x} long" for x in LONGS) + ", wide binary"), "info")
         wide = info.where("n > 0 and doc_id is not null").groupBy("n", "h1", "h2").agg(F.min("doc_id").alias("rep"))
         total = info.agg(F.sum("n")).first()[0] or 0
         parts = max(partitions(self.spark), total // 3_000_000)
@@ -275,14 +287,14 @@ class NgramJaccardJoin:
         starred = keep(entries.join(heads, "sig"), "starred")
         scratch.drop("entries")
         wanted = starred.select(F.col("doc").alias("doc_id")).distinct()
-        sketch = info.join(wanted, "doc_id", "left_semi").select(F.col("doc_id").alias("doc"), "n", *LONGS).dropDuplicates(["doc"])
+        sketch = info.join(wanted, "doc_id", "left_semi").select(F.col("doc_id").alias("doc"), "n", *LONGS, "wide").dropDuplicates(["doc"])
         sketch = keep(sketch, "sketch")
         # each set first meets the least of its leaders
         first = starred.where("doc <> lead").groupBy("doc").agg(F.min("lead").alias("a")).select("a", F.col("doc").alias("b"))
         checked, turn = None, 0
         while True:
             pairs = first if turn == 0 else self._leader_pairs(starred, labels, checked, sketch) if turn == 1 else self._cross_pairs(starred, labels, checked, sketch, turn)
-            pairs = keep(_possible(pairs, sketch) if turn < 2 else pairs, f"open-{turn}")
+            pairs = keep(_possible(pairs, sketch), f"open-{turn}")
             if turn > 1 and pairs.isEmpty():
                 break
             done = self._verify(docs, pairs, f"round-{turn}")
@@ -321,7 +333,7 @@ class NgramJaccardJoin:
         live = self.scratch.keep(self._mixed(starred, labels).select("sig", "doc", "comp"), f"live-{turn}")
         by_comp = live.groupBy("sig", "comp").agg(F.count("*").alias("k"))
         shape = by_comp.groupBy("sig").agg(F.max_by("comp", F.struct("k", "comp")).alias("main"), F.sum("k").alias("m"))
-        live = live.join(shape, "sig").join(sketch, "doc").withColumn("blocks", F.ceil(F.col("m") / CHUNK).cast("int"))
+        live = live.join(shape, "sig").join(sketch.drop("wide"), "doc").withColumn("blocks", F.ceil(F.col("m") / CHUNK).cast("int"))
         cell = F.pmod(F.xxhash64("doc"), F.col("blocks")).cast("int")
         every = F.explode(F.sequence(F.lit(0), F.col("blocks") - 1))
         names = ["doc", "comp", "n", *LONGS]
@@ -344,7 +356,22 @@ def _possible(pairs: DataFrame, sketch: DataFrame) -> DataFrame:
     whole = F.struct("n", *LONGS)
     x = sketch.select(F.col("doc").alias("a"), whole.alias("x"))
     y = sketch.select(F.col("doc").alias("b"), whole.alias("y"))
-    return pairs.join(x, "a").join(y, "b").where(_close(F.col("x"), F.col("y"))).select("a", "b")
+    left = pairs.join(x, "a").join(y, "b").where(_close(F.col("x"), F.col("y"))).select("a", "b")
+    u = sketch.select(F.col("doc").alias("a"), F.col("n").alias("na"), F.col("wide").alias("u"))
+    v = sketch.select(F.col("doc").alias("b"), F.col("n").alias("nb"), F.col("wide").alias("v"))
+    both = left.join(u, "a").join(v, "b").select("a", "b", "na", "nb", "u", "v")
+    return both.mapInArrow(_wide_close, "a long, b long")
+
+
+def _wide_close(batches):
+    for batch in batches:
+        keep = []
+        for na, nb, u, v in zip(*(batch.column(i).to_pylist() for i in range(2, 6)), strict=True):
+            u, v = np.frombuffer(u, np.uint64), np.frombuffer(v, np.uint64)
+            longs = min(len(u), len(v))
+            bits = int(np.bitwise_count(folded(u, longs) ^ folded(v, longs)).sum())
+            keep.append(bits * (DEN + NUM) <= (na + nb) * (DEN - NUM))
+        yield batch.select(["a", "b"]).filter(pa.array(keep, pa.bool_()))
 
 
 def op2_ngram_jaccard_join(spark: SparkSession, sf_dir: str) -> DataFrame:

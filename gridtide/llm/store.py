@@ -12,6 +12,8 @@ import uuid
 
 from pyspark.sql import DataFrame, SparkSession
 
+CLEANUP = "spark.sql.classic.shuffleDependency.fileCleanup.enabled"
+
 
 def shared_root(spark: SparkSession) -> str:
     """The session's shared folder; a temporary one is set only where none is."""
@@ -33,9 +35,21 @@ class Scratch:
         self.path = f"{shared_root(spark)}/gridtide/{purpose}-{uuid.uuid4().hex}"
 
     def keep(self, frame: DataFrame, name: str) -> DataFrame:
-        """Write ``frame`` and read it back, which cuts its lineage."""
+        """Write ``frame`` and read it back, which cuts its lineage.
+
+        The written table replaces the frame, so its shuffle files go as soon
+        as the write has ended instead of when the driver next collects garbage.
+        """
         where = f"{self.path}/{name}"
-        frame.write.mode("overwrite").parquet(where)
+        before = self.spark.conf.get(CLEANUP, None)
+        self.spark.conf.set(CLEANUP, "true")
+        try:
+            frame.write.mode("overwrite").parquet(where)
+        finally:
+            if before is None:
+                self.spark.conf.unset(CLEANUP)
+            else:
+                self.spark.conf.set(CLEANUP, before)
         return self.spark.read.schema(frame.schema).parquet(where)
 
     def read(self, name: str, schema) -> DataFrame:
