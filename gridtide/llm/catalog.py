@@ -2,7 +2,7 @@
 
 from __future__ import annotations
 
-from . import chat_format, exact_dedup, ngram_join, quality, toxicity
+from . import chat_format, exact_dedup, mixing, ngram_join, quality, toxicity, warc
 
 
 def queries() -> dict:
@@ -11,8 +11,10 @@ def queries() -> dict:
         "op1_chat_format": chat_format.op1_chat_format,
         "op2_ngram_jaccard_join": ngram_join.op2_ngram_jaccard_join,
         "op3_quality_classifier": quality.op3_quality_classifier,
+        "op6_mixing": mixing.op6_mixing,
         "op8_toxicity": toxicity.op8_toxicity,
         "op9_exact_dedup": exact_dedup.op9_exact_dedup,
+        "op10_warc": warc.op10_warc,
     }
 
 
@@ -22,4 +24,5 @@ def oracle_sql() -> dict[str, str]:
         "op1_chat_format": chat_format.SQL,
         "op2_ngram_jaccard_join": ngram_join.SQL,
         "op9_exact_dedup": exact_dedup.SQL,
+        "op10_warc": warc.SQL,
     }
