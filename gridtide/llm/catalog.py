@@ -2,7 +2,7 @@
 
 from __future__ import annotations
 
-from . import chat_format, exact_dedup, mixing, ngram_join, quality, toxicity, warc
+from . import chat_format, exact_dedup, license_scan, mixing, ngram_join, quality, tiling, toxicity, warc
 
 
 def queries() -> dict:
@@ -11,7 +11,9 @@ def queries() -> dict:
         "op1_chat_format": chat_format.op1_chat_format,
         "op2_ngram_jaccard_join": ngram_join.op2_ngram_jaccard_join,
         "op3_quality_classifier": quality.op3_quality_classifier,
+        "op4_license_scan": license_scan.op4_license_scan,
         "op6_mixing": mixing.op6_mixing,
+        "op7_decontamination": tiling.op7_decontamination,
         "op8_toxicity": toxicity.op8_toxicity,
         "op9_exact_dedup": exact_dedup.op9_exact_dedup,
         "op10_warc": warc.op10_warc,
