@@ -2,7 +2,7 @@
 
 from __future__ import annotations
 
-from . import chat_format, exact_dedup, license_scan, mixing, ngram_join, quality, tiling, toxicity, warc
+from . import chat_format, exact_dedup, license_scan, line_runs, mixing, ngram_join, quality, tiling, toxicity, warc
 
 
 def queries() -> dict:
@@ -12,6 +12,7 @@ def queries() -> dict:
         "op2_ngram_jaccard_join": ngram_join.op2_ngram_jaccard_join,
         "op3_quality_classifier": quality.op3_quality_classifier,
         "op4_license_scan": license_scan.op4_license_scan,
+        "op5_line_dedup": line_runs.op5_line_dedup,
         "op6_mixing": mixing.op6_mixing,
         "op7_decontamination": tiling.op7_decontamination,
         "op8_toxicity": toxicity.op8_toxicity,
