@@ -27,7 +27,7 @@ from pyspark.sql import DataFrame, SparkSession, Window
 from pyspark.sql import functions as F
 
 from . import kernel as K
-from .store import Scratch, partitions
+from .store import BROADCAST_ROWS, Scratch, partitions
 
 MIN_LINES = 2  # a power of two: the least depth at which an interval deletes
 LINE_WORDS = 50
@@ -131,6 +131,8 @@ class LineRuns:
             rank = self.scratch.keep(self._ranked(now, f"d{depth}"), f"d{depth}-ranks")
             active = self.scratch.keep(now.join(rank.drop("n"), ["r", "s"]).drop("r", "s"), f"d{depth}")
             self.scratch.drop(f"d{depth}-pairs", f"d{depth}-ranks")
+            if depth == 1:
+                self.scratch.drop("all")
             if active.isEmpty():
                 break
             if depth >= self.min_lines or depth == 1:
@@ -153,7 +155,8 @@ class LineRuns:
         drops = spans.groupBy(*KEY).agg(F.collect_set("ln").alias("drops"))
         drops = self.scratch.keep(drops, "drops")
         docs = documents.select(F.col("doc_id").cast("long").alias("doc_id"), F.col("text").cast("string").alias("text")).withColumn("th", F.xxhash64("text"))
-        return docs.join(drops, KEY, "left").select("doc_id", "text", "drops").mapInArrow(_cleaned, "doc_id long, n_lines long, n_deleted long, clean_text string")
+        few = drops.agg(F.sum(F.size("drops"))).first()[0] or 0  # deleted lines, four bytes each
+        return docs.join(F.broadcast(drops) if few <= BROADCAST_ROWS else drops, KEY, "left").select("doc_id", "text", "drops").mapInArrow(_cleaned, "doc_id long, n_lines long, n_deleted long, clean_text string")
 
 
 def _hashed(batches):

@@ -11,6 +11,7 @@ import tempfile
 import uuid
 
 from pyspark.sql import DataFrame, SparkSession
+from pyspark.sql import functions as F
 
 CLEANUP = "spark.sql.classic.shuffleDependency.fileCleanup.enabled"
 
@@ -63,6 +64,14 @@ class Scratch:
             path.getFileSystem(conf).delete(path, True)
 
 
+BROADCAST_ROWS = 1 << 19  # rows of a few numbers that are broadcast at most
+
+
+def bounded(frame: DataFrame, rows: int = BROADCAST_ROWS) -> DataFrame:
+    """``frame`` (a written table) marked for broadcast where it has few enough rows, else as it is."""
+    return F.broadcast(frame) if frame.count() <= rows else frame
+
+
 def partitions(spark: SparkSession) -> int:
     """The session's shuffle partition count, the scale setting operators follow."""
     return int(spark.conf.get("spark.sql.shuffle.partitions"))
