@@ -241,7 +241,7 @@ def fit(documents: DataFrame, labels: DataFrame, rows: int = FIT_ROWS, scratch:
         for r in sorted(found):
             text = bytes.fromhex(r.pattern)
             kind = INSULT if r.toxic / r.seen >= STRONG else MILD
-            value = int(K.mix(_raw_sum(text) + np.uint64(len(text)) * K.STEP)[0])
+            value = int(K.mix(_raw_sum(text) + np.array([len(text)], np.uint64) * K.STEP)[0])
             if r.size:
                 model.stems.setdefault(r.size, {})[value] = kind
             else:
