@@ -4,10 +4,15 @@ from __future__ import annotations
 
 from dataclasses import dataclass, replace
 
+import pyarrow as pa
 from pyspark.sql import DataFrame, SparkSession
 
 from gridtide.config import GridSpec
-from gridtide.schemas import PLAN
+
+ARROW_PLAN = pa.schema(
+    [("round", pa.int32()), ("tile_id", pa.int64()), ("machine_id", pa.int32()), ("cx0", pa.int32()), ("cy0", pa.int32()), ("cx1", pa.int32()), ("cy1", pa.int32())]
+    + [("parent_ids", pa.list_(pa.int64())), ("prev_machine_id", pa.int32()), ("born_round", pa.int32()), ("retired_round", pa.int32())]
+)
 
 
 @dataclass(frozen=True)
@@ -69,7 +74,9 @@ def next_id(tiles: list[Tile]) -> int:
 def plan_frame(spark: SparkSession, tiles: list[Tile], at_round: int = 0) -> DataFrame:
     """The plan as a table; it has as many rows as there are tiles."""
     rows = [(at_round, t.tile_id, t.machine_id, t.cx0, t.cy0, t.cx1, t.cy1, list(t.parent_ids), t.prev_machine_id, t.born_round, t.retired_round) for t in tiles]
-    return spark.createDataFrame(rows, PLAN)
+    columns = zip(*rows, strict=True) if rows else [()] * len(ARROW_PLAN)
+    # as Arrow it becomes a local relation, which costs no job to broadcast
+    return spark.createDataFrame(pa.table([pa.array(c, f.type) for c, f in zip(columns, ARROW_PLAN, strict=True)], schema=ARROW_PLAN))
 
 
 def probe_side(plan: DataFrame) -> DataFrame:
