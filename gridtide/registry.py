@@ -13,12 +13,14 @@ import pandas as pd
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
+from gridtide import sql
 from gridtide.config import EVENTS, MACHINES, BalanceConfig
 from gridtide.operators import baselines, cost, euler, governor, marginals, matching, measures, planner, reports, routing, workloads
 from gridtide.operators import rounds as R
 from gridtide.plans import layout, lineage
 from gridtide.plans.layout import Tile, even_layout, plan_frame, values_sql
 from gridtide.sources import tables
+from gridtide.streaming import loop
 
 LAST = 29
 SWITCH = 10
@@ -67,11 +69,11 @@ PA = "pa AS (SELECT rnd, tile_id, 'row' AS axis, tr AS idx FROM rp UNION ALL SEL
 QA = "qa AS (SELECT rnd, tile_id, 'row' AS axis, row0 AS a, row1 AS b FROM rq UNION ALL SELECT rnd, tile_id, 'col', col0, col1 FROM rq)"
 
 
-def query(name: str, sql: str | None = None):
+def query(name: str, text: str | None = None):
     def add(fn):
         QUERIES[name] = fn
-        if sql is not None:
-            ORACLES[name] = sql
+        if text is not None:
+            ORACLES[name] = text
         return fn
 
     return add
@@ -968,3 +970,37 @@ def _(spark, sf_dir):
 def _(spark, sf_dir):
     rows = tables.table(spark, sf_dir, "events").groupBy(F.session_window("ts", "6 hours").alias("w"), "user_id").agg(F.count("*").alias("n"))
     return rows.select("user_id", F.col("w.start").cast("timestamp_ntz").alias("start"), "n")
+
+
+# ---- SQL surface and streams
+
+for _name, _method, _sql in (("sql_route_points", "route_points", ROUTED), ("sql_route_queries", "route_queries", ROUTED_Q), ("sql_tile_costs", "tile_costs", f"{BASE}, {STATS} SELECT tile_id, machine_id, n, q, numerator FROM cs")):
+
+    def _by_sql(spark, sf_dir, m=_method):
+        sql.register_views(spark, sf_dir)
+        return sql.run(spark, m)
+
+    query(_name, _sql)(_by_sql)
+
+
+def _played(frame: DataFrame, name: str, mode: str = "append") -> DataFrame:
+    """Play a finite stream to its end into a memory table."""
+    name = f"{name}_{time.time_ns()}"
+    job = frame.writeStream.format("memory").queryName(name).outputMode(mode).trigger(availableNow=True).start()
+    job.awaitTermination()
+    return frame.sparkSession.table(name)
+
+
+@query("stream_daily_windows", "SELECT CAST(date_trunc('day', ts) AS TIMESTAMP) AS start, event_type, count(*) AS n FROM events GROUP BY 1, 2")
+def _(spark, sf_dir):
+    """Daily arrivals by type, from the event stream with a watermark."""
+    got = _played(loop.windowed_arrivals(loop.event_source(spark, f"{sf_dir}/events*.parquet")), "daily", "complete")
+    return got.select(F.col("start").cast("timestamp_ntz").alias("start"), "event_type", "n")
+
+
+@query("stream_deduplicated", "SELECT event_type, count(*) AS n FROM events GROUP BY 1")
+def _(spark, sf_dir):
+    """Events once each, of a stream that delivers every one of them twice."""
+    source = loop.event_source(spark, f"{sf_dir}/events*.parquet")
+    twice = source.withColumn("again", F.explode(F.array(F.lit(0), F.lit(1)))).drop("again")
+    return _played(loop.deduplicated(twice).select("event_id", "event_type"), "once").groupBy("event_type").agg(F.count("*").alias("n"))
