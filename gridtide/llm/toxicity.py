@@ -32,7 +32,7 @@ from .store import Scratch
 THRESHOLD = 0.3
 FOLDS, HELD = 4, 2
 LEARNT_MOST = 1000  # learnt entries at most
-MIN_SUPPORT, MIN_PRECISION, STRONG = 4, 0.8, 0.9
+MIN_SUPPORT, MIN_PRECISION, STRONG = 4, 0.92, 0.96
 STEMS = (5, 6, 7, 8, 9, 10)  # stem lengths in bytes
 
 # fixed values: symbols of the grammar
