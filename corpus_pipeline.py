@@ -11,7 +11,7 @@ from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
 from gridtide.llm import exact_dedup, mixing, ngram_join, quality, tiling
-from gridtide.llm.store import Scratch
+from gridtide.llm.store import Scratch, bounded
 
 
 def keep_good(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
@@ -45,7 +45,7 @@ def mix(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
 
 def _without(docs: DataFrame, gone: DataFrame, tag: str) -> DataFrame:
     ids = Scratch(docs.sparkSession, f"stage-{tag}").keep(gone.select("doc_id").where("doc_id is not null").distinct(), "gone")
-    return docs.join(ids, "doc_id", "left_anti").select(*docs.columns)
+    return docs.join(bounded(ids), "doc_id", "left_anti").select(*docs.columns)
 
 
 STAGES = [

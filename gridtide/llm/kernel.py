@@ -8,15 +8,13 @@ a Python string.
 
 from __future__ import annotations
 
-from functools import lru_cache
-
 import numpy as np
 import pyarrow as pa
 
 BLANKS = np.array([0x20, 0x09, 0x0A, 0x0B, 0x0C, 0x0D], np.uint8)
 STEP = np.uint64(0x9E3779B97F4A7C15)
 MASK = (1 << 64) - 1
-CHUNK_BYTES = 4 << 20
+CHUNK_BYTES = 1 << 20
 
 
 def mix(x: np.ndarray) -> np.ndarray:
@@ -43,19 +41,20 @@ BASE = 0x9E3779B97F4A7C15 | 1
 BASE_INVERSE = pow(BASE, -1, 1 << 64)
 
 
-@lru_cache(maxsize=2)
-def _powers(base: int, bits: int) -> np.ndarray:
-    out = np.ones(1, np.uint64)
-    step = base
-    for _ in range(bits):  # doubling: out[i] = base ** i
-        out = np.concatenate([out, out * np.uint64(step)])
-        step = step * step & MASK
+_TABLES: dict[int, np.ndarray] = {}
+
+
+def _powers(base: int, n: int) -> np.ndarray:
+    """base ** 0, 1, ... for n at least; one table a base grows by doubling."""
+    out = _TABLES.get(base, np.ones(1, np.uint64))
+    while len(out) < n:
+        out = np.concatenate([out, out * np.uint64(pow(base, len(out), 1 << 64))])
+    _TABLES[base] = out
     return out
 
 
 def powers(n: int) -> tuple[np.ndarray, np.ndarray]:
-    bits = max(16, int(n).bit_length())
-    return _powers(BASE, bits), _powers(BASE_INVERSE, bits)
+    return _powers(BASE, n + 1), _powers(BASE_INVERSE, n + 1)
 
 
 class Texts:
