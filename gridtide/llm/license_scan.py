@@ -28,9 +28,10 @@ from .tiling import _ALNUM
 
 GRAM_BITS, GRAMS = 15, 3
 WINDOW, STRIDE = 64, 32
+PLAIN_MOST = 800  # ordinary paragraphs of the sample that are trained on
 SAMPLE_DOCS = 300  # documents whose paragraphs serve as ordinary text
 CONTAINED = 0.5  # share of a template's word pairs, or of the paragraph's, that confirms
-VARIANTS = 60
+VARIANTS = 30
 UNKNOWN = "unknown"
 ANCHORS = "licens licenc copyright spdx warranty redistribut permission granted"
 
@@ -163,9 +164,12 @@ def fit(documents: DataFrame, sample_docs: int = SAMPLE_DOCS) -> LicenceModel:
             pieces.append(v)
             target.append(families.index(family))
     sample = documents.select(F.col("doc_id").cast("long").alias("doc_id"), F.col("text").cast("string").alias("text")).where(F.octet_length("text") < 20_000)
-    rows = sample.orderBy(F.xxhash64("doc_id"), "doc_id", "text").limit(sample_docs).collect()
+    # a hash picks about 1.5 times as many rows as wanted, so no task sends more than its share
+    share = min(1.0, 1.5 * sample_docs / max(1, documents.count()))
+    picked = sample.where(F.pmod(F.xxhash64("doc_id"), F.lit(1 << 30)) < int(share * (1 << 30)))
+    rows = sorted(picked.collect(), key=lambda r: (r.doc_id is None, hash_of(str(r.doc_id)), r.text))[:sample_docs]
     plain = [line for r in rows for line in r.text.split("\n") if line.strip() and not any(a in line.lower() for a in ANCHORS.split())]
-    plain = sorted(plain, key=lambda s: hash_of(s))[:4000]
+    plain = sorted(plain, key=lambda s: hash_of(s))[:PLAIN_MOST]
     mixed = " ".join(t for _, t in TEMPLATES).split()
     for text in [*plain, *DECOYS * 8, *(" ".join(rng.choice(mixed) for _ in range(rng.randrange(3, 30))) for _ in range(300))]:
         pieces.append(text)
@@ -178,29 +182,30 @@ def fit(documents: DataFrame, sample_docs: int = SAMPLE_DOCS) -> LicenceModel:
     cols = np.concatenate(counts)
     used, cols = np.unique(cols, return_inverse=True)
     size = np.bincount(rows_of, minlength=len(spans))
-    value = 1 / np.sqrt(np.maximum(1, size))[rows_of]
+    value = (1 / np.sqrt(np.maximum(1, size)))[rows_of].astype(np.float32)
     held = np.arange(len(spans)) % 5 == 0
-    w, b = np.zeros((len(used), len(families) + 1)), np.zeros(len(families) + 1)
-    onehot = np.eye(len(families) + 1)[y]
+    w, b = np.zeros((len(used), len(families) + 1), np.float32), np.zeros(len(families) + 1, np.float32)
+    onehot = np.eye(len(families) + 1, dtype=np.float32)[y]
     weight = (~held / np.bincount(y, minlength=len(families) + 1).clip(1)[y] ** 0.5)[:, None]
-    weight = weight / weight.sum()
+    weight = (weight / weight.sum()).astype(np.float32)
     order = np.argsort(cols, kind="stable")
+    rows_by_gram, value_by_gram = rows_of[order], value[order][:, None]
     heads = np.flatnonzero(np.diff(cols[order], prepend=-1))
     starts = np.searchsorted(rows_of, np.arange(len(spans)))
     some = size > 0
     vel_w, vel_b = np.zeros_like(w), np.zeros_like(b)
 
     def forward():
-        z = np.zeros((len(spans), w.shape[1]))
+        z = np.zeros((len(spans), w.shape[1]), np.float32)
         z[some] = np.add.reduceat(w[cols] * value[:, None], starts[some], axis=0)
         return z + b
 
-    for _ in range(150):
+    for _ in range(100):
         z = forward()
         p = np.exp(z - z.max(1, keepdims=True))
         p /= p.sum(1, keepdims=True)
         g = (p - onehot) * weight
-        gw = np.add.reduceat((g[rows_of] * value[:, None])[order], heads, axis=0) + 1e-6 * w
+        gw = np.add.reduceat(g[rows_by_gram] * value_by_gram, heads, axis=0) + 1e-6 * w
         vel_w, vel_b = 0.9 * vel_w - 40 * gw, 0.9 * vel_b - 4 * g.sum(0)
         w, b = w + vel_w, b + vel_b
     z, label = forward()[held], y[held]
