@@ -21,7 +21,7 @@ from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
 from . import kernel as K
-from .store import Scratch, partitions
+from .store import Scratch, bounded, partitions
 
 BLANK = bytes(K.BLANKS)
 MEMTABLE = 1 << 16  # entries before a flush
@@ -181,8 +181,8 @@ def exact_duplicates(documents: DataFrame, scratch: Scratch | None = None, key_b
     hits = staying(runs).where("copies > 1")
     hits = scratch.keep(hits.select("digest", F.col("doc_id").alias("keep_id"), F.col("chars").alias("keep_chars"), F.col("copies").alias("size")), "hits")
     # byte verification of every hit; a large group is compared in salted chunks
-    members = runs.join(hits, "digest", "left_semi").select("doc_id").distinct()
-    some = docs.join(members, "doc_id", "left_semi").mapInArrow(_with_bodies, "doc_id long, sha binary, chars long, body binary")
+    members = scratch.keep(runs.join(hits, "digest", "left_semi").select("doc_id").distinct(), "members")
+    some = docs.join(bounded(members), "doc_id", "left_semi").mapInArrow(_with_bodies, "doc_id long, sha binary, chars long, body binary")
     held = some.select("doc_id", key, "chars", "body").join(hits.withColumn("chunks", F.ceil(F.col("size") / CHUNK).cast("int")), "digest")
     held = scratch.keep(held, "bodies")
     stays = held.where("doc_id = keep_id and chars = keep_chars").dropDuplicates(["digest"])
