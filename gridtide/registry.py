@@ -544,6 +544,15 @@ def _(spark, sf_dir):
     return measures.ratios(measures.units_of_work(_strategies(spark, sf_dir, "plain")))
 
 
+@query("utilisation_hotspot")
+def _(spark, sf_dir):
+    """Least, mean and most capacity used by period of five rounds while a hotspot comes and goes."""
+    _, _, capacity = _capacity(spark, sf_dir)
+    rows = _strategies(spark, sf_dir, "hotspot_uniform").withColumn("period", F.floor(F.col("rnd") / 5).cast("int"))
+    used = lambda c: F.avg(F.least(F.lit(1.0), F.col(c) / F.lit(capacity)))
+    return rows.groupBy("strategy", "period").agg(used("min_load").alias("least"), used("mean_load").alias("mean"), used("max_load").alias("most"))
+
+
 @query("hotspot_recovery")
 def _(spark, sf_dir):
     """Rounds from a hotspot's onset until max over mean is back under 2.5."""
