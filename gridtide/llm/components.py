@@ -14,10 +14,11 @@ from pyspark.sql import functions as F
 from .store import Scratch
 
 
-def _stars(links: DataFrame) -> DataFrame:
+def _stars(links: DataFrame, scratch: Scratch, tag: str) -> DataFrame:
     """One large-star and one small-star pass over (u, v) with u > v."""
     both = links.select("u", "v").unionByName(links.select(F.col("v").alias("u"), F.col("u").alias("v")))
     low = both.groupBy("u").agg(F.least(F.min("v"), F.col("u")).alias("m"))
+    low = scratch.keep(low, f"{tag}-low")  # written, so that the join of a node with very many links can be split
     large = both.where("v > u").join(low, "u").select(F.col("v").alias("u"), F.col("m").alias("v")).where("u > v")
     large = large.unionByName(low.where("m < u").select("u", F.col("m").alias("v"))).distinct()
     least = large.groupBy("u").agg(F.min("v").alias("m"))
@@ -39,7 +40,7 @@ def connected(links: DataFrame, scratch: Scratch, tag: str) -> DataFrame:
     turn = 0
     while True:
         turn += 1
-        now = scratch.keep(_stars(now), f"{tag}-{turn}")
+        now = scratch.keep(_stars(now, scratch, tag), f"{tag}-{turn}")
         # settled when each node has one link and no root has a parent
         seen = now.agg(F.count("*"), F.count_distinct("u"), F.sum(F.hash("u", "v").cast("long"))).first()
         scratch.drop(f"{tag}-{turn - 1}")

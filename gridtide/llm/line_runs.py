@@ -137,6 +137,7 @@ class LineRuns:
                 break
             if depth >= self.min_lines or depth == 1:
                 earliest = active.groupBy("rank").agg(F.min(F.struct(*KEY, "ln")).alias("first"))
+                earliest = self.scratch.keep(earliest, f"d{depth}-first")  # written, so that a large interval's join can be split
                 later = active.join(earliest, "rank").where(F.struct(*KEY, "ln") > F.col("first"))
                 if depth < self.min_lines:
                     later = later.where(F.col("words") >= self.line_words)

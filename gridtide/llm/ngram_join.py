@@ -270,6 +270,7 @@ class NgramJaccardJoin:
         docs = documents.select(F.col("doc_id").cast("long").alias("doc_id"), F.col("text").cast("string").alias("text"))
         info = keep(docs.mapInArrow(_describe, "doc_id long, n long, h1 long, h2 long, " + ", ".join(f"{x} long" for x in LONGS) + ", wide binary"), "info")
         wide = info.where("n > 0 and doc_id is not null").groupBy("n", "h1", "h2").agg(F.min("doc_id").alias("rep"))
+        wide = keep(wide, "classes")  # written, so that a join with a large class can be split
         total = info.agg(F.sum("n")).first()[0] or 0
         parts = max(partitions(self.spark), total // 3_000_000)
         buckets = int(min(1 << 23, parts * 8))
@@ -284,8 +285,8 @@ class NgramJaccardJoin:
         entries = keep(entries.join(reps, "doc").select("sig", F.col("rep").alias("doc")).distinct(), "entries")
         scratch.drop("shared")
         heads = entries.groupBy("sig").agg(F.min("doc").alias("lead"))
-        starred = keep(entries.join(heads, "sig"), "starred")
-        scratch.drop("entries")
+        starred = keep(entries.join(keep(heads, "heads"), "sig"), "starred")
+        scratch.drop("entries", "heads")
         wanted = starred.select(F.col("doc").alias("doc_id")).distinct()
         sketch = info.join(wanted, "doc_id", "left_semi").select(F.col("doc_id").alias("doc"), "n", *LONGS, "wide").dropDuplicates(["doc"])
         sketch = keep(sketch, "sketch")
@@ -313,16 +314,16 @@ class NgramJaccardJoin:
             F.coalesce("n_links", F.lit(0)).alias("n_links"),
         )
 
-    def _mixed(self, starred: DataFrame, labels: DataFrame) -> DataFrame:
+    def _mixed(self, starred: DataFrame, labels: DataFrame, turn: int) -> DataFrame:
         """Members of signature groups that still hold several components, with their component."""
         of = labels.select(F.col("node").alias("doc"), F.col("root").alias("comp"))
         held = starred.join(of, "doc", "left").withColumn("comp", F.coalesce("comp", "doc"))
         mixed = held.groupBy("sig").agg(F.min("comp").alias("lo"), F.max("comp").alias("hi")).where("lo < hi").select("sig")
-        return held.join(mixed, "sig")
+        return held.join(self.scratch.keep(mixed, f"mixed-{turn}"), "sig")
 
     def _leader_pairs(self, starred: DataFrame, labels: DataFrame, checked: DataFrame, sketch: DataFrame) -> DataFrame:
         """Members that their signature's leader has not met and whose component differs."""
-        live = self._mixed(starred, labels)
+        live = self._mixed(starred, labels, 1)
         lead = labels.select(F.col("node").alias("lead"), F.col("root").alias("lead_comp"))
         live = live.where("doc <> lead").select("lead", "doc", "comp").distinct().join(lead, "lead", "left")
         pairs = live.where(F.coalesce("lead_comp", "lead") != F.col("comp")).select(F.col("lead").alias("a"), F.col("doc").alias("b"))
@@ -330,9 +331,10 @@ class NgramJaccardJoin:
 
     def _cross_pairs(self, starred: DataFrame, labels: DataFrame, checked: DataFrame, sketch: DataFrame, turn: int) -> DataFrame:
         """All pairs of a group across components: those outside its main component against every member, in blocks."""
-        live = self.scratch.keep(self._mixed(starred, labels).select("sig", "doc", "comp"), f"live-{turn}")
+        live = self.scratch.keep(self._mixed(starred, labels, turn).select("sig", "doc", "comp"), f"live-{turn}")
         by_comp = live.groupBy("sig", "comp").agg(F.count("*").alias("k"))
         shape = by_comp.groupBy("sig").agg(F.max_by("comp", F.struct("k", "comp")).alias("main"), F.sum("k").alias("m"))
+        shape = self.scratch.keep(shape, f"shape-{turn}")
         live = live.join(shape, "sig").join(sketch.drop("wide"), "doc").withColumn("blocks", F.ceil(F.col("m") / CHUNK).cast("int"))
         cell = F.pmod(F.xxhash64("doc"), F.col("blocks")).cast("int")
         every = F.explode(F.sequence(F.lit(0), F.col("blocks") - 1))
