@@ -36,7 +36,7 @@ def route_points(points: DataFrame, plan: DataFrame, method: str = "probe") -> D
 def route_queries(queries: DataFrame, plan: DataFrame, method: str = "join", tiles: list[Tile] | None = None, entry: str = "clipped_corner") -> DataFrame:
     """Each query once for every tile that it overlaps.
 
-    ``join`` tests bounds; ``cells`` visits every covered cell; ``hop`` walks
+    ``join`` tests bounds; ``cells`` visits every covered cell; ``hop`` goes
     from tile to tile over their borders (``tiles`` needed).  With ``entry``
     set to first_met the walk goes on from the cell where a tile was met, which
     can miss tiles and is kept for comparison.
@@ -72,32 +72,43 @@ def cell_index(tiles: list[Tile]) -> np.ndarray:
 
 
 def border_walk(tiles: list[Tile], entry: str = "clipped_corner"):
-    """A function from a cell rectangle to its (tile, machine) pairs, hopping over whole tiles.
+    """A function from a cell rectangle to its (tile, machine) pairs, one look-up for each piece of a tile.
 
-    A newly met tile is entered at the first cell that it shares with the query,
-    and its right and lower neighbours are scheduled from there; no tile that
-    touches the query is left out then.
+    The tile under a rectangle's first corner is peeled off, which leaves what
+    lies to the right of it and what lies below; both are worked on alike, so
+    no part of the rectangle stays unseen.  ``first_met`` instead follows the
+    right and lower neighbours of the cell in which a tile was met.
     """
     grid = cell_index(tiles)
     edge = grid.shape[0] - 1
-
-    def walk(cx0: int, cy0: int, cx1: int, cy1: int) -> list[tuple[int, int]]:
-        open_cells, met = [(cx0, cy0)], {}
-        while open_cells:
-            x, y = open_cells.pop()
-            if x > min(cx1, edge) or y > min(cy1, edge):
-                continue
-            i = int(grid[x, y])
-            if i in met:
-                continue
-            t = tiles[i]
-            met[i] = (t.tile_id, t.machine_id)
-            if entry == "clipped_corner":
-                x, y = max(cx0, t.cx0), max(cy0, t.cy0)
-            open_cells += [(t.cx1 + 1, y), (x, t.cy1 + 1)]
-        return list(met.values())
-
-    return walk
+    names = [(t.tile_id, t.machine_id) for t in tiles]
+
+    def peel(cx0: int, cy0: int, cx1: int, cy1: int) -> list[tuple[int, int]]:
+        seen = set()
+        rest = [(cx0, cy0, min(cx1, edge), min(cy1, edge))]
+        for left, top, right, bottom in rest:  # grows while it is read
+            i = int(grid[left, top])
+            seen.add(i)
+            far, low = min(tiles[i].cx1, right), min(tiles[i].cy1, bottom)
+            if far < right:
+                rest.append((far + 1, top, right, low))
+            if low < bottom:
+                rest.append((left, low + 1, right, bottom))
+        return [names[i] for i in sorted(seen)]
+
+    def neighbours(cx0: int, cy0: int, cx1: int, cy1: int) -> list[tuple[int, int]]:
+        seen = set()
+
+        def visit(x: int, y: int) -> None:
+            if x <= min(cx1, edge) and y <= min(cy1, edge) and (i := int(grid[x, y])) not in seen:
+                seen.add(i)
+                visit(x, tiles[i].cy1 + 1)
+                visit(tiles[i].cx1 + 1, y)
+
+        visit(cx0, cy0)
+        return [names[i] for i in sorted(seen)]
+
+    return {"clipped_corner": peel, "first_met": neighbours}[entry]
 
 
 def deliver(routed: DataFrame, plan: DataFrame) -> DataFrame:
