@@ -39,6 +39,9 @@ INDEX = "archive string, offset long, length long, record_type string, page_id l
 
 
 def store_of(uri: str) -> tuple[fs.FileSystem, str]:
+    """The file system of a path or URL, and the path on it."""
+    if uri.startswith("file:"):
+        return fs.LocalFileSystem(), "/" + uri.removeprefix("file:").lstrip("/")
     return fs.FileSystem.from_uri(uri)
 
 
