@@ -47,6 +47,7 @@ def connected(links: DataFrame, scratch: Scratch, tag: str) -> DataFrame:
         if seen == shape and seen[0] == seen[1]:
             break
         shape = seen
+    scratch.drop(f"{tag}-low")
     return now.select(F.col("u").alias("node"), F.col("v").alias("root")).unionByName(
         now.select(F.col("v").alias("node"), F.col("v").alias("root")).distinct()
     )

@@ -304,6 +304,8 @@ class NgramJaccardJoin:
             links = checked.where(F.col("common") * DEN >= F.col("joint") * NUM)
             labels = connected(links.select(F.col("b").alias("u"), F.col("a").alias("v")), scratch, f"label-{turn}")
             turn += 1
+        # the result reads sets, classes, links and labels; all else can go
+        scratch.drop("sketch", "starred", *(f"{t}-{k}" for t in ("open", "live", "mixed", "shape") for k in range(1, turn + 1)))
         degree = links.select(F.explode(F.array("a", "b")).alias("rep")).groupBy("rep").agg(F.count("*").alias("n_links"))
         label = labels.select(F.col("node").alias("rep"), "root")
         found = info.join(wide, ["n", "h1", "h2"], "left").join(label, "rep", "left").join(degree, "rep", "left")
