@@ -11,7 +11,8 @@ from pyspark.sql import types as T
 from gridtide.functions.grid import holds, overlaps
 from gridtide.plans.layout import Tile, probe_side
 
-SMALL_PLAN = 4096  # tiles up to which a plan is probed by bounds; also its broadcast bound
+SMALL_PLAN = 4096  # tiles up to which a plan is probed by bounds
+CELLS_MOST = 4_000_000  # rows of a cell table that are broadcast at most (16 bytes each)
 
 
 def cell_table(plan: DataFrame) -> DataFrame:
@@ -24,12 +25,16 @@ def route_points(points: DataFrame, plan: DataFrame, method: str = "probe") -> D
     """Each point with its tile and machine; exactly one tile holds it.
 
     ``probe`` joins on the tile bounds (a plan of few tiles, broadcast);
-    ``lookup`` joins on the cell (as many rows as the grid has cells).
+    ``lookup`` joins on the cell, broadcast up to CELLS_MOST cells and shuffled
+    beyond; ``auto`` counts the tiles and takes the one or the other.
     """
+    if method == "auto":
+        method = "probe" if plan.count() <= SMALL_PLAN else "lookup"
     if method == "probe":
         return points.join(F.broadcast(probe_side(plan)), holds()).drop("t_cx0", "t_cy0", "t_cx1", "t_cy1")
     if method == "lookup":
-        return points.join(F.broadcast(cell_table(plan)), ["cx", "cy"])
+        cells = plan.agg(F.sum((F.col("cx1") - F.col("cx0") + 1).cast("long") * (F.col("cy1") - F.col("cy0") + 1))).first()[0] or 0
+        return points.join(F.broadcast(cell_table(plan)) if cells <= CELLS_MOST else cell_table(plan), ["cx", "cy"])
     raise ValueError(method)
 
 

@@ -37,3 +37,22 @@ class PlanStore:
             if "PATH_NOT_FOUND" in str(error):
                 return None
             raise
+
+
+class PointStore:
+    """Points under the round and tile of their arrival; appended to, never rewritten when tiles move."""
+
+    def __init__(self, spark: SparkSession, path: str):
+        self.spark, self.path = spark, path.rstrip("/")
+
+    def append(self, routed: DataFrame) -> None:
+        """Add routed points; rounds that are written again replace themselves."""
+        out = routed.repartition("rnd", "tile_id").write.partitionBy("rnd", "tile_id").mode("overwrite")
+        out.option("partitionOverwriteMode", "dynamic").parquet(self.path)
+
+    def read(self, from_round: int | None = None, to_round: int | None = None) -> DataFrame:
+        """Stored points; round and tile filters prune folders."""
+        held = self.spark.read.parquet(self.path)
+        if from_round is not None:
+            held = held.where(F.col("rnd") >= from_round)
+        return held if to_round is None else held.where(F.col("rnd") <= to_round)

@@ -608,6 +608,14 @@ def _(spark, sf_dir):
     timed("collect_and_fold", lambda: marginals.fold(_collected(spark, sf_dir)[0], plan, LAST, 0.5).count())
     got = []
     timed("report", lambda: got.extend(R.reports(R.tile_stats(stream, plan, LAST, 0.5)).collect()) or len(got))
+    load = {r["machine_id"]: float(r["numerator"]) for r in got}
+    stats = R.tile_stats(stream, plan, LAST, 0.5)
+    costs = lambda m: {r["tile_id"]: float(r["c"]) for r in stats.where(F.col("machine_id") == m).select("tile_id", (F.col("n") * F.col("q") * F.col("r")).alias("c")).collect()}
+    axes = lambda t: planner.axis_stats(R.cell_marginals(stream, plan_frame(spark, [t]), LAST, 0.5).collect())
+    moved = []
+    timed("reduce_and_move", lambda: moved.extend(planner.rebalance_once(EVEN, load, costs, axes, LAST + 1)) or len(moved[0]))
+    timed("receive", lambda: R.moved_queries(stream, [t for t in moved[0] if t.born_round]).count())
+    timed("index_update", lambda: routing.cell_index(moved[0]).size)
     timed("decide", lambda: governor.Governor().step(float(sum(r["r"] for r in got))))
     timed("donor_marginals", lambda: len(R.cell_marginals(stream, plan_frame(spark, EVEN[:1]), LAST, 0.5).collect()))
     return spark.createDataFrame(rows, "step string, seconds double, row_count long")
@@ -769,6 +777,12 @@ def _(spark, sf_dir):
     return lineage.chain_sql(spark, plan_frame(spark, HISTORY), 4)
 
 
+@query("lineage_pruned", f"WITH {_history_values()} SELECT tile_id, (SELECT count(*) FROM h p WHERE list_contains(c.parent_ids, p.tile_id) AND (p.retired_round IS NULL OR p.retired_round > 12)) AS parents FROM h c WHERE c.retired_round IS NULL OR c.retired_round > 12")
+def _(spark, sf_dir):
+    """What is left of the history once data up to round 12 have expired."""
+    return plan_frame(spark, lineage.prune(HISTORY, 12)).select("tile_id", F.size("parent_ids").cast("long").alias("parents"))
+
+
 @query("chain_stats")
 def _(spark, sf_dir):
     run = _adaptive(spark, sf_dir, policy="always")

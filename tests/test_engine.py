@@ -75,6 +75,28 @@ def test_plan_store_is_versioned_and_idempotent(spark, tmp_path):
     assert store.read(5) == sorted(tiles[1:], key=lambda t: t.tile_id)
 
 
+def test_point_store_prunes_and_replaces(spark, tmp_path):
+    from pyspark.sql import functions as F
+
+    from gridtide.plans.store import PointStore
+
+    routed = routing.route_points(tables.event_points(spark, SF), plan_frame(spark, even_layout(EVENTS, 8)), "auto")
+    store = PointStore(spark, str(tmp_path / "points"))
+    store.append(routed.where(F.col("rnd") < 3))
+    store.append(routed.where(F.col("rnd").between(2, 4)))
+    assert store.read().count() == routed.where(F.col("rnd") <= 4).count()
+    some = store.read(3, 3).where(F.col("tile_id") == routed.first().tile_id)
+    assert "PartitionFilters: [isnotnull(rnd" in some._jdf.queryExecution().executedPlan().toString()
+
+
+def test_large_plans_go_by_cell(spark, monkeypatch):
+    monkeypatch.setattr(routing, "SMALL_PLAN", 4)
+    monkeypatch.setattr(routing, "CELLS_MOST", 10)
+    points, plan = tables.event_points(spark, SF), plan_frame(spark, even_layout(EVENTS, 8))
+    pairs = lambda f: sorted(map(tuple, f.select("point_id", "tile_id").collect()))
+    assert pairs(routing.route_points(points, plan, "auto")) == pairs(routing.route_points(points, plan))
+
+
 def test_entry_and_names(spark):
     assert set(registry.oracle_sql()) <= set(registry.queries())
     assert set(entry_module.oracle_sql()) <= set(entry_module.queries())
