@@ -36,17 +36,15 @@ def connected(links: DataFrame, scratch: Scratch, tag: str) -> DataFrame:
         links.where("u <> v").select(F.greatest("u", "v").alias("u"), F.least("u", "v").alias("v")).distinct(),
         f"{tag}-0",
     )
-    shape = None
     turn = 0
     while True:
         turn += 1
         now = scratch.keep(_stars(now, scratch, tag), f"{tag}-{turn}")
-        # settled when each node has one link and no root has a parent
-        seen = now.agg(F.count("*"), F.count_distinct("u"), F.sum(F.hash("u", "v").cast("long"))).first()
         scratch.drop(f"{tag}-{turn - 1}")
-        if seen == shape and seen[0] == seen[1]:
+        # settled when each node has one link and no root has a link of its own
+        seen = now.agg(F.count("*"), F.count_distinct("u")).first()
+        if seen[0] == seen[1] and now.join(now.select(F.col("u").alias("v")), "v", "left_semi").isEmpty():
             break
-        shape = seen
     scratch.drop(f"{tag}-low")
     return now.select(F.col("u").alias("node"), F.col("v").alias("root")).unionByName(
         now.select(F.col("v").alias("node"), F.col("v").alias("root")).distinct()

@@ -296,7 +296,7 @@ class NgramJaccardJoin:
         while True:
             pairs = first if turn == 0 else self._leader_pairs(starred, labels, checked, sketch) if turn == 1 else self._cross_pairs(starred, labels, checked, sketch, turn)
             pairs = keep(_possible(pairs, sketch), f"open-{turn}")
-            if turn > 1 and pairs.isEmpty():
+            if turn == 2 and pairs.isEmpty():
                 break
             done = self._verify(docs, pairs, f"round-{turn}")
             checked = done if checked is None else checked.unionByName(done)
@@ -304,6 +304,8 @@ class NgramJaccardJoin:
             links = checked.where(F.col("common") * DEN >= F.col("joint") * NUM)
             labels = connected(links.select(F.col("b").alias("u"), F.col("a").alias("v")), scratch, f"label-{turn}")
             turn += 1
+            if turn == 3:  # all pairs across components have been met: merging components opens no new ones
+                break
         # the result reads sets, classes, links and labels; all else can go
         scratch.drop("sketch", "starred", *(f"{t}-{k}" for t in ("open", "live", "mixed", "shape") for k in range(1, turn + 1)))
         degree = links.select(F.explode(F.array("a", "b")).alias("rep")).groupBy("rep").agg(F.count("*").alias("n_links"))
