@@ -36,14 +36,17 @@ def _cost(points: np.ndarray, rects: np.ndarray, t: Tile) -> float:
     return n * q * (n + q)
 
 
-def history_layout(points: DataFrame, queries: DataFrame, spec: GridSpec, machines: int, most: int = HISTORY_MOST) -> list[Tile]:
-    """Tiles of nearly equal cost on a limited history: the dearest tile is cut at its most even line.
+def history_layout(points: DataFrame, queries: DataFrame, spec: GridSpec, machines: int, most: int | None = HISTORY_MOST) -> list[Tile]:
+    """Tiles of nearly equal cost on a history: the dearest tile is cut at its most even line.
 
-    The history is the first ``most`` points and half as many queries; what
-    reaches the driver is their count by cell and by rectangle.
+    The history is the first ``most`` points and half as many queries, or all
+    of both where ``most`` is None; what reaches the driver is their count by
+    cell and by rectangle.
     """
-    cells = points.orderBy("ts", "point_id").limit(most).groupBy("cx", "cy").agg(F.count("*").alias("n")).collect()
-    boxes = queries.orderBy("qts", "query_id").limit(most // 2).groupBy(*R.RECT).agg(F.count("*").alias("n")).collect()
+    if most is not None:
+        points, queries = points.orderBy("ts", "point_id").limit(most), queries.orderBy("qts", "query_id").limit(most // 2)
+    cells = points.groupBy("cx", "cy").agg(F.count("*").alias("n")).collect()
+    boxes = queries.groupBy(*R.RECT).agg(F.count("*").alias("n")).collect()
     grid = np.zeros((spec.side, spec.side))
     for r in cells:
         grid[r["cx"], r["cy"]] = r["n"]
@@ -97,4 +100,4 @@ def compare(spark: SparkSession, stream: R.Stream, history: list[Tile], spec: Gr
 
 def halt_and_replan(spark: SparkSession, points: DataFrame, queries: DataFrame, spec: GridSpec, machines: int, rounds: list[int]) -> list[tuple[int, list[Tile]]]:
     """Centralised repartitioning: at each given round stop and lay out all history anew."""
-    return [(r, history_layout(points.where(F.col("rnd") <= r), queries.where(F.col("rnd") <= r), spec, machines)) for r in rounds]
+    return [(r, history_layout(points.where(F.col("rnd") <= r), queries.where(F.col("rnd") <= r), spec, machines, None)) for r in rounds]
