@@ -923,10 +923,16 @@ def _(spark, sf_dir):
 
 @query("control_strategies")
 def _(spark, sf_dir):
-    """Static loads on the control without skew: the uniform grid is close to even."""
+    """All rounds of every strategy on the control without skew: the uniform grid is close to even, and adaptive balancing must not hurt."""
     p = tables.line_points(spark, sf_dir).withColumn("rnd", F.pmod(F.col("rnd"), F.lit(30)))
-    stream = R.counted(spark, p, tables.order_queries(spark, sf_dir))
-    return measures.imbalance(R.static_loads(stream, _plan(spark)))
+    q = tables.order_queries(spark, sf_dir)
+    stream = R.counted(spark, p, q)
+    history = baselines.history_layout(p, q, EVENTS, MACHINES, max(200, p.count() // 4))
+    config = BalanceConfig(machines=MACHINES, capacity=baselines.default_capacity(stream, history, MACHINES))
+    rows = R.run_frame(spark, *baselines.compare(spark, stream, history, EVENTS, config, ("lazy", "always")))
+    # latency over mean load is the loads' mean square over their squared mean
+    spread = F.sqrt(F.greatest(F.lit(0.0), F.col("latency") / F.col("mean_load") - 1))
+    return rows.withColumns({"max_over_mean": F.col("max_load") / F.col("mean_load"), "variation": spread})
 
 
 @query("embedding_cells", "WITH e AS (SELECT CAST(embedding[1] AS DOUBLE) AS x, CAST(embedding[2] AS DOUBLE) AS y FROM embeddings) SELECT CAST(greatest(0, least(63, floor((x + 0.5) * 64 / 1.0))) AS INTEGER) AS cx, CAST(greatest(0, least(63, floor((y + 0.5) * 64 / 1.0))) AS INTEGER) AS cy, count(*) AS points FROM e GROUP BY 1, 2")

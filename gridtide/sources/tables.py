@@ -50,17 +50,17 @@ def line_points(spark: SparkSession, sf_dir: str, side: int = 64) -> DataFrame:
     parts = table(spark, sf_dir, "part").count()
     spec = GridSpec(900.0, 0.0, 104101.0, float(parts), side)
     rows = table(spark, sf_dir, "lineitem").select(
-        "l_orderkey", F.col("l_shipdate").alias("ts"), F.col("l_extendedprice").alias("x"), F.col("l_partkey").cast("double").alias("y"), F.col("l_returnflag").alias("tag"),
+        F.struct("l_orderkey", "l_linenumber").alias("point_id"), "l_orderkey", F.col("l_shipdate").alias("ts"), F.col("l_extendedprice").alias("x"), F.col("l_partkey").cast("double").alias("y"), F.col("l_returnflag").alias("tag"),
         ((F.year("l_shipdate") - 1995) * 12 + F.month("l_shipdate") - 1).cast("int").alias("rnd"),
     )
     return to_cells(rows, spec)
 
 
 def order_queries(spark: SparkSession, sf_dir: str, side: int = 64, half: int = 1) -> DataFrame:
-    """F2 queries: every fifth order, ``half`` cells around its cell."""
+    """F2 queries: every order, ``half`` cells around its cell."""
     customers = table(spark, sf_dir, "customer").count()
     spec = GridSpec(1000.0, 0.0, 499001.0, float(customers), side)
-    rows = table(spark, sf_dir, "orders").where("o_orderkey % 5 = 0").select(
+    rows = table(spark, sf_dir, "orders").select(
         F.col("o_orderkey").alias("query_id"), F.col("o_orderdate").alias("qts"), F.col("o_custkey").alias("subscriber_id"), F.col("o_totalprice").alias("x"), F.col("o_custkey").cast("double").alias("y")
     )
     low = lambda c: F.greatest(F.lit(0), F.col(c) - half).cast("int")

@@ -4,6 +4,9 @@ from pyspark.sql import functions as F
 
 from gridtide.config import GridSpec
 from gridtide.operators import baselines
+from gridtide.registry import QUERIES
+
+DATA = "/root/testdata/sf0.001"
 
 
 def test_replanning_reads_all_history(spark):
@@ -18,3 +21,15 @@ def test_replanning_reads_all_history(spark):
     assert (corner(early, 0), corner(early, 6)) == (4, 1)
     assert corner(whole, 6) > 1
     assert baselines.history_layout(points, queries, spec, 4) == early  # the limited history stays limited
+
+
+def test_control_plays_every_strategy_on_all_orders(spark):
+    orders = spark.read.parquet(f"{DATA}/orders.parquet").count()
+    rows = QUERIES["control_strategies"](spark, DATA).collect()
+    units: dict[str, float] = {}
+    for r in rows:
+        units[r.strategy] = units.get(r.strategy, 0.0) + r.units
+        assert r.live_queries == orders  # all orders are there from the first round on
+    assert {"replicated", "uniform_grid", "history_grid", "adaptive_lazy_closed", "adaptive_always_closed"} == set(units)
+    assert len(rows) == 30 * len(units)
+    assert units["adaptive_lazy_closed"] >= units["uniform_grid"]  # balancing must not hurt where there is nothing to balance
