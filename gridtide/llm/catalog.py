@@ -29,3 +29,13 @@ def oracle_sql() -> dict[str, str]:
         "op9_exact_dedup": exact_dedup.SQL,
         "op10_warc": warc.SQL,
     }
+
+
+def further_queries() -> dict:
+    """Queries beside the one of each operator."""
+    return {"ngram_jaccard_links": ngram_join.ngram_jaccard_links}
+
+
+def further_sql() -> dict[str, str]:
+    """DuckDB text of the further queries."""
+    return {"ngram_jaccard_links": ngram_join.LINKS_SQL}

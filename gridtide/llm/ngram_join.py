@@ -14,6 +14,9 @@ therefore loses no pair.
 Sets that share a signature are candidates.  They are compared exactly, first
 with the least member of their signature group (a star, never all pairs), then
 only those pairs whose link is still open: members of different components.
+That settles components.  Links themselves are asked for separately: every link
+lies inside a component, so all pairs of a component's sets are then compared,
+in blocks, and each row's number of links is exact.
 Before any comparison parity sketches, of 512 bits first and then of at least a
 bit for each item, bound the difference of two sets from below, exactly, and
 drop pairs that cannot reach the similarity.
@@ -41,6 +44,8 @@ MOST_SCHEMES = 64
 SKETCH = 8  # longs of a parity sketch
 NEED_MOST = 1 << 18  # ids that are broadcast at most
 LONGS = [f"s{i}" for i in range(SKETCH)]
+BLOCK, BLOCK_ITEMS = 256, 1 << 20  # sets, and their items, in one block of a component
+SLICE_CELLS = 1 << 21  # cells of a dense slice when a block is compared
 
 
 def distinct_shingles(hashes: np.ndarray, n: int = N_WORDS) -> np.ndarray:
@@ -238,6 +243,54 @@ def _overlaps(batches):
         )
 
 
+def _block_links(owner_block: np.ndarray, weight: np.ndarray, items: list[np.ndarray], i: int, j: int) -> np.ndarray:
+    """Links of each set of a cell to the sets of its other block, each counted with its weight."""
+    x, y = np.flatnonzero(owner_block == i), np.flatnonzero(owner_block == j)
+    size = np.array([len(v) for v in items], np.int64)
+    owner = np.repeat(np.arange(len(items)), size)
+    order = np.argsort(np.concatenate(items), kind="stable")
+    value, owner = np.concatenate(items)[order], owner[order]
+    column = np.cumsum(np.append(False, value[1:] != value[:-1]))
+    held = np.bincount(column)[column] > 1  # items of one set only are common to none
+    _, column = np.unique(column[held], return_inverse=True)
+    owner = owner[held]
+    common = np.zeros((len(x), len(y)), np.int64)
+    width = max(1, SLICE_CELLS // len(items))
+    for low in range(0, int(column[-1]) + 1 if len(column) else 0, width):
+        a, b = np.searchsorted(column, [low, low + width])
+        dense = np.zeros((len(items), width), np.float32)
+        dense[owner[a:b], column[a:b] - low] = 1
+        common += (dense[x] @ dense[y].T).astype(np.int64)  # exact: a slice has under 2 ** 24 columns
+    linked = common * DEN >= (size[x][:, None] + size[y][None, :] - common) * NUM
+    out = np.zeros(len(items), np.int64)
+    if i == j:
+        np.fill_diagonal(linked, False)
+        out[x] = linked @ weight[y]
+    else:
+        out[x], out[y] = linked @ weight[y], weight[x] @ linked
+    return out
+
+
+def _cell_links(batches):
+    """Links that each cell (root, i, j) adds to its sets; rows come sorted by cell."""
+    key, held = None, []
+
+    def done():
+        rep, block, weight, items = zip(*held, strict=True)
+        links = _block_links(np.array(block), np.array(weight, np.int64), list(items), key[1], key[2])
+        return pa.RecordBatch.from_arrays([pa.array(rep, pa.int64()), pa.array(links)], names=["rep", "links"])
+
+    for batch in batches:
+        for root, i, j, rep, block, weight, items in zip(*(c.to_pylist() for c in batch.columns), strict=True):
+            if (root, i, j) != key:
+                if held:
+                    yield done()
+                key, held = (root, i, j), []
+            held.append((rep, block, weight, np.frombuffer(items, np.uint64)))
+    if held:
+        yield done()
+
+
 class NgramJaccardJoin:
     """Exact similarity self-join of texts at a Jaccard similarity of 0.8 over 5-word shingles."""
 
@@ -258,13 +311,13 @@ class NgramJaccardJoin:
         self.scratch.drop(f"{tag}-sets", f"{tag}-need")
         return done
 
-    def run(self, documents: DataFrame) -> DataFrame:
-        """(doc_id, n_shingles, component_id, n_links) for every row of ``documents``.
+    def run(self, documents: DataFrame, links: bool = False) -> DataFrame:
+        """(doc_id, n_shingles, component_id) for every row of ``documents``, with ``n_links`` where ``links`` are asked for.
 
-        ``n_links`` counts the verified links of the row's set to other sets,
-        a lower bound of its degree.  Null and blank texts have an empty set
-        and are linked with nothing; rows without an id stand alone with a
-        null component.  Equal sets are one class and link through it.
+        ``n_links`` is the number of other ids whose set is similar to the
+        row's, those of equal sets included.  Null and blank texts have an
+        empty set and are linked with nothing; rows without an id stand alone
+        with a null component and no links.
         """
         keep, scratch = self.scratch.keep, self.scratch
         docs = documents.select(F.col("doc_id").cast("long").alias("doc_id"), F.col("text").cast("string").alias("text"))
@@ -301,22 +354,45 @@ class NgramJaccardJoin:
             done = self._verify(docs, pairs, f"round-{turn}")
             checked = done if checked is None else checked.unionByName(done)
             scratch.drop(f"open-{turn}")
-            links = checked.where(F.col("common") * DEN >= F.col("joint") * NUM)
-            labels = connected(links.select(F.col("b").alias("u"), F.col("a").alias("v")), scratch, f"label-{turn}")
+            near = checked.where(F.col("common") * DEN >= F.col("joint") * NUM)
+            labels = connected(near.select(F.col("b").alias("u"), F.col("a").alias("v")), scratch, f"label-{turn}")
             turn += 1
             if turn == 3:  # all pairs across components have been met: merging components opens no new ones
                 break
-        # the result reads sets, classes, links and labels; all else can go
+        # the result reads sets, classes and labels; all else can go
         scratch.drop("sketch", "starred", *(f"{t}-{k}" for t in ("open", "live", "mixed", "shape") for k in range(1, turn + 1)))
-        degree = links.select(F.explode(F.array("a", "b")).alias("rep")).groupBy("rep").agg(F.count("*").alias("n_links"))
         label = labels.select(F.col("node").alias("rep"), "root")
-        found = info.join(wide, ["n", "h1", "h2"], "left").join(label, "rep", "left").join(degree, "rep", "left")
-        return found.select(
-            "doc_id",
-            F.col("n").alias("n_shingles"),
-            F.coalesce("root", "rep", "doc_id").alias("component_id"),
-            F.coalesce("n_links", F.lit(0)).alias("n_links"),
-        )
+        shown = ["doc_id", F.col("n").alias("n_shingles"), F.coalesce("root", "rep", "doc_id").alias("component_id")]
+        if links:  # joined to classes, not rows, so that a large class is no hot key
+            wide = keep(wide.join(self._degrees(docs, info, wide, label), "rep", "left"), "degrees")
+            known = F.col("doc_id").isNotNull() & F.col("n_links").isNotNull()
+            shown.append(F.when(known, F.col("n_links")).otherwise(0).alias("n_links"))
+        found = info.join(wide, ["n", "h1", "h2"], "left").join(label, "rep", "left")
+        return found.select(*shown)
+
+    def _degrees(self, docs: DataFrame, info: DataFrame, wide: DataFrame, label: DataFrame) -> DataFrame:
+        """(rep, n_links) of each class of equal sets: the ids in it but one, and those of all similar sets.
+
+        A component's sets are dealt to blocks, and each pair of blocks is a
+        cell of its own, so a large component is worked on by many tasks.
+        """
+        keep, scratch = self.scratch.keep, self.scratch
+        ids = info.where("n > 0 and doc_id is not null").select("doc_id", "n", "h1", "h2").distinct()
+        size = ids.groupBy("n", "h1", "h2").agg(F.count("*").alias("weight"))
+        size = keep(size.join(wide, ["n", "h1", "h2"]).select("rep", "n", "weight"), "sizes")
+        members = keep(size.join(label, "rep"), "members")
+        blocks = members.groupBy("root").agg(F.greatest(F.ceil(F.count("*") / BLOCK), F.ceil(F.sum("n") / BLOCK_ITEMS)).cast("int").alias("blocks"))
+        blocks = keep(blocks, "blocks")
+        members = members.join(blocks, "root").select("rep", "root", "weight", "blocks", F.pmod(F.xxhash64("rep"), F.col("blocks")).cast("int").alias("block"))
+        need = keep(members.select(F.col("rep").alias("doc_id")), "links-need")
+        some = docs.join(F.broadcast(need) if need.count() <= NEED_MOST else need, "doc_id", "left_semi").select("doc_id", "text")
+        sets = keep(some.mapInArrow(_sets, "doc long, items binary").dropDuplicates(["doc"]), "links-sets")
+        dealt = members.join(sets.withColumnRenamed("doc", "rep"), "rep").withColumn("other", F.explode(F.sequence(F.lit(0), F.col("blocks") - 1)))
+        cells = dealt.select("root", F.least("block", "other").alias("i"), F.greatest("block", "other").alias("j"), "rep", "block", "weight", "items")
+        cells = cells.repartition(partitions(self.spark), "root", "i", "j").sortWithinPartitions("root", "i", "j")
+        similar = keep(cells.mapInArrow(_cell_links, "rep long, links long").groupBy("rep").agg(F.sum("links").alias("links")), "links")
+        scratch.drop("members", "blocks", "links-need", "links-sets")
+        return size.join(similar, "rep", "left").select("rep", (F.col("weight") - 1 + F.coalesce("links", F.lit(0))).alias("n_links"))
 
     def _mixed(self, starred: DataFrame, labels: DataFrame, turn: int) -> DataFrame:
         """Members of signature groups that still hold several components, with their component."""
@@ -382,7 +458,12 @@ def _wide_close(batches):
 
 def op2_ngram_jaccard_join(spark: SparkSession, sf_dir: str) -> DataFrame:
     """Components of the near-duplicate links among all documents."""
-    return NgramJaccardJoin(spark).run(spark.read.parquet(f"{sf_dir}/documents.parquet")).drop("n_links")
+    return NgramJaccardJoin(spark).run(spark.read.parquet(f"{sf_dir}/documents.parquet"))
+
+
+def ngram_jaccard_links(spark: SparkSession, sf_dir: str) -> DataFrame:
+    """The components of op2_ngram_jaccard_join, with each document's exact number of near-duplicate links."""
+    return NgramJaccardJoin(spark).run(spark.read.parquet(f"{sf_dir}/documents.parquet"), links=True)
 
 
 SQL = """
@@ -409,3 +490,21 @@ SELECT d.doc_id, CAST(coalesce(s.n, 0) AS BIGINT) AS n_shingles, m.component_id
 FROM documents d LEFT JOIN sizes s USING (doc_id)
 JOIN (SELECT a AS doc_id, min(b) AS component_id FROM reach GROUP BY a) m USING (doc_id)
 """
+
+LINKS_SQL = f"""
+WITH words AS (
+  SELECT doc_id, list_filter(regexp_split_to_array(
+    translate(coalesce(text, ''), 'ABCDEFGHIJKLMNOPQRSTUVWXYZ', 'abcdefghijklmnopqrstuvwxyz'),
+    '[\\x20\\x09-\\x0D]+'), lambda x: x <> '') AS w
+  FROM documents),
+shingles AS (
+  SELECT DISTINCT doc_id, unnest(CASE WHEN len(w) = 0 THEN [] WHEN len(w) < 5 THEN [array_to_string(w, ' ')]
+    ELSE list_transform(range(1, len(w) - 3), lambda i: array_to_string(w[i:i + 4], ' ')) END) AS s
+  FROM words),
+sizes AS (SELECT doc_id, count(*) AS n FROM shingles GROUP BY doc_id),
+links AS (
+  SELECT x.doc_id AS a, y.doc_id AS b FROM shingles x JOIN shingles y ON x.s = y.s AND x.doc_id <> y.doc_id
+  JOIN sizes p ON p.doc_id = x.doc_id JOIN sizes q ON q.doc_id = y.doc_id
+  GROUP BY x.doc_id, y.doc_id, p.n, q.n HAVING 100 * count(*) >= 80 * (p.n + q.n - count(*)))
+SELECT c.*, (SELECT count(*) FROM links WHERE a = c.doc_id) AS n_links FROM ({SQL}) c
+"""

@@ -1,10 +1,12 @@
 import random
 import re
 
+import duckdb
 import numpy as np
 import pytest
 from pyspark.sql import types as T
 
+import __spark_entry__ as entry_module
 from gridtide.llm import ngram_join as J
 
 SCHEMA = T.StructType([T.StructField("doc_id", T.LongType()), T.StructField("text", T.StringType()), T.StructField("n", T.StringType())])
@@ -86,3 +88,35 @@ def test_similar_sets_always_share_a_signature():
             common = len(np.intersect1d(x, y))
             if 100 * common >= 80 * (len(x) + len(y) - common):
                 assert len(np.intersect1d(J.signatures(x), J.signatures(y)))
+
+
+def brute_links(rows):
+    sets = {i: shingles(t) for i, t, _ in rows if i is not None}
+    near = lambda a, b: sets[a] and sets[b] and 100 * len(sets[a] & sets[b]) >= 80 * len(sets[a] | sets[b])
+    return {i: sum(bool(near(i, o)) for o in sets if o != i) for i in sets}
+
+
+@pytest.mark.parametrize("block", [J.BLOCK, 3])
+def test_links_are_exact(spark, monkeypatch, block):
+    monkeypatch.setattr(J, "BLOCK", block)
+    # near copies that are all similar to each other, two of them twice, beside chains and single texts
+    words = [f"t{i}" for i in range(400)]
+    group = [" ".join(words[:k] + [f"u{k}"] + words[k + 1 :]) for k in range(20, 400, 40)]
+    rows = rows_of(3) + [(20000 + i, t, "x") for i, t in enumerate(group + group[:2])]
+    found = J.NgramJaccardJoin(spark).run(spark.createDataFrame(rows, SCHEMA).repartition(3), links=True)
+    assert {r.doc_id: r.n_links for r in found.collect()} == brute_links(rows)
+
+
+def test_links_of_null_and_repeated_ids(spark):
+    rows = [(1, "a b c d e f", "x"), (1, "a b c d e f", "x"), (2, "A b c d e f", "x"), (None, "a b c d e f", None)]
+    found = J.NgramJaccardJoin(spark).run(spark.createDataFrame(rows, SCHEMA), links=True).collect()
+    assert sorted((r.doc_id or -1, r.n_links) for r in found) == [(-1, 0), (1, 1), (1, 1), (2, 1)]
+
+
+def test_links_equal_sql(spark):
+    name, folder = "ngram_jaccard_links", "/root/testdata/sf0.001"
+    duck = duckdb.connect()
+    duck.execute(f"CREATE VIEW documents AS SELECT * FROM '{folder}/documents.parquet'")
+    want = duck.execute(f"SELECT doc_id, n_shingles, component_id, n_links FROM ({entry_module.oracle_sql()[name]})").fetchall()
+    found = entry_module.queries()[name](spark, folder).select("doc_id", "n_shingles", "component_id", "n_links").collect()
+    assert sorted(tuple(r) for r in found) == sorted(want) and any(r[3] for r in want)
