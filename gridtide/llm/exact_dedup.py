@@ -6,6 +6,11 @@ bucket.  Compaction merges runs and keeps, for each digest, the entry that
 stays: most code points, then smallest id.  A digest held more than once is a
 hit, and every hit's bytes are compared with those of the entry that stays.
 
+That index (:class:`DigestIndex`) serves tables that arrive piece by piece.
+:func:`exact_duplicates`, and with it the registered query, has the whole table
+at hand and does without runs, filters and compaction: it groups the entries by
+digest and then compares bytes.
+
 Defined cases: null text counts as empty; all blank texts are equal; a row
 without an id takes part but stays only where no row of its group has one; rows
 that repeat an id and a text share their fate; an empty table gives no rows.
