@@ -8,8 +8,12 @@ a Python string.
 
 from __future__ import annotations
 
+import unicodedata
+from functools import lru_cache
+
 import numpy as np
 import pyarrow as pa
+import pyarrow.compute as pc
 
 BLANKS = np.array([0x20, 0x09, 0x0A, 0x0B, 0x0C, 0x0D], np.uint8)
 STEP = np.uint64(0x9E3779B97F4A7C15)
@@ -41,15 +45,17 @@ BASE = 0x9E3779B97F4A7C15 | 1
 BASE_INVERSE = pow(BASE, -1, 1 << 64)
 
 
+SEGMENT = 1 << 20  # bytes that are hashed at once, unless one word is longer
 _TABLES: dict[int, np.ndarray] = {}
 
 
 def _powers(base: int, n: int) -> np.ndarray:
-    """base ** 0, 1, ... for n at least; one table a base grows by doubling."""
+    """base ** 0, 1, ... for n at least; one table a base grows by doubling, up to about a segment."""
     out = _TABLES.get(base, np.ones(1, np.uint64))
     while len(out) < n:
         out = np.concatenate([out, out * np.uint64(pow(base, len(out), 1 << 64))])
-    _TABLES[base] = out
+        if len(out) <= 2 * SEGMENT:
+            _TABLES[base] = out
     return out
 
 
@@ -57,13 +63,41 @@ def powers(n: int) -> tuple[np.ndarray, np.ndarray]:
     return _powers(BASE, n + 1), _powers(BASE_INVERSE, n + 1)
 
 
+LETTERS, DIGITS = 1, 2  # bits of a code point's kind
+
+
+@lru_cache(maxsize=1)
+def _kinds() -> np.ndarray:
+    """LETTERS for letters and marks, DIGITS for numbers, by code point."""
+    bit = {"L": LETTERS, "M": LETTERS, "N": DIGITS}
+    return np.array([bit.get(unicodedata.category(chr(c))[0], 0) for c in range(0x110000)], np.uint8)
+
+
+def _wide(data: np.ndarray, kinds: int) -> np.ndarray:
+    """True for every byte of the characters beyond ASCII that are of the given kinds."""
+    out = np.zeros(len(data), bool)
+    heads = np.flatnonzero(data >= 0xC0)
+    lead = data[heads]
+    for low, high, size in ((0xC0, 0xE0, 2), (0xE0, 0xF0, 3), (0xF0, 0x100, 4)):
+        at = heads[(lead >= low) & (lead < high)]
+        code = data[at].astype(np.int64) & (0x7F >> size)
+        for j in range(1, size):
+            code = code << 6 | (data[at + j] & 0x3F)
+        at = at[(_kinds()[code] & kinds) > 0]
+        for j in range(size):
+            out[at + j] = True
+    return out
+
+
 class Texts:
-    """The texts of a batch as one byte array with offsets; null is empty."""
+    """The texts of a batch as one byte array with offsets; null is empty.  ``lower`` folds case in all of Unicode."""
 
-    def __init__(self, column: pa.Array):
+    def __init__(self, column: pa.Array, lower: bool = False):
         column = column.cast(pa.large_string())
         if column.null_count:
             column = column.fill_null("")
+        if lower:
+            column = pc.utf8_lower(column)
         _, where, data = column.buffers()
         ends = np.frombuffer(where, np.int64)[column.offset : column.offset + len(column) + 1] if len(column) else np.zeros(1, np.int64)
         first, last = int(ends[0]), int(ends[-1])
@@ -72,11 +106,25 @@ class Texts:
 
 
 class Words:
-    """Word starts, ends and hashes of a batch; ``first[i]:first[i+1]`` are text i's."""
+    """Word starts, ends and hashes of a batch; ``first[i]:first[i+1]`` are text i's.
 
-    def __init__(self, texts: Texts, fold: bool = True, inside: np.ndarray = IS_WORD):
+    ``inside`` marks the bytes of words; with ``kinds`` it does so for ASCII
+    only, and characters beyond it belong to words by their kind.  ``joins`` is
+    a byte that belongs to a word only between two of its bytes.
+    """
+
+    def __init__(self, texts: Texts, fold: bool = True, inside: np.ndarray = IS_WORD, kinds: int = 0, joins: int | None = None):
         data, offs = texts.data, texts.offs
         word = inside[data]
+        self.mask = None
+        if kinds and len(data) and data.max() >= 0x80:
+            self.mask = word = (word & (data < 0x80)) | _wide(data, kinds)
+        if joins is not None and len(data) > 2:
+            at = np.flatnonzero(data[1:-1] == joins) + 1
+            at = at[word[at - 1] & word[at + 1] & ~np.isin(at, offs) & ~np.isin(at + 1, offs)]
+            if len(at):
+                self.mask = word = word.copy()
+                word[at] = True
         begin, end = word.copy(), word.copy()
         if len(data):
             begin[1:] &= ~word[:-1]
@@ -87,24 +135,35 @@ class Words:
         self.starts = np.flatnonzero(begin)
         self.ends = np.flatnonzero(end) + 1
         self.first = np.searchsorted(self.starts, offs)
-        self.values = np.where(inside, FOLDED if fold else EXACT, np.uint64(0))
+        table = FOLDED if fold else EXACT
+        self.values = table if self.mask is not None else np.where(inside, table, np.uint64(0))
         self.data = data
 
     def hashes(self) -> np.ndarray:
-        if not len(self.starts):
-            return np.zeros(0, np.uint64)
-        up, down = powers(len(self.data))
-        sums = np.add.reduceat(self.values[self.data] * up[: len(self.data)], self.starts)
-        return mix(sums * down[self.starts] + (self.ends - self.starts).astype(np.uint64) * STEP)
+        """A hash for each word, from its bytes alone; whole words are worked on segment by segment."""
+        out = np.zeros(len(self.starts), np.uint64)
+        at = 0
+        while at < len(out):
+            stop = max(at + 1, int(np.searchsorted(self.ends, self.starts[at] + SEGMENT, side="right")))
+            low, high = int(self.starts[at]), int(self.ends[stop - 1])
+            up, down = powers(high - low)
+            terms = self.values[self.data[low:high]] * up[: high - low]
+            if self.mask is not None:
+                terms *= self.mask[low:high]
+            heads = self.starts[at:stop] - low
+            size = (self.ends[at:stop] - self.starts[at:stop]).astype(np.uint64)
+            out[at:stop] = mix(np.add.reduceat(terms, heads) * down[heads] + size * STEP)
+            at = stop
+        return out
 
     def prefix_hashes(self, which: np.ndarray, size: int) -> np.ndarray:
         """Hashes of the first ``size`` bytes of some words, each longer than that."""
-        up, down = powers(len(self.data))
+        up, _ = powers(size)
         at = self.starts[which]
         total = np.zeros(len(at), np.uint64)
         for j in range(size):
             total += self.values[self.data[at + j]] * up[j]
-        return mix(total + np.uint64(size) * STEP)
+        return mix(total + np.uint64(size * int(STEP) & MASK))
 
     def longer(self, size: int) -> np.ndarray:
         return np.flatnonzero(self.ends - self.starts > size)
@@ -159,8 +218,6 @@ def chunks(batches, text: str, most: int = CHUNK_BYTES):
 
 
 def _sizes(column: pa.Array) -> np.ndarray:
-    import pyarrow.compute as pc
-
     return np.asarray(pc.binary_length(column).fill_null(0), np.int64)
 
 

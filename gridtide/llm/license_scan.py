@@ -24,7 +24,7 @@ from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
 from . import kernel as K
-from .tiling import _ALNUM
+from .tiling import token_words
 
 GRAM_BITS, GRAMS = 15, 3
 WINDOW, STRIDE = 64, 32
@@ -67,9 +67,9 @@ DECOYS = (
 )
 
 
-def paragraphs(texts: K.Texts) -> tuple[np.ndarray, np.ndarray, np.ndarray]:
+def paragraphs(column: pa.Array) -> tuple[np.ndarray, np.ndarray, np.ndarray]:
     """(token hashes, bounds (start, stop) of each piece, text of each piece)."""
-    words = K.Words(texts, True, _ALNUM)
+    texts, words = token_words(column)
     hashes = words.hashes()
     if not len(hashes):
         return hashes, np.zeros((0, 2), np.int64), np.zeros(0, np.int64)
@@ -174,8 +174,7 @@ def fit(documents: DataFrame, sample_docs: int = SAMPLE_DOCS) -> LicenceModel:
     for text in [*plain, *DECOYS * 8, *(" ".join(rng.choice(mixed) for _ in range(rng.randrange(3, 30))) for _ in range(300))]:
         pieces.append(text)
         target.append(len(families))
-    texts = K.Texts(pa.array([p.replace("\n", " ") for p in pieces], pa.string()))
-    hashes, spans, owner = paragraphs(texts)
+    hashes, spans, owner = paragraphs(pa.array([p.replace("\n", " ") for p in pieces], pa.string()))
     y = np.array(target)[owner]
     counts = [(gram_ids(hashes[a:b], n)) for a, b in spans for n in range(1, GRAMS + 1)]
     rows_of = np.repeat(np.arange(len(spans)).repeat(GRAMS), [len(c) for c in counts])
@@ -226,7 +225,7 @@ def fit(documents: DataFrame, sample_docs: int = SAMPLE_DOCS) -> LicenceModel:
     table[used] = w
     pairs = []
     for family, text in TEMPLATES:
-        pairs.append((families.index(family), np.unique(K.chained(K.Words(K.Texts(pa.array([text])), True, _ALNUM).hashes(), 2))))
+        pairs.append((families.index(family), np.unique(K.chained(token_words(pa.array([text]))[1].hashes(), 2))))
     return LicenceModel(families, table, b.astype(np.float32), temperature, threshold, pairs)
 
 
@@ -243,7 +242,7 @@ def _scan(model: LicenceModel):
     def run(batches):
         for batch in K.chunks(batches, "text"):
             n = batch.num_rows
-            hashes, spans, doc = paragraphs(K.Texts(batch.column(1)))
+            hashes, spans, doc = paragraphs(batch.column(1))
             family, prob = model.classify(hashes, spans) if len(spans) else (np.zeros(0, np.int64), np.zeros(0))
             notes, hits, best, held = [set() for _ in range(n)], np.zeros(n, np.int64), np.zeros(n), np.zeros(n)
             for i in np.flatnonzero(family >= 0).tolist():

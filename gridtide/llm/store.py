@@ -8,26 +8,54 @@ costs no more than the tasks it was running.
 from __future__ import annotations
 
 import tempfile
+import threading
 import uuid
 
-from pyspark.sql import DataFrame, SparkSession
+from pyspark.errors import AnalysisException
+from pyspark.sql import Column, DataFrame, SparkSession, Window
 from pyspark.sql import functions as F
 
 CLEANUP = "spark.sql.classic.shuffleDependency.fileCleanup.enabled"
+_lock, _writers = threading.Lock(), {"n": 0, "before": None}
 
 
 def shared_root(spark: SparkSession) -> str:
-    """The session's shared folder; a temporary one is set only where none is."""
+    """The session's shared folder; a temporary one is made only in local mode, where all tasks run on this machine."""
     named = spark.conf.get("spark.checkpoint.dir", None) or spark.sparkContext.getConf().get("spark.checkpoint.dir")
     if named:
         return named.rstrip("/")
     held = spark.sparkContext.getCheckpointDir()
     if not held:
+        if not spark.sparkContext.master.startswith("local"):
+            raise ValueError("set spark.checkpoint.dir to a folder that driver and executors share")
         spark.sparkContext.setCheckpointDir("file://" + tempfile.mkdtemp(prefix="gridtide-"))
         held = spark.sparkContext.getCheckpointDir()
     return held.rstrip("/")
 
 
+class _Cleaning:
+    """Shuffle clean-up is on while any write of this module runs, and as it was before once the last has ended."""
+
+    def __init__(self, spark: SparkSession):
+        self.conf = spark.conf
+
+    def __enter__(self):
+        with _lock:
+            if not _writers["n"]:
+                _writers["before"] = self.conf.get(CLEANUP, None)
+                self.conf.set(CLEANUP, "true")
+            _writers["n"] += 1
+
+    def __exit__(self, *_):
+        with _lock:
+            _writers["n"] -= 1
+            if not _writers["n"]:
+                if _writers["before"] is None:
+                    self.conf.unset(CLEANUP)
+                else:
+                    self.conf.set(CLEANUP, _writers["before"])
+
+
 class Scratch:
     """A private folder of intermediate tables below the shared root."""
 
@@ -42,15 +70,8 @@ class Scratch:
         as the write has ended instead of when the driver next collects garbage.
         """
         where = f"{self.path}/{name}"
-        before = self.spark.conf.get(CLEANUP, None)
-        self.spark.conf.set(CLEANUP, "true")
-        try:
+        with _Cleaning(self.spark):
             frame.write.mode("overwrite").parquet(where)
-        finally:
-            if before is None:
-                self.spark.conf.unset(CLEANUP)
-            else:
-                self.spark.conf.set(CLEANUP, before)
         return self.spark.read.schema(frame.schema).parquet(where)
 
     def read(self, name: str, schema) -> DataFrame:
@@ -60,9 +81,13 @@ class Scratch:
         """Delete tables that no later plan reads."""
         jvm, conf = self.spark.sparkContext._jvm, self.spark.sparkContext._jsc.hadoopConfiguration()
         for name in names:
-            path = jvm.org.apache.hadoop.fs.Path(f"{self.path}/{name}")
+            path = jvm.org.apache.hadoop.fs.Path(f"{self.path}/{name}" if name else self.path)
             path.getFileSystem(conf).delete(path, True)
 
+    def close(self) -> None:
+        """Delete the folder; results that still read it are lost."""
+        self.drop("")
+
 
 BROADCAST_ROWS = 1 << 19  # rows of a few numbers that are broadcast at most
 
@@ -75,3 +100,39 @@ def bounded(frame: DataFrame, rows: int = BROADCAST_ROWS) -> DataFrame:
 def partitions(spark: SparkSession) -> int:
     """The session's shuffle partition count, the scale setting operators follow."""
     return int(spark.conf.get("spark.sql.shuffle.partitions"))
+
+
+def free_name(columns, wanted: str) -> str:
+    """``wanted``, or with underscores before it where a column already has that name (case ignored, as Spark does)."""
+    taken = {c.lower() for c in columns}
+    while wanted.lower() in taken:
+        wanted = "_" + wanted
+    return wanted
+
+
+def with_row_ids(documents: DataFrame, name: str, scratch: Scratch) -> DataFrame:
+    """``documents`` with a long column ``name`` that tells every row from all others, repeated rows too.
+
+    The id is the row's file number and place in that file, so it comes out
+    the same in every plan that reads these documents again.  Documents that no
+    file holds are written first.
+    """
+
+    def place(frame: DataFrame) -> tuple[Column, Column]:
+        meta = frame.metadataColumn("_metadata")
+        found = meta["file_path"], meta["row_index"]
+        frame.select(found[0].alias("a"), found[1].alias("b")).schema  # noqa: B018 - resolves the columns
+        return found
+
+    try:
+        path, row = place(documents)
+    except AnalysisException:
+        documents = scratch.keep(documents, "rows")
+        path, row = place(documents)
+    held = free_name([*documents.columns, name], "file")
+    at = free_name([*documents.columns, name, held], "row")
+    number = free_name([*documents.columns, name, held, at], "number")
+    files = documents.select(path.alias(held)).distinct()
+    files = scratch.keep(files.select(held, F.row_number().over(Window.partitionBy(F.lit(0)).orderBy(held)).cast("long").alias(number)), "files")  # a row for each file
+    rows = documents.select("*", path.alias(held), row.alias(at)).join(bounded(files, 1 << 16), held)
+    return rows.withColumn(name, F.shiftleft(F.col(number), 40) + F.col(at)).drop(held, at, number)

@@ -1,21 +1,25 @@
 """Benchmark decontamination by greedy string tiling.
 
 Documents and benchmark items become token sequences.  Hashed seeds of
-``MIN_MATCH`` tokens are joined; seeds on one diagonal that follow each other
-are a maximal match.  Matches are laid as tiles, longest first: each is checked
-by Karp-Rabin prefix hashes against what earlier tiles have left, and a match cut
-by a tile goes back with what remains of it.  An item whose tiles cover enough of
-its tokens, in whatever order the document has them, marks the document.
+``MIN_MATCH`` tokens are joined, and an item whose shared seeds can't cover
+enough of it is out.  For the others the longest run of free tokens that document
+and item share is found by Karp-Rabin hashes of runs of one length, the length
+by bisection, and marked as a tile; this is repeated until no run of
+``MIN_MATCH`` is left.  An item whose tiles cover enough of its tokens, in
+whatever order the document has them, marks the document.
+
+Memory follows the lengths of a text and an item, never the number of pairs of
+equal seeds, so junk that repeats one token costs no more than prose.
 
 Defined cases: null, empty and blank texts match nothing; an item with fewer
-than ``MIN_MATCH`` tokens can't be told from chance and matches nothing; rows
-that repeat are reported alike, once for each row; empty tables give no rows.
+than ``MIN_MATCH`` tokens can't be told from chance and matches nothing; a text
+of any length is searched whole; rows that repeat are reported alike, once for
+each row; further columns, whatever their names, are not read; empty tables give
+no rows.
 """
 
 from __future__ import annotations
 
-import heapq
-
 import numpy as np
 import pyarrow as pa
 from pyspark.sql import DataFrame, SparkSession
@@ -30,60 +34,90 @@ FOUND = "doc_id long, item_id long, coverage double, tiles long, matched_tokens
 
 _ALNUM = np.zeros(256, bool)
 _ALNUM[np.frombuffer(b"abcdefghijklmnopqrstuvwxyzABCDEFGHIJKLMNOPQRSTUVWXYZ0123456789", np.uint8)] = True
-_ALNUM[128:] = True
+
+
+def token_words(column: pa.Array) -> tuple[K.Texts, K.Words]:
+    """Tokens of lower-cased texts: runs of letters, marks and digits of any script."""
+    texts = K.Texts(column, lower=True)
+    return texts, K.Words(texts, True, _ALNUM, K.LETTERS | K.DIGITS)
 
 
 def token_hashes(column: pa.Array) -> tuple[np.ndarray, np.ndarray]:
-    """(token hashes, first token of each text); tokens are runs of letters and digits, A-Z folded."""
-    words = K.Words(K.Texts(column), True, _ALNUM)
+    """(token hashes, first token of each text)."""
+    _, words = token_words(column)
     return words.hashes(), words.first
 
 
 class PrefixHashes:
-    """Karp-Rabin hashes of any run of a token sequence, in constant time."""
+    """Karp-Rabin hashes of any runs of a token sequence, in constant time each."""
 
     def __init__(self, tokens: np.ndarray):
         up, self.down = K.powers(len(tokens))
         self.sums = np.concatenate([np.zeros(1, np.uint64), np.cumsum(tokens * up[: len(tokens)])])
 
-    def run(self, at: int, size: int) -> int:
-        return int((self.sums[at + size] - self.sums[at]) * self.down[at])
-
-
-def matches(doc_at: np.ndarray, item_at: np.ndarray) -> list[tuple[int, int, int]]:
-    """Maximal matches (document position, item position, length) from seed pairs."""
-    diagonal = doc_at - item_at
-    order = np.lexsort((doc_at, diagonal))
-    doc_at, item_at, diagonal = doc_at[order], item_at[order], diagonal[order]
-    new = np.append(True, (np.diff(diagonal) != 0) | (np.diff(doc_at) != 1))
-    heads = np.flatnonzero(new)
-    sizes = np.diff(np.append(heads, len(doc_at))) + MIN_MATCH - 1
-    return list(zip(doc_at[heads].tolist(), item_at[heads].tolist(), sizes.tolist(), strict=True))
-
-
-def tile(doc: np.ndarray, item: np.ndarray, found: list[tuple[int, int, int]]) -> list[tuple[int, int, int]]:
-    """Greedy tiles, longest first, ties by item and then document position; no token lies in two tiles."""
-    with np.errstate(over="ignore"):
-        a, b = PrefixHashes(doc), PrefixHashes(item)
-    free_doc, free_item = np.ones(len(doc), bool), np.ones(len(item), bool)
-    heap = [(-n, j, i) for i, j, n in found]
-    heapq.heapify(heap)
-    tiles = []
-    while heap:
-        n, j, i = heapq.heappop(heap)
-        n = -n
-        free = free_doc[i : i + n] & free_item[j : j + n]
-        if free.all():
-            with np.errstate(over="ignore"):
-                same = a.run(i, n) == b.run(j, n)
-            if same:
-                tiles.append((i, j, n))
-                free_doc[i : i + n] = free_item[j : j + n] = False
+    def runs(self, at: np.ndarray, size: int) -> np.ndarray:
+        return (self.sums[at + size] - self.sums[at]) * self.down[at]
+
+
+def _room(at: np.ndarray) -> np.ndarray:
+    """Longest run that can start at each seed: to the end of the seeds that follow one another."""
+    last = np.append(np.diff(at) != 1, True)
+    stops = np.flatnonzero(last)
+    return at[stops][np.searchsorted(stops, np.arange(len(at)))] - at + MIN_MATCH
+
+
+def _free(at: np.ndarray, room: np.ndarray, start: int, size: int) -> tuple[np.ndarray, np.ndarray]:
+    """Seeds and their room once a tile at ``start`` has taken its tokens."""
+    room = np.where(at < start, np.minimum(room, start - at), room)
+    keep = ((at < start) | (at >= start + size)) & (room >= MIN_MATCH)
+    return at[keep], room[keep]
+
+
+def tile(doc: np.ndarray, item: np.ndarray, doc_at: np.ndarray, item_at: np.ndarray, prefix: PrefixHashes | None = None) -> list[tuple[int, int, int]]:
+    """Greedy tiles (document position, item position, length) from the sorted seed positions of both.
+
+    The longest goes first, ties by item and then document position; no token
+    lies in two tiles.
+    """
+    a, b = prefix or PrefixHashes(doc), PrefixHashes(item)
+    room, item_room = _room(doc_at), _room(item_at)
+    tiles, most = [], len(item)
+
+    def starts(size: int):
+        i, j = doc_at[room >= size], item_at[item_room >= size]
+        return i, j, a.runs(i, size), b.runs(j, size)
+
+    def shared(size: int) -> bool:
+        _, _, x, y = starts(size)
+        return bool(len(x) and len(y) and np.isin(y, x).any())
+
+    while len(doc_at) and len(item_at):
+        most = int(min(most, room.max(), item_room.max()))
+        low, high = MIN_MATCH - 1, most + 1  # a shared run of ``low`` exists, none of ``high``
+        probe = most
+        while high - low > 1:
+            low, high = (probe, high) if shared(probe) else (low, probe)
+            probe = (low + high) // 2
+        if low < MIN_MATCH:
+            break
+        i, j, x, y = starts(low)
+        hit = None
+        for k in np.flatnonzero(np.isin(y, x)).tolist():
+            for spot in i[x == y[k]].tolist():
+                if np.array_equal(doc[spot : spot + low], item[j[k] : j[k] + low]):
+                    hit = spot, int(j[k])
+                    break
+            if hit:
+                break
+        if hit is None:  # equal hashes of different runs only
+            most = low - 1
+            if most < MIN_MATCH:
+                break
             continue
-        edge = np.flatnonzero(np.diff(np.concatenate([[0], free.astype(np.int8), [0]])))
-        for start, stop in zip(edge[::2].tolist(), edge[1::2].tolist(), strict=True):
-            if stop - start >= MIN_MATCH:
-                heapq.heappush(heap, (start - stop, j + start, i + start))
+        most = low
+        tiles.append((*hit, low))
+        doc_at, room = _free(doc_at, room, hit[0], low)
+        item_at, item_room = _free(item_at, item_room, hit[1], low)
     return tiles
 
 
@@ -94,6 +128,7 @@ class Seeds:
         hashes, first = token_hashes(pa.array(texts, pa.string()))
         self.ids = ids
         self.items = [hashes[a:b] for a, b in zip(first[:-1], first[1:], strict=True)]
+        self.sizes = np.array([len(x) for x in self.items], np.int64)
         seeds, owner, at = [], [], []
         for k, item in enumerate(self.items):
             own = K.chained(item, MIN_MATCH)
@@ -102,38 +137,51 @@ class Seeds:
             at.append(np.arange(len(own)))
         seeds, owner, at = (np.concatenate(x) if x else np.zeros(0, np.int64) for x in (seeds, owner, at))
         order = np.argsort(seeds, kind="stable")
-        self.seeds, self.owner, self.at = seeds[order].astype(np.uint64), owner[order], at[order]
-        keys, starts = np.unique(self.seeds, return_index=True)
-        self.starts = np.append(starts, len(self.seeds))
+        seeds, self.owner, self.at = seeds[order].astype(np.uint64), owner[order], at[order]
+        keys, starts = np.unique(seeds, return_index=True)
+        self.starts = np.append(starts, len(seeds))
         self.lookup = K.HashLookup({int(k): i for i, k in enumerate(keys)})
 
-    def search(self, hashes: np.ndarray, first: np.ndarray):
-        """(text, item, coverage, tiles, tokens) for every text and item that share a seed."""
+    def _postings(self, groups: np.ndarray) -> tuple[np.ndarray, np.ndarray, np.ndarray]:
+        """(item, position, group) of every item seed in distinct groups, by item and position."""
+        counts = self.starts[groups + 1] - self.starts[groups]
+        pick = np.repeat(self.starts[groups], counts) + np.arange(counts.sum()) - np.repeat(np.cumsum(counts) - counts, counts)
+        order = np.lexsort((self.at[pick], self.owner[pick]))
+        return self.owner[pick][order], self.at[pick][order], np.repeat(groups, counts)[order]
+
+    def search(self, hashes: np.ndarray, first: np.ndarray, least: float = 0.0):
+        """(text, item, coverage, tiles, tokens) for every text and item that share a seed and may reach ``least`` coverage."""
         where, group = self.lookup.find(K.chained(hashes, MIN_MATCH))
         text = np.searchsorted(first, where, side="right") - 1
         inside = where + MIN_MATCH <= first[np.minimum(text + 1, len(first) - 1)]
         where, group, text = where[inside], group[inside], text[inside]
-        for t in np.unique(text).tolist():
-            mine = text == t if len(where) < 64 else slice(*np.searchsorted(text, [t, t + 1]))
-            spots, groups = where[mine] - first[t], group[mine]
-            counts = self.starts[groups + 1] - self.starts[groups]
-            doc_at = np.repeat(spots, counts)
-            pick = np.repeat(self.starts[groups], counts) + np.arange(counts.sum()) - np.repeat(np.cumsum(counts) - counts, counts)
-            owner, item_at = self.owner[pick], self.at[pick]
-            doc = hashes[first[t] : first[t + 1]]
-            for k in np.unique(owner).tolist():
-                own = owner == k
-                item = self.items[k]
-                tiles = tile(doc, item, matches(doc_at[own], item_at[own]))
+        cuts = np.append(np.flatnonzero(np.diff(text, prepend=-1)), len(text)).tolist()
+        for low, high in zip(cuts[:-1], cuts[1:], strict=True):
+            t = int(text[low])
+            spots, groups = where[low:high] - first[t], group[low:high]
+            owner, at, of = self._postings(np.unique(groups))
+            starts = np.flatnonzero(np.diff(owner, prepend=-1))
+            # tokens that seeds reach in an item bound what tiles can cover
+            step = np.minimum(MIN_MATCH, np.append(np.diff(at), MIN_MATCH))
+            stops = np.append(starts[1:], len(owner))
+            step[stops - 1] = MIN_MATCH
+            reach = np.add.reduceat(step, starts)
+            doc, prefix = hashes[first[t] : first[t + 1]], None
+            for s, e, most in zip(starts.tolist(), stops.tolist(), reach.tolist(), strict=True):
+                k = int(owner[s])
+                if most < least * self.sizes[k]:
+                    continue
+                prefix = prefix or PrefixHashes(doc)
+                tiles = tile(doc, self.items[k], spots[np.isin(groups, of[s:e])], at[s:e], prefix)
                 covered = sum(n for _, _, n in tiles)
-                yield t, self.ids[k], covered / len(item), len(tiles), covered
+                yield t, self.ids[k], covered / int(self.sizes[k]), len(tiles), covered
 
 
 def _search(seeds: Seeds, least: float):
     def run(batches):
         for batch in K.chunks(batches, "text"):
             hashes, first = token_hashes(batch.column(1))
-            rows = [(batch.column(0)[t].as_py(), *rest) for t, *rest in seeds.search(hashes, first) if rest[1] >= least]
+            rows = [(batch.column(0)[t].as_py(), *rest) for t, *rest in seeds.search(hashes, first, least) if rest[1] >= least]
             cols = list(zip(*rows, strict=True)) if rows else [()] * 5
             kinds = (pa.int64(), pa.int64(), pa.float64(), pa.int64(), pa.int64())
             yield pa.RecordBatch.from_arrays([pa.array(c, k) for c, k in zip(cols, kinds, strict=True)], names=[f.split()[0] for f in FOUND.split(", ")])

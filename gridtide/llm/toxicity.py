@@ -8,12 +8,16 @@ target, threats with an actor.  Clauses are scored as wholes, never single
 words out of their clause; a document's score is a calibrated logistic of its
 clause weights.
 
-The lexicon is a short fixed list of general words plus words and word stems
-learnt, with their weights, from labelled rows outside the held-out fold.
+The lexicon is a short fixed list of general words plus all words and word stems
+that labelled rows outside the held-out fold (a bounded sample of them) show to be
+toxic.  Learning and scoring cut and fold words by one function: runs of letters
+and marks of any script with the apostrophes between them, lower-cased in all of Unicode, so quotes,
+dashes and full-width punctuation end a word.
 
 Defined cases: null, empty and blank texts have no clause and get the score of a
-document without matches; without labels the fixed list and default weights
-apply; rows that repeat are scored alike; an empty table gives no rows.
+document without matches; a text of any length is scored whole; without labels
+the fixed list and default weights apply; rows that repeat are scored alike;
+further columns, whatever their names, are not read; an empty table gives no rows.
 """
 
 from __future__ import annotations
@@ -22,6 +26,7 @@ from dataclasses import dataclass, field
 
 import numpy as np
 import pyarrow as pa
+import pyarrow.compute as pc
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
@@ -31,7 +36,6 @@ from .store import Scratch
 
 THRESHOLD = 0.3
 FOLDS, HELD = 4, 2
-LEARNT_MOST = 1000  # learnt entries at most
 MIN_SUPPORT, MIN_PRECISION, STRONG = 4, 0.92, 0.96
 STEMS = (5, 6, 7, 8, 9, 10)  # stem lengths in bytes
 
@@ -54,10 +58,26 @@ WORDS = {
 }
 
 _LETTER = np.zeros(256, bool)
-_LETTER[np.frombuffer(b"abcdefghijklmnopqrstuvwxyzABCDEFGHIJKLMNOPQRSTUVWXYZ'", np.uint8)] = True
-_LETTER[128:] = True
+_LETTER[np.frombuffer(b"abcdefghijklmnopqrstuvwxyzABCDEFGHIJKLMNOPQRSTUVWXYZ", np.uint8)] = True
 _BREAK = np.zeros(256, bool)
 _BREAK[np.frombuffer(b".!?;\n", np.uint8)] = True
+_WIDE_BREAKS = "\u2026\u3002\uff01\uff0e\uff1b\uff1f"  # ellipsis, and the same marks of other scripts
+
+
+def words_of(column: pa.Array) -> tuple[K.Texts, K.Words]:
+    texts = K.Texts(pc.replace_substring(column, "\u2019", "'"), lower=True)
+    return texts, K.Words(texts, True, _LETTER, K.LETTERS, ord("'"))
+
+
+def breaks_of(texts: K.Texts) -> np.ndarray:
+    """For each byte and the end, how many clause ends lie before it."""
+    ends = _BREAK[texts.data]
+    if len(texts.data) and texts.data.max() >= 0x80:
+        for mark in _WIDE_BREAKS:
+            a, b, c = mark.encode()
+            at = np.flatnonzero(texts.data[:-2] == a)
+            ends[at[(texts.data[at + 1] == b) & (texts.data[at + 2] == c)]] = True
+    return np.concatenate([[0], np.cumsum(ends, dtype=np.int64)])
 
 
 @dataclass
@@ -149,9 +169,8 @@ class ToxicityModel:
 
     def features(self, column: pa.Array) -> np.ndarray:
         """(log total weight, log best clause, matched clauses, weight per 100 words) of each text."""
-        texts = K.Texts(column)
+        texts, words = words_of(column)
         out = np.zeros((len(column), 4))
-        words = K.Words(texts, True, _LETTER)
         hashes = words.hashes()
         symbol = np.zeros(len(hashes), np.int64)
         for n, lookup in self._stem.items():
@@ -160,7 +179,7 @@ class ToxicityModel:
             symbol[long[at]] = value
         at, value = self._exact.find(hashes)
         symbol[at] = value
-        breaks = np.concatenate([[0], np.cumsum(_BREAK[texts.data], dtype=np.int64)])
+        breaks = breaks_of(texts)
         counts = np.diff(words.first)
         doc = np.repeat(np.arange(len(column)), counts)
         clause = breaks[words.starts] + doc  # a text's start also begins a clause
@@ -198,19 +217,35 @@ class ToxicityModel:
 
 
 def _fixed_lexicon() -> dict[int, int]:
-    return {K.word_hash(w, True, _LETTER): kind for kind, line in WORDS.items() for w in line.split()}
+    return {int(words_of(pa.array([w]))[1].hashes()[0]): kind for kind, line in WORDS.items() for w in line.split()}
+
+
+def _forms(batches):
+    """(size, pattern, label) of the distinct words and stems of each text; a pattern is the hash that scoring looks up."""
+    for batch in K.chunks(batches, "text"):
+        _, words = words_of(batch.column(1))
+        owner = np.repeat(np.arange(batch.num_rows), np.diff(words.first))
+        found = [(0, words.hashes(), owner)]
+        for n in STEMS:
+            long = words.longer(n)
+            found.append((n, words.prefix_hashes(long, n), owner[long]))
+        sizes, patterns, owners = [], [], []
+        for n, values, of in found:
+            order = np.lexsort((values, of))
+            values, of = values[order], of[order]
+            new = np.append(True, (values[1:] != values[:-1]) | (of[1:] != of[:-1]))[: len(values)]
+            sizes.append(np.full(int(new.sum()), n, np.int32))
+            patterns.append(values[new])
+            owners.append(of[new])
+        yield pa.RecordBatch.from_arrays(
+            [pa.array(np.concatenate(sizes)), K.long_array(np.concatenate(patterns)), batch.column(2).take(pa.array(np.concatenate(owners)))], names=["size", "pattern", "label"]
+        )
 
 
 def _patterns(sample: DataFrame) -> DataFrame:
-    """(stem length or 0, pattern, toxic documents, all documents) over the sample."""
-    word = F.explode(F.array_distinct(F.regexp_extract_all(F.lower("text"), F.lit("([\\p{L}']+)"), F.lit(1)))).alias("word")
-    words = sample.select("doc_id", "label", word)
-    raw = F.encode("word", "UTF-8")
-    forms = [F.struct(F.lit(0).alias("size"), F.hex(raw).alias("pattern"))]
-    forms += [F.when(F.octet_length("word") > n, F.struct(F.lit(n).alias("size"), F.hex(F.substring(raw, 1, n)).alias("pattern"))) for n in STEMS]
-    each = words.select("doc_id", "label", F.explode(F.array(*forms)).alias("f")).where("f is not null").select("doc_id", "label", "f.*")
-    counted = each.groupBy("size", "pattern", "doc_id").agg(F.max("label").alias("label")).groupBy("size", "pattern")
-    return counted.agg(F.sum("label").alias("toxic"), F.count("*").alias("seen"))
+    """(stem length or 0, pattern, toxic documents, all documents) over the sample, each row of which counts."""
+    each = sample.select("doc_id", "text", "label").mapInArrow(_forms, "size int, pattern long, label int")
+    return each.groupBy("size", "pattern").agg(F.sum("label").alias("toxic"), F.count("*").alias("seen"))
 
 
 def _logistic(x: np.ndarray, y: np.ndarray) -> tuple[np.ndarray, np.ndarray, np.ndarray]:
@@ -236,12 +271,10 @@ def fit(documents: DataFrame, labels: DataFrame, rows: int = FIT_ROWS, scratch:
 
     def lexicon(part: DataFrame) -> ToxicityModel:
         rate = F.col("toxic") / F.col("seen")
-        found = _patterns(part).where((F.col("toxic") >= MIN_SUPPORT) & (rate >= MIN_PRECISION)).orderBy(F.desc("toxic"), F.desc("seen"), "size", "pattern").limit(LEARNT_MOST).collect()
+        found = _patterns(part).where((F.col("toxic") >= MIN_SUPPORT) & (rate >= MIN_PRECISION)).collect()  # bounded by the sample's words
         model = ToxicityModel(dict(base.words), {}, base.weights, base.mean, base.scale)
         for r in sorted(found):
-            text = bytes.fromhex(r.pattern)
-            kind = INSULT if r.toxic / r.seen >= STRONG else MILD
-            value = int(K.mix(_raw_sum(text) + np.array([len(text)], np.uint64) * K.STEP)[0])
+            kind, value = INSULT if r.toxic / r.seen >= STRONG else MILD, r.pattern & K.MASK
             if r.size:
                 model.stems.setdefault(r.size, {})[value] = kind
             else:
@@ -268,11 +301,6 @@ def fit(documents: DataFrame, labels: DataFrame, rows: int = FIT_ROWS, scratch:
     return model
 
 
-def _raw_sum(text: bytes) -> np.ndarray:
-    up, _ = K.powers(len(text))
-    return (K.FOLDED[np.frombuffer(text, np.uint8)] * up[: len(text)]).sum(dtype=np.uint64, keepdims=True)
-
-
 def score(documents: DataFrame, model: ToxicityModel) -> DataFrame:
     """(doc_id, score, clauses) of every row, from whole texts only."""
 

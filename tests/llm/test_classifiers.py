@@ -68,6 +68,24 @@ def test_clauses_are_scored_as_wholes():
     assert weigh("never mind the rest of this long clause about that idiot") > 2.5
 
 
+def test_words_end_at_punctuation_of_any_script():
+    model = toxicity.ToxicityModel(toxicity._fixed_lexicon(), {}, np.array([-3.0, 2.5, 1.0, 0.5, 0.0]), np.zeros(4), np.ones(4)).prepare()
+    plain = model.features(pa.array(["you are an idiot"]))[0]
+    column = pa.array(["you are an \u201cidiot\u201d", "You are an 'IDIOT'", "\u2026you are an idiot\uff0cok", "you are an idiot\u2014so", "you are an\u00a0idiot", None, "", "’"])
+    got = model.features(column)
+    assert (got[:5, 0] == plain[0]).all() and not got[5:].any()
+    assert model.features(pa.array(["you don\u2019t idiot"]))[0, 0] == 0 < model.features(pa.array(["don\u3002idiot you"]))[0, 0]
+
+
+def test_learning_and_scoring_fold_alike(spark):
+    rows = [(i, f"{'\u00c4RGERWORT' if i % 2 else 'Sch\u00f6n'} \u201ew{i}\u201c", i % 2) for i in range(400)]
+    docs = spark.createDataFrame([(i, t) for i, t, _ in rows], "doc_id long, text string")
+    labels = spark.createDataFrame([(i, y) for i, _, y in rows], "doc_id long, toxic int")
+    model = toxicity.fit(docs, labels).prepare()
+    hot, cold = model.features(pa.array(["das ist \u00e4rgerwort", "\u201e\u00c4rgerwort\u201c", "sch\u00f6n", "SCH\u00d6N."]))[:, 0].reshape(2, 2)
+    assert (hot > 0).all() and not cold.any()
+
+
 def test_transducers_compose_like_running_one_after_another():
     rng = np.random.default_rng(1)
     machines = [toxicity.negation(), toxicity.reported(), toxicity.clause_grammar()]
@@ -132,6 +150,42 @@ def test_tiling_equals_its_definition(seed):
     assert (found[0][4] if found else 0) == want
 
 
+def test_junk_that_repeats_a_token_takes_linear_memory():
+    import tracemalloc
+
+    seeds = tiling.Seeds([1, 2], ["a " * 200, "a b " * 100])
+    hashes, first = tiling.token_hashes(pa.array(["a " * 300_000, "a b " * 150_000, "\u00e9\u2014" * 1000]))
+    tracemalloc.start()
+    found = list(seeds.search(hashes, first))
+    peak = tracemalloc.get_traced_memory()[1]
+    tracemalloc.stop()
+    assert found == [(0, 1, 1.0, 1, 200), (1, 2, 1.0, 1, 200)] and peak < 100 << 20
+
+
+@pytest.mark.parametrize("seed", range(10))
+def test_tiling_of_few_tokens_equals_its_definition(seed):
+    rng = np.random.default_rng(seed + 100)
+    item, doc = ([f"t{x}" for x in rng.integers(0, 2, n)] for n in (24, 60))
+    seeds = tiling.Seeds([7], [" ".join(item)])
+    hashes, first = tiling.token_hashes(pa.array([" ".join(doc), "x"]))
+    found = list(seeds.search(hashes, first))
+    assert (found[0][4] if found else 0) == brute_tiles(doc, item, tiling.MIN_MATCH)
+
+
+def test_tokens_end_at_punctuation_of_any_script(spark):
+    words = "uno dos tres cuatro cinco seis siete ocho"
+    bench = spark.createDataFrame([(1, words)], "item_id long, text string")
+    doc = words.upper().replace(" ", "\u2014").replace("TRES", "\u201cTRES\u201d")
+    assert [r.coverage for r in tiling.contamination(spark.createDataFrame([(5, doc)], "doc_id long, text string"), bench).collect()] == [1.0]
+
+
+def test_long_words_and_segments(monkeypatch):
+    texts = pa.array(["ab cd " * 50, "x" * 500 + " y", "", "\u00e9t\u00e9 " * 30])
+    whole = K.Words(K.Texts(texts)).hashes()
+    monkeypatch.setattr(K, "SEGMENT", 16)
+    assert (K.Words(K.Texts(texts)).hashes() == whole).all() and len(np.unique(whole)) == 5
+
+
 def test_reordered_passages_are_caught(spark):
     a, b, c = (" ".join(f"{k}{i}" for i in range(12)) for k in "abc")
     bench = spark.createDataFrame([(1, f"{a} {b} {c}"), (2, "too short"), (3, None), (1, f"{a} {b} {c}")], "item_id long, text string")
