@@ -8,10 +8,16 @@ over its documents and one partial pass.  Documents lie in hashed blocks of a
 bounded size; the partial pass takes whole blocks in a permuted order and, of
 the block at the edge, documents in a permuted order.
 
+Which copies a document has follows from its source's numbers and its own id
+alone: the first block that the partial pass doesn't take whole, and in that block
+the last document that it takes.  So texts are never shuffled.
+
 Defined cases: a null source is the empty name; null and blank texts have no
 tokens and follow their block; sources without any token get weight 0 and one
-pass; one source has weight 1; rows that repeat an id share their fate; an empty
-table gives no rows.
+pass; one source has weight 1; rows that repeat an id share their fate; a text of
+any length counts whole; further columns stay as they are, and a column that is
+added under a name that is taken gets underscores before it; an empty table gives
+no rows.
 """
 
 from __future__ import annotations
@@ -22,11 +28,12 @@ from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 from pyspark.sql import Window
 
-from .store import Scratch
+from .store import Scratch, bounded, free_name
 
 BLOCK_DOCS = 4096  # documents of a block on average
 LEVELS, PASSES = 5, 6  # bisection levels evaluated at once, and how often
 SEED = 17
+SOURCES_MOST = 1 << 17  # sources whose numbers are broadcast at most
 
 
 def token_count(text):
@@ -90,54 +97,70 @@ class TemperatureMixer:
         sources = self.scratch.keep(sources.withColumn("n_blocks", F.ceil(F.col("docs") / BLOCK_DOCS).cast("int")), "weights")
         placed = slim.join(sources.select("source", "n_blocks", "passes", "rest"), "source").withColumn("block", block_of())
         sums = placed.groupBy("source", "block", "passes", "rest").agg(F.sum("tokens").alias("block_tokens"))
-        order = Window.partitionBy("source").orderBy(F.xxhash64("source", "block", "passes", F.lit(SEED)), "block")
+        order = Window.partitionBy("source").orderBy("block_key", "block")
+        sums = sums.withColumn("block_key", F.xxhash64("source", "block", "passes", F.lit(SEED)))
         before = sums.withColumn("before", F.sum("block_tokens").over(order.rowsBetween(Window.unboundedPreceding, -1))).fillna(0, ["before"])
         before = before.withColumn("rank", F.row_number().over(order)).withColumn("left", F.col("rest") - F.col("before"))
         blocks = self.scratch.keep(before, "blocks")
-        # of each source one block lies across the edge; its documents are taken in order while they fit
-        edge = blocks.where("left > 0 and left < block_tokens").select("source", "block", "left")
+        # the blocks before ``stop`` are taken whole; of that block, documents in order while they fit
+        stop = F.struct("block_key", "block", "left", "block_tokens")
+        stops = blocks.where("left <= 0 or left < block_tokens").groupBy("source").agg(F.min(stop).alias("stop"))
+        edge = stops.where("stop.left > 0").select("source", "stop.block", "stop.left")
         inside = placed.join(edge, ["source", "block"]).withColumn("key", doc_key())
         run = Window.partitionBy("source", "block").orderBy("key", "doc_id").rangeBetween(Window.unboundedPreceding, 0)
         taken = inside.withColumn("upto", F.sum("tokens").over(run)).where(F.col("upto") <= F.col("left"))
-        cut = taken.groupBy("source", "block").agg(F.max(F.struct("key", "doc_id")).alias("cut"))
-        blocks = blocks.join(cut, ["source", "block"], "left").withColumn("full", (F.col("left") > 0) & (F.col("left") >= F.col("block_tokens")))
-        blocks = self.scratch.keep(blocks.select("source", "block", "rank", "full", F.col("cut.key").alias("cut_key"), F.col("cut.doc_id").alias("cut_id")), "taken")
-        return sources, blocks, exponent
+        cuts = taken.groupBy("source").agg(F.max(F.struct("key", "doc_id")).alias("cut"))
+        sources = sources.join(stops, "source", "left").join(cuts, "source", "left")
+        sources = sources.select("source", "docs", "all_tokens", "weight", "spend", "passes", "rest", "n_blocks", "stop.block_key", "stop.block", F.col("cut.key").alias("cut_key"), F.col("cut.doc_id").alias("cut_id"))
+        return self.scratch.keep(sources, "plan"), blocks, exponent
 
-    def assign(self, documents: DataFrame) -> DataFrame:
-        """``documents`` with ``_mix``: source weight, copies, block and its rank in the partial pass."""
+    def assign(self, documents: DataFrame, ranks: bool = False) -> DataFrame:
+        """``documents`` with a struct ``_mix``: weight, copies, passes, block, and with ``ranks`` the block's place in the partial pass."""
         sources, blocks, _ = self.plan(documents)
-        name = F.coalesce(F.col("source").cast("string"), F.lit(""))
-        keys = documents.withColumn("_mix_source", name).withColumn("_mix_id", F.col("doc_id").cast("long"))
-        s = sources.select(F.col("source").alias("_mix_source"), F.struct("weight", "passes", "n_blocks").alias("_s"))
-        keys = keys.join(s, "_mix_source")
-        keys = keys.withColumn("_mix_block", block_of("_mix_id", F.col("_s.n_blocks")))
-        b = blocks.select(F.col("source").alias("_mix_source"), F.col("block").alias("_mix_block"), F.struct("rank", "full", "cut_key", "cut_id").alias("_b"))
-        keys = keys.join(b, ["_mix_source", "_mix_block"])
-        key = doc_key("_mix_id", F.col("_s.passes"))
-        within = (key < F.col("_b.cut_key")) | ((key == F.col("_b.cut_key")) & (F.coalesce(F.col("_mix_id"), F.lit(-(2**63))) <= F.coalesce(F.col("_b.cut_id"), F.lit(-(2**63)))))
-        extra = F.when(F.col("_b.full") | F.coalesce(within, F.lit(False)), 1).otherwise(0)
-        mix = F.struct(F.col("_s.weight").alias("weight"), (F.col("_s.passes") + extra).alias("copies"), F.col("_mix_block").alias("block"), F.col("_b.rank").alias("rank"))
-        return keys.withColumn("_mix", mix).select(*documents.columns, "_mix")
+        row, plan, mix = (free_name(documents.columns, n) for n in ("mix_row", "mix_plan", "_mix"))
+        packed = documents.select(F.struct(*(F.col(f"`{c}`") for c in documents.columns)).alias(row))
+        name, ident = F.coalesce(F.col(f"{row}.source").cast("string"), F.lit("")), F.col(f"{row}.doc_id").cast("long")
+        by_source = sources.select(F.struct("*").alias(plan))
+        keys = packed.join(bounded(by_source, SOURCES_MOST), F.col(f"{plan}.source") == name)
+        part = lambda c: F.col(f"{plan}.{c}")
+        block = block_of(ident, part("n_blocks"))
+        block_key = F.xxhash64(part("source"), block, part("passes"), F.lit(SEED))
+        key, least = doc_key(ident, part("passes")), F.lit(-(2**63))
+        whole = part("block_key").isNull() | (block_key < part("block_key")) | ((block_key == part("block_key")) & (block < part("block")))
+        at_edge = (block == part("block")) & ((key < part("cut_key")) | ((key == part("cut_key")) & (F.coalesce(ident, least) <= F.coalesce(part("cut_id"), least))))
+        extra = F.when((part("all_tokens") > 0) & (part("rest") > 0) & (whole | F.coalesce(at_edge, F.lit(False))), 1).otherwise(0)
+        fields = [part("weight").alias("weight"), (part("passes") + extra).alias("copies"), part("passes").alias("passes"), block.alias("block")]
+        if ranks:
+            b = blocks.select(F.struct("source", "block", "rank").alias("mix_rank"))
+            keys = keys.join(b, (F.col("mix_rank.source") == part("source")) & (F.col("mix_rank.block") == block))
+            fields.append(F.col("mix_rank.rank").alias("rank"))
+        return keys.select(*(F.col(f"{row}.`{c}`").alias(c) for c in documents.columns), F.struct(*fields).alias(mix))
 
     def mix(self, documents: DataFrame) -> DataFrame:
         """The mixture: each document as often as it has copies, with its pass and place in the permuted order."""
-        rows = self.assign(documents).where("_mix.copies > 0")
-        rows = rows.withColumn("mix_pass", F.explode(F.sequence(F.lit(1).cast("long"), F.col("_mix.copies"))))
-        place = F.xxhash64(F.coalesce(F.col("source").cast("string"), F.lit("")), F.col("_mix.block"), "mix_pass", F.lit(SEED))
-        return rows.withColumn("mix_block", place).withColumn("mix_key", doc_key("doc_id", F.col("mix_pass"))).drop("_mix")
+        rows = self.assign(documents)
+        held = rows.columns[-1]
+        turn = free_name(documents.columns, "mix_pass")
+        spot, order = (free_name([*documents.columns, turn], n) for n in ("mix_block", "mix_key"))
+        rows = rows.where(F.col(f"{held}.copies") > 0).withColumn(turn, F.explode(F.sequence(F.lit(1).cast("long"), F.col(f"{held}.copies"))))
+        place = F.xxhash64(F.coalesce(F.col("source").cast("string"), F.lit("")), F.col(f"{held}.block"), turn, F.lit(SEED))
+        return rows.withColumn(spot, place).withColumn(order, doc_key("doc_id", F.col(turn))).drop(held)
+
+
+def _id(doc_id):
+    return (F.col(doc_id) if isinstance(doc_id, str) else doc_id).cast("long")
 
 
-def block_of(doc_id: str = "doc_id", n_blocks=None):
-    return F.pmod(F.xxhash64(F.col(doc_id).cast("long"), F.lit(SEED + 1)), F.col("n_blocks") if n_blocks is None else n_blocks).cast("int")
+def block_of(doc_id="doc_id", n_blocks=None):
+    return F.pmod(F.xxhash64(_id(doc_id), F.lit(SEED + 1)), F.col("n_blocks") if n_blocks is None else n_blocks).cast("int")
 
 
-def doc_key(doc_id: str = "doc_id", passes=None):
-    return F.xxhash64(F.col(doc_id).cast("long"), F.col("passes") if passes is None else passes, F.lit(SEED + 2))
+def doc_key(doc_id="doc_id", passes=None):
+    return F.xxhash64(_id(doc_id), F.col("passes") if passes is None else passes, F.lit(SEED + 2))
 
 
 def op6_mixing(spark: SparkSession, sf_dir: str) -> DataFrame:
     """Copies of every document in the mixture of all sources."""
     docs = spark.read.parquet(f"{sf_dir}/documents.parquet")
-    rows = TemperatureMixer(spark).assign(docs.select("doc_id", "source", "text"))
+    rows = TemperatureMixer(spark).assign(docs.select("doc_id", "source", "text"), ranks=True)
     return rows.select("doc_id", "source", F.col("_mix.weight").alias("weight"), F.col("_mix.copies").alias("copies"), F.col("_mix.block").alias("block"), F.col("_mix.rank").alias("block_rank"))

@@ -78,3 +78,17 @@ def test_edges(spark):
     assert {r.copies for r in one} == {1} and all(abs(r.weight - 1) < 1e-12 for r in one)
     blank = M.TemperatureMixer(spark).assign(spark.createDataFrame([(1, None, None, None)], SCHEMA)).select("_mix.*").collect()
     assert [(r.copies, r.weight) for r in blank] == [(1, 0.0)]
+
+
+def test_clashing_columns_stay_as_they_are(spark):
+    clashes = "_s _b _mix _mix_source _mix_id _mix_block mix_pass mix_block mix_key mix_row mix_plan mix_rank passes rank file_path".split()
+    docs = spark.createDataFrame(ROWS, SCHEMA).withColumns({c: F.lit(f"own {c}") for c in clashes})
+    plain = {r.doc_id: tuple(r) for r in M.TemperatureMixer(spark).assign(spark.createDataFrame(ROWS, SCHEMA), ranks=True).select("doc_id", "_mix.copies", "_mix.block", "_mix.rank").collect()}
+    got = M.TemperatureMixer(spark).assign(docs, ranks=True)
+    assert got.columns == [*docs.columns, "__mix"]
+    rows = got.select("*", "__mix.copies", "__mix.block").collect()
+    assert all(r[c] == f"own {c}" for r in rows for c in clashes if c != "block")
+    assert {r.doc_id: tuple(r.asDict()["__mix"][k] for k in ("copies", "block", "rank")) for r in rows} == {i: v[1:] for i, v in plain.items()}
+    mixed = M.TemperatureMixer(spark).mix(docs)
+    assert mixed.columns == [*docs.columns, "_mix_pass", "__mix_block", "_mix_key"] and mixed.where("mix_pass <> 'own mix_pass' or mix_key <> 'own mix_key'").count() == 0
+    assert mixed.count() == sum(v[1] for v in plain.values())
