@@ -10,6 +10,8 @@ from __future__ import annotations
 import tempfile
 import threading
 import uuid
+from contextlib import contextmanager
+from contextvars import ContextVar
 
 from pyspark.errors import AnalysisException
 from pyspark.sql import Column, DataFrame, SparkSession, Window
@@ -56,11 +58,29 @@ class _Cleaning:
                     self.conf.set(CLEANUP, _writers["before"])
 
 
+_made: ContextVar[list | None] = ContextVar("made", default=None)
+
+
+@contextmanager
+def scratches():
+    """Deletes at its end every Scratch that was made inside, once nothing reads them any more."""
+    held: list[Scratch] = []
+    token = _made.set(held)
+    try:
+        yield
+    finally:
+        _made.reset(token)
+        for one in held:
+            one.close()
+
+
 class Scratch:
     """A private folder of intermediate tables below the shared root."""
 
     def __init__(self, spark: SparkSession, purpose: str):
         self.spark = spark
+        if (held := _made.get()) is not None:
+            held.append(self)
         self.path = f"{shared_root(spark)}/gridtide/{purpose}-{uuid.uuid4().hex}"
 
     def keep(self, frame: DataFrame, name: str) -> DataFrame:
@@ -127,12 +147,12 @@ def with_row_ids(documents: DataFrame, name: str, scratch: Scratch) -> DataFrame
     try:
         path, row = place(documents)
     except AnalysisException:
-        documents = scratch.keep(documents, "rows")
+        documents = scratch.keep(documents, "placed-rows")
         path, row = place(documents)
     held = free_name([*documents.columns, name], "file")
     at = free_name([*documents.columns, name, held], "row")
     number = free_name([*documents.columns, name, held, at], "number")
     files = documents.select(path.alias(held)).distinct()
-    files = scratch.keep(files.select(held, F.row_number().over(Window.partitionBy(F.lit(0)).orderBy(held)).cast("long").alias(number)), "files")  # a row for each file
+    files = scratch.keep(files.select(held, F.row_number().over(Window.partitionBy(F.lit(0)).orderBy(held)).cast("long").alias(number)), "placed-files")  # a row for each file
     rows = documents.select("*", path.alias(held), row.alias(at)).join(bounded(files, 1 << 16), held)
     return rows.withColumn(name, F.shiftleft(F.col(number), 40) + F.col(at)).drop(held, at, number)

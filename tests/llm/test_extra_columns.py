@@ -7,7 +7,7 @@ import corpus_pipeline
 from gridtide.llm import exact_dedup, license_scan, line_runs, mixing, ngram_join, quality, tiling, toxicity
 
 SF = "/root/testdata/sf0.001"
-CLASHES = "score label n h1 h2 s0 wide sig doc comp root rank depth ln th digest sha kept copies weight block _mix drops a b u v".split()
+CLASHES = "row row_id place component file number _row_id mix_pass mix_block mix_key _mix_id _s _b score label n h1 h2 s0 wide sig doc comp root rank depth ln th digest sha kept copies weight block _mix drops a b u v".split()
 
 
 @pytest.fixture(scope="module")
@@ -26,7 +26,7 @@ def test_operators(spark, docs):
     assert toxicity.score(docs, toxicity.fit(docs, labels)).count() == n
     assert license_scan.scan(docs).count() == n
     assert line_runs.LineRuns(spark).clean(docs).count() == n
-    assert mixing.TemperatureMixer(spark).assign(docs.drop("_mix")).count() == n
+    assert mixing.TemperatureMixer(spark).assign(docs).count() == n
     assert tiling.contamination(docs, bench.withColumn("doc_id", F.lit(1))).count() > 0
 
 

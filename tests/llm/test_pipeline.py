@@ -47,3 +47,38 @@ def test_stages_take_effect(spark):
 def test_run(spark):
     rows = corpus_pipeline.run(spark, SF)
     assert rows.count() > 0 and {"doc_id", "text", "lang", "source", "n_chars", "mix_pass"} <= set(rows.columns)
+
+
+def rows_of(frame):
+    return sorted(((r.doc_id, r.text, r.note) for r in frame.collect()), key=str)
+
+
+def test_rows_are_dropped_one_by_one(spark):
+    long = " ".join(f"w{i}" for i in range(60))
+    bench = spark.read.parquet(f"{SF}/benchmark.parquet").first().text
+    rows = [
+        (1, "a  b", "stays"), (2, "ab", "exact"), (2, f"another {long}", "stays"), (None, "a b", "exact"), (None, "lone text", "stays"), (3, "same row", "stays"), (3, "same row", "exact"),
+        (4, None, "stays"), (5, " ", "longer"), (2, f"{long} tail", "near"), (None, f"{long} other", "near"), (7, bench, "leak"), (7, "nothing leaks here", "stays"), (None, f"x {bench}", "leak"),
+    ]
+    docs = spark.createDataFrame([(i, t, "en", "s", len(t or ""), n) for i, t, n in rows], "doc_id long, text string, lang string, source string, n_chars long, note string")
+    exact = rows_of(corpus_pipeline.drop_exact_copies(spark, docs, SF))
+    # of the blank texts the longest stays
+    assert exact == sorted(((i, t, n) for i, t, n in rows if n != "exact" and i != 4 and not (i == 3 and n == "exact")), key=str)
+    near = corpus_pipeline.drop_near_copies(spark, docs, SF)
+    texts = [r.text for r in near.collect()]
+    assert sum(long in (t or "") for t in texts) == 1 and (2, f"another {long}", "stays") in rows_of(near) or (2, f"{long} tail", "near") in rows_of(near)
+    assert texts.count("same row") == 1 and texts.count(None) == 1 and "lone text" in texts
+    clean = rows_of(corpus_pipeline.drop_benchmark(spark, docs, SF))
+    assert clean == sorted(((i, t, n) for i, t, n in rows if n != "leak"), key=str)
+
+
+def test_row_ids_are_the_same_in_every_plan(spark, tmp_path):
+    from gridtide.llm.store import Scratch, with_row_ids
+
+    spark.range(1000).selectExpr("id % 7 AS file", "id AS row_id").repartition(5).write.parquet(str(tmp_path / "t"))
+    frame = spark.read.parquet(str(tmp_path / "t"))
+    scratch = Scratch(spark, "test")
+    placed = with_row_ids(frame, "_row_id", scratch)
+    a = {r.row_id: r["_row_id"] for r in placed.collect()}
+    b = {r.row_id: r["_row_id"] for r in placed.select("row_id", "_row_id").repartition(3).collect()}
+    assert a == b and len(set(a.values())) == 1000 and placed.columns == ["file", "row_id", "_row_id"]
