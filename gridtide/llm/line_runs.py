@@ -1,25 +1,35 @@
 """Line deduplication by a suffix array over line ids.
 
-A document is its sequence of lines (blank ones left out), each an id.  Suffixes
-are ranked by distributed prefix doubling: at depth ``d`` suffixes with equal
-first ``d`` lines share a rank, ranks follow the order of those lines, and
+A document is its sequence of lines (blank ones left out), each an id: 128 bits of
+a cryptographic digest of its words in order, so equal ids are equal lines.
+Suffixes are ranked by distributed prefix doubling: at depth ``d`` suffixes with
+equal first ``d`` lines share a rank, ranks follow the order of those lines, and
 depth doubles by ranking pairs of ranks.  Only suffixes whose first ``d`` lines
-occur elsewhere stay active, so the work shrinks with the repeated text; a class
-of equal ranks is an interval of the suffix array whose longest common prefix is
-``d`` lines at least.  In each interval every copy but the earliest is deleted
-over the interval's depth.  As a suffix one line further on lies in an interval
-of its own, the deletions together cover maximal repeated runs of any length.
-
-Runs of ``MIN_LINES`` lines count, and single lines of ``LINE_WORDS`` words.
-
-Defined cases: documents are ordered by id and lines by place; null and blank
-texts have no line and stay as they are; rows without an id are left alone; rows
-that repeat an id and a text share their fate; an empty table gives no rows.
+occur elsewhere stay active, so the work shrinks with the repeated text.
+
+What counts as a repeated run is its size: ``min_words`` words, in however many
+lines.  Each suffix is asked at the depths at which a run first has that size,
+counted from its first line or back from its last.  Suffixes whose longest common
+prefix reaches such a depth ``n`` lie in one interval; it is found by the ranks at
+the largest power of two up to ``n``, of the suffix and of the suffix that ends with
+the run.  All of an interval but its earliest suffix are later copies.  Copies that
+follow one another on one diagonal (the same two documents and distance) are joined
+to maximal runs, and the runs' lines are deleted.  As every line of a repeated run
+of that size lies in one of those prefixes, no such run is missed, whatever its
+length; and depths beyond ``min_words`` need no ranks.
+
+Defined cases: documents are ordered by id, then by a digest of the text, and lines
+by place; null and blank texts have no line and stay as they are; rows without an
+id are left alone; rows that repeat an id and a text share their fate; a copy that
+overlaps its original loses only what lies behind the original; texts and lines of
+any length are worked on whole; further columns, whatever their names, are not
+read; an empty table gives no rows.
 """
 
 from __future__ import annotations
 
 import hashlib
+import re
 
 import numpy as np
 import pyarrow as pa
@@ -29,57 +39,81 @@ from pyspark.sql import functions as F
 from . import kernel as K
 from .store import BROADCAST_ROWS, Scratch, partitions
 
-MIN_LINES = 2  # a power of two: the least depth at which an interval deletes
-LINE_WORDS = 50
+MIN_WORDS = 50  # words of a run that is deleted
+LONG_LINE = 1 << 16
 KEY = ["doc_id", "th"]
-LINES = "doc_id long, th long, ln int, id long, words int"
-
-
-def _line_starts(texts: K.Texts) -> tuple[np.ndarray, np.ndarray]:
-    """(start of each line, text of each line); a line ends with its newline."""
-    begin = np.zeros(len(texts.data), bool)
-    if len(begin):
-        begin[1:] = texts.data[:-1] == 10
-        begin[texts.offs[:-1][texts.offs[:-1] < texts.offs[1:]]] = True
-    starts = np.flatnonzero(begin)
-    return starts, np.searchsorted(texts.offs, starts, side="right") - 1
-
-
-def _lines(batches):
-    for batch in K.chunks(batches, "text"):
-        texts = K.Texts(batch.column(2))
-        starts, doc = _line_starts(texts)
-        words = K.Words(texts, False)
-        if not len(words.starts):
-            continue
-        # a line's id: its words in order, so trailing and repeated blanks don't matter
-        line = np.searchsorted(starts, words.starts, side="right") - 1
-        up, down = K.powers(len(line))
-        heads = np.flatnonzero(np.diff(line, prepend=-1))
-        count = np.diff(np.append(heads, len(line)))
-        ids = K.mix(np.add.reduceat(words.hashes() * up[: len(line)], heads) * down[heads] + count.astype(np.uint64) * K.STEP)
-        owner = doc[line[heads]]
-        first = np.flatnonzero(np.diff(owner, prepend=-1))
-        place = np.arange(len(heads)) - np.repeat(first, np.diff(np.append(first, len(heads))))
-        yield pa.RecordBatch.from_arrays(
-            [batch.column(0).take(pa.array(owner)), batch.column(1).take(pa.array(owner)), pa.array(place.astype(np.int32)), K.long_array(ids), pa.array(count.astype(np.int32))],
-            names=["doc_id", "th", "ln", "id", "words"],
-        )
+LINES = "doc_id long, th long, ln int, r long, s long, words int, sizes array<int>"
+BLANK_RUN = re.compile(rb"[\x20\x09-\x0d]+")
+
+
+def _line(piece: bytes) -> tuple[bytes, int]:
+    """(words joined by single blanks, number of words) of a line."""
+    if len(piece) < LONG_LINE:
+        words = piece.split()
+        return b" ".join(words), len(words)
+    body = BLANK_RUN.sub(b" ", piece).strip(b" ")
+    return body, body.count(b" ") + 1 if body else 0
+
+
+def _pieces(raw: bytes) -> list[bytes]:
+    """Lines with their newline."""
+    parts = raw.split(b"\n")
+    return [x + b"\n" for x in parts[:-1]] + ([parts[-1]] if parts[-1] else [])
+
+
+def run_sizes(words: list[int], least: int) -> list[list[int]]:
+    """For each line the lengths of runs from it that have ``least`` words and would have fewer without their first or last line."""
+    out: list[list[int]] = [[] for _ in words]
+    start, total = 0, 0
+    for stop, n in enumerate(words):  # the shortest run that ends here
+        total += n
+        while total - words[start] >= least:
+            total -= words[start]
+            start += 1
+        if total >= least:
+            out[start].append(stop - start + 1)
+    stop, total = 0, 0
+    for start, n in enumerate(words):  # the shortest run that starts here
+        while stop < len(words) and total < least:
+            total += words[stop]
+            stop += 1
+        if total >= least and (not out[start] or stop - start not in out[start]):
+            out[start].append(stop - start)
+        total -= n
+    return out
+
+
+def _lines(least: int):
+    def run(batches):
+        for batch in K.chunks(batches, "text"):
+            owner, place, ids, count, sizes = [], [], [], [], []
+            for i, text in enumerate(batch.column(2)):
+                held = []
+                for piece in (text.as_buffer().to_pybytes() if text.is_valid else b"").split(b"\n"):
+                    body, n = _line(piece)
+                    if n:
+                        ids.append(hashlib.blake2b(body, digest_size=16).digest())
+                        held.append(n)
+                owner += [i] * len(held)
+                place += range(len(held))
+                count += held
+                sizes += run_sizes(held, least)
+            pair = np.frombuffer(b"".join(ids), np.int64).reshape(-1, 2)
+            yield pa.RecordBatch.from_arrays(
+                [batch.column(0).take(pa.array(owner, pa.int64())), batch.column(1).take(pa.array(owner, pa.int64())), pa.array(place, pa.int32()), pa.array(pair[:, 0]), pa.array(pair[:, 1]), pa.array(count, pa.int32()), pa.array(sizes, pa.list_(pa.int32()))],
+                names=["doc_id", "th", "ln", "r", "s", "words", "sizes"],
+            )
+
+    return run
 
 
 def _cleaned(batches):
     for batch in K.chunks(batches, "text"):
-        texts = K.Texts(batch.column(1))
-        raw = texts.data.tobytes()
-        starts, doc = _line_starts(texts)
-        stops = np.append(starts[1:], len(raw)) if len(starts) else starts
-        bounds = np.searchsorted(doc, np.arange(batch.num_rows + 1))
         out, lines, gone = [], [], []
-        for i, drops in enumerate(batch.column(2).to_pylist()):
-            drops, n, kept = set(drops or ()), 0, []
-            for a, b in zip(starts[bounds[i] : bounds[i + 1]].tolist(), stops[bounds[i] : bounds[i + 1]].tolist(), strict=True):
-                piece = raw[a : min(b, int(texts.offs[i + 1]))]
-                full = bool(piece.translate(None, bytes(K.BLANKS)))
+        for text, drops in zip(batch.column(1), batch.column(2).to_pylist(), strict=True):
+            raw, drops, n, kept = text.as_buffer().to_pybytes() if text.is_valid else b"", set(drops or ()), 0, []
+            for piece in _pieces(raw):
+                full = not piece.isspace()
                 if not (full and n in drops):
                     kept.append(piece)
                 n += full
@@ -95,10 +129,8 @@ def _cleaned(batches):
 class LineRuns:
     """Repeated line runs of a corpus, and the texts without their later copies."""
 
-    def __init__(self, spark: SparkSession, min_lines: int = MIN_LINES, line_words: int = LINE_WORDS, scratch: Scratch | None = None):
-        if min_lines & (min_lines - 1):
-            raise ValueError("min_lines must be a power of two")
-        self.spark, self.min_lines, self.line_words = spark, min_lines, line_words
+    def __init__(self, spark: SparkSession, min_words: int = MIN_WORDS, scratch: Scratch | None = None):
+        self.spark, self.min_words = spark, min_words
         self.scratch = scratch or Scratch(spark, "lines")
 
     def _ranked(self, pairs: DataFrame, tag: str) -> DataFrame:
@@ -118,41 +150,65 @@ class LineRuns:
         base = self.spark.createDataFrame(base, "part int, base long")
         run = Window.partitionBy("part").orderBy("r", "s").rowsBetween(Window.unboundedPreceding, -1)
         placed = spread.withColumn("before", F.coalesce(F.sum("n").over(run), F.lit(0)))
-        return placed.join(F.broadcast(base), "part").select("r", "s", (F.col("base") + F.col("before")).alias("rank"), "n")
+        return placed.join(F.broadcast(base), "part").select("r", "s", (F.col("base") + F.col("before")).alias("rank"))
+
+    def _asked(self, active: DataFrame, depth: int) -> DataFrame:
+        """(doc_id, th, ln, size, rank, tail): runs of ``depth`` to under twice as many lines, named by the ranks of both ends."""
+        each = active.select(*KEY, "ln", "rank", F.explode("sizes").alias("size"))
+        even = each.where(F.col("size") == depth).withColumn("tail", F.col("rank"))
+        if depth == 1:
+            return even
+        ends = active.select(*KEY, F.col("ln").alias("end"), F.col("rank").alias("tail"))
+        longer = each.where((F.col("size") > depth) & (F.col("size") < 2 * depth)).withColumn("end", F.col("ln") + F.col("size") - depth)
+        return even.unionByName(longer.join(ends, [*KEY, "end"]).drop("end"))
 
     def repeats(self, documents: DataFrame) -> DataFrame:
-        """(doc_id, th, ln, depth): suffixes that are later copies of an earlier one, at their depths."""
+        """(doc_id, th, ln, size, first): suffixes whose first ``size`` lines are a later copy, with the earliest suffix of their interval."""
+        keep, drop = self.scratch.keep, self.scratch.drop
         docs = documents.select(F.col("doc_id").cast("long").alias("doc_id"), F.col("text").cast("string").alias("text")).where("doc_id is not null")
-        lines = docs.select("doc_id", F.xxhash64("text").alias("th"), "text").mapInArrow(_lines, LINES)
-        lines = self.scratch.keep(lines.distinct(), "all")
-        now = lines.select(*KEY, "ln", F.col("id").alias("r"), F.lit(0).cast("long").alias("s"), "words")
-        depth, found = 1, []
+        now = keep(docs.select("doc_id", F.xxhash64("text").alias("th"), "text").mapInArrow(_lines(self.min_words), LINES), "all")
+        depth, found = 1, self.spark.createDataFrame([], "doc_id long, th long, ln int, size int, first struct<doc_id:long,th:long,ln:int>")
         while True:
-            rank = self.scratch.keep(self._ranked(now, f"d{depth}"), f"d{depth}-ranks")
-            active = self.scratch.keep(now.join(rank.drop("n"), ["r", "s"]).drop("r", "s"), f"d{depth}")
-            self.scratch.drop(f"d{depth}-pairs", f"d{depth}-ranks")
-            if depth == 1:
-                self.scratch.drop("all")
-            if active.isEmpty():
-                break
-            if depth >= self.min_lines or depth == 1:
-                earliest = active.groupBy("rank").agg(F.min(F.struct(*KEY, "ln")).alias("first"))
-                earliest = self.scratch.keep(earliest, f"d{depth}-first")  # written, so that a large interval's join can be split
-                later = active.join(earliest, "rank").where(F.struct(*KEY, "ln") > F.col("first"))
-                if depth < self.min_lines:
-                    later = later.where(F.col("words") >= self.line_words)
-                found.append(later.select(*KEY, "ln", F.lit(depth).alias("depth")))
-            ahead = active.select(*KEY, (F.col("ln") - depth).alias("ln"), F.col("rank").alias("s"))
-            now = active.withColumnRenamed("rank", "r").join(ahead, [*KEY, "ln"])
+            rank = keep(self._ranked(now, f"d{depth}"), f"d{depth}-ranks")
+            active = now.join(rank, ["r", "s"]).select(*KEY, "ln", "rank", "sizes")
+            active = keep(active.dropDuplicates([*KEY, "ln"]) if depth == 1 else active, f"d{depth}")
+            drop(f"d{depth}-pairs", f"d{depth}-ranks", f"d{depth // 2}")
+            asked = keep(self._asked(active, depth), f"d{depth}-asked")
+            interval = ["rank", "tail", "size"]
+            first = asked.groupBy(*interval).agg(F.min(F.struct(*KEY, "ln")).alias("first"), F.count("*").alias("n")).where("n > 1").drop("n")
+            first = keep(first, f"d{depth}-first")  # written, so that a large interval's join can be split
+            later = asked.join(first, interval).where(F.struct(*KEY, "ln") > F.col("first")).select(*KEY, "ln", "size", "first")
+            found = found.unionByName(keep(later, f"d{depth}-later"))
+            drop(f"d{depth}-asked", f"d{depth}-first")
             depth *= 2
-        empty = self.spark.createDataFrame([], "doc_id long, th long, ln int, depth int")
-        for part in found:
-            empty = empty.unionByName(part)
-        return empty.groupBy(*KEY, "ln").agg(F.max("depth").alias("depth"))
+            if depth > self.min_words or active.where(F.exists("sizes", lambda x: x >= depth)).isEmpty():
+                return found
+            ahead = active.select(*KEY, (F.col("ln") - depth // 2).alias("ln"), F.col("rank").alias("s"))
+            now = active.withColumnRenamed("rank", "r").join(ahead, [*KEY, "ln"])
+
+    def runs(self, documents: DataFrame) -> DataFrame:
+        """(doc_id, th, ln, lines, source_id, source_th, source_ln): maximal runs of lines that are copies of an earlier place."""
+        copies = self.repeats(documents).withColumn("shift", F.col("ln") - F.col("first.ln"))
+        own = (F.col("doc_id") == F.col("first.doc_id")) & (F.col("th") == F.col("first.th"))
+        hidden = F.when(own, F.greatest(F.lit(0), F.col("size") - F.col("shift"))).otherwise(0)  # lines that are the original's too
+        diagonal = [*KEY, "source_id", "source_th", "shift"]
+        spans = copies.select(*KEY, F.col("first.doc_id").alias("source_id"), F.col("first.th").alias("source_th"), "shift", (F.col("ln") + hidden).alias("start"), (F.col("ln") + F.col("size")).alias("stop"))
+        order = Window.partitionBy(*diagonal).orderBy("start", "stop")
+        spans = spans.withColumn("reach", F.max("stop").over(order.rowsBetween(Window.unboundedPreceding, -1)))
+        fresh = F.when(F.col("reach").isNull() | (F.col("start") > F.col("reach")), 1).otherwise(0)
+        spans = spans.withColumn("fresh", fresh).withColumn("run", F.sum("fresh").over(order.rowsBetween(Window.unboundedPreceding, 0)))
+        merged = spans.groupBy(*diagonal, "run").agg(F.min("start").alias("ln"), F.max("stop").alias("stop"))
+        return merged.select(*KEY, "ln", (F.col("stop") - F.col("ln")).alias("lines"), "source_id", "source_th", (F.col("ln") - F.col("shift")).alias("source_ln"))
+
+    def sized(self, runs: DataFrame) -> DataFrame:
+        """Maximal runs of the documents last read, with the number of words of each."""
+        lines = self.scratch.read("all", LINES).dropDuplicates([*KEY, "ln"]).select(*KEY, F.col("ln").alias("at"), "words")
+        each = runs.withColumn("at", F.explode(F.expr("sequence(ln, ln + lines - 1)"))).join(lines, [*KEY, "at"])
+        return each.groupBy(*runs.columns).agg(F.sum("words").cast("long").alias("words"))
 
     def clean(self, documents: DataFrame) -> DataFrame:
         """(doc_id, n_lines, n_deleted, clean_text) of every row."""
-        spans = self.repeats(documents).select(*KEY, F.explode(F.expr("sequence(ln, ln + depth - 1)")).alias("ln"))
+        spans = self.runs(documents).select(*KEY, F.explode(F.expr("sequence(ln, ln + lines - 1)")).alias("ln"))
         drops = spans.groupBy(*KEY).agg(F.collect_set("ln").alias("drops"))
         drops = self.scratch.keep(drops, "drops")
         docs = documents.select(F.col("doc_id").cast("long").alias("doc_id"), F.col("text").cast("string").alias("text")).withColumn("th", F.xxhash64("text"))
