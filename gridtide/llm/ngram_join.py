@@ -1,15 +1,18 @@
 """N-gram Jaccard join by PartEnum signatures.
 
-Texts become sets of hashed word n-grams.  Sizes fall into doubling bands, and
-each boundary between two bands gets a class of its own for the sizes that can
-match across it.  Inside a class every pair at the wanted similarity differs in
-at most ``k`` features, so when the hash domain is cut into more than ``k``
-parts, at least ``parts - k`` parts of the two sets agree; the projection on a
-part is a signature.  A part that both sets leave empty proves nothing and is
-skipped; a set with so many empty parts that all agreeing ones might be empty
-adds a further, independently cut scheme, until one has few enough (a pair is
-certain to meet in the first scheme that either of the two passes).  The join
-therefore loses no pair.
+Texts become sets of hashed word n-grams.  Sizes fall into bands, each ending where
+no set can match the band's least any more, so a match lies in one band or in two
+neighbours; each band with the next is a class, in which matching sets differ in at
+most ``k`` features.  On two levels the hash domain of a class is cut into ``n``
+parts and each part into ``SUBPARTS`` subparts.  With ``n`` above ``k / 2`` some part
+holds one difference at most, and then all of its subparts but one agree: every
+subset of SUBPARTS - 1 subparts is enumerated, and the set's projection on it is a
+signature.  A subset that holds nothing of a set proves nothing and is skipped; a
+set with so many parts of that kind that all the agreeing ones might be among them
+adds a further, independently cut scheme, until one has few enough (a pair is certain
+to meet in the first scheme that either of the two passes).  The join therefore
+loses no pair.  Features are 64-bit hashes of n-grams: two different n-grams count as
+one with a probability of 2 ** -64.
 
 Sets that share a signature are candidates.  They are compared exactly, first
 with the least member of their signature group (a star, never all pairs), then
@@ -39,6 +42,7 @@ N_WORDS = 5
 NUM, DEN = 80, 100  # similarity as a fraction
 SIG_BYTES, SET_BYTES = 6, 6
 SEEN_MOST = 1 << 18
+SUBPARTS = 3  # subparts of a part; all subsets of one less are enumerated
 CHUNK = 4096  # members of a signature group in one block
 MOST_SCHEMES = 64
 SKETCH = 8  # longs of a parity sketch
@@ -74,32 +78,45 @@ def set_key(items: np.ndarray) -> tuple[int, int]:
 
 @lru_cache(maxsize=None)
 def _parts(k: int, least: int) -> int:
-    """Fewest parts for which a set of ``least`` items usually has few empty ones."""
-    parts = k + 1
-    while parts > 1:
-        empty = parts * np.exp(-least / parts)
-        if parts - k - 1 >= empty + 0.5 * np.sqrt(empty) or parts > 8 * (k + 1):
+    """Fewest parts for which a set of ``least`` items usually has few with all items in one subpart, or none."""
+    best, at = -np.inf, k // 2 + 1
+    parts = at
+    while parts <= 4 * (k // 2 + 1):
+        load = least / parts
+        poor = parts * (SUBPARTS * np.exp(-load * (SUBPARTS - 1) / SUBPARTS) - (SUBPARTS - 1) * np.exp(-load))
+        margin = (parts - k // 2 - 1 - poor) / np.sqrt(poor + 1e-9)
+        if margin > best:
+            best, at = margin, parts
+        if margin >= 0.5:
             break
         parts += max(1, parts // 64)
-    return parts
+    return at
+
+
+@lru_cache(maxsize=None)
+def bands(size: int) -> tuple[tuple[int, int, int], ...]:
+    """(number, least size, largest size) of the band of a set size and of the band before it."""
+    low, number, before = 1, 0, None
+    while True:
+        high = low * DEN // NUM
+        if low <= size <= high:
+            return ((number, low, high),) if before is None else (before, (number, low, high))
+        before, low, number = (number, low, high), high + 1, number + 1
 
 
 @lru_cache(maxsize=None)
 def classes(size: int) -> tuple[tuple[int, int, int], ...]:
-    """(class id, differing features at most, parts) of each class of a set size."""
+    """(class, differing features at most, parts) of each class of a set size.
+
+    Class i is for pairs whose smaller set lies in band i: |x ^ y| is at most
+    (|x| + |y|) * (1 - t) / (1 + t), and the larger set has |x| / t items at most.
+    """
     out = []
-    # |x ^ y| <= (|x| + |y|) * (1 - t) / (1 + t)
-    bound = lambda total: total * (DEN - NUM) // (DEN + NUM)
-    band = size.bit_length() - 1
-    low, high = 1 << band, (2 << band) - 1
-    k = bound(2 * high)
-    out.append((2 * band, k, _parts(k, low)))
-    for edge, cls in ((low, 2 * band - 1), (2 * low, 2 * band + 1)):
-        top = (edge - 1) * DEN // NUM  # largest partner of a set below the edge
-        under = -(-edge * NUM // DEN)  # smallest partner of a set at or above it
-        if top >= edge and edge > 1 and under <= size <= top:
-            k = bound(edge - 1 + top)
-            out.append((cls, k, _parts(k, under)))
+    for number, low, high in bands(size):
+        top = high * DEN // NUM
+        if size <= top:
+            k = (high + top) * (DEN - NUM) // (DEN + NUM)
+            out.append((number, k, _parts(k, low)))
     return tuple(out)
 
 
@@ -107,20 +124,25 @@ def signatures(items: np.ndarray) -> np.ndarray:
     """All PartEnum signatures of one sorted set."""
     out = []
     for cls, k, parts in classes(len(items)):
+        if not k:  # only equal sets match
+            out.append(K.mix(K.mix(items + K.STEP).sum(dtype=np.uint64, keepdims=True) ^ np.uint64((cls + 1) * K.BASE & K.MASK)))
+            continue
+        # both levels are cut into equal ranges of the hash's upper 32 bits
+        edges = (np.arange(parts * SUBPARTS + 1, dtype=np.uint64) << np.uint64(32)) // np.uint64(parts * SUBPARTS)
         for scheme in range(MOST_SCHEMES):
             salt = np.uint64(scheme * K.BASE & K.MASK)
             view = items if not scheme else np.sort(K.mix(items ^ salt))
-            # the domain is cut into equal ranges of the hash's upper 32 bits
-            edges = (np.arange(parts + 1, dtype=np.uint64) << np.uint64(32)) // np.uint64(parts)
             cuts = np.searchsorted(view >> np.uint64(32), edges)
             sums = np.concatenate([np.zeros(1, np.uint64), np.cumsum(K.mix(view + K.STEP))])
-            count = np.diff(cuts)
-            full = np.flatnonzero(count)
-            passed = parts - k > parts - len(full)
-            if not passed and scheme == MOST_SCHEMES - 1:
-                full = np.arange(parts)
-            label = np.uint64(((cls + 1) << 32 | scheme << 20) * K.BASE & K.MASK)
-            out.append(K.mix((sums[cuts[full + 1]] - sums[cuts[full]]) ^ K.mix(full.astype(np.uint64) * K.STEP + label)))
+            part = K.mix((sums[cuts[1:]] - sums[cuts[:-1]]) ^ K.STEP).reshape(parts, SUBPARTS)
+            held = (np.diff(cuts) > 0).reshape(parts, SUBPARTS)
+            passed = int((held.sum(axis=1) < 2).sum()) < parts - k // 2
+            whole = part.sum(axis=1, dtype=np.uint64)
+            for left in range(SUBPARTS):  # the subset of all subparts but this one
+                some = held.sum(axis=1) > held[:, left]
+                full = np.flatnonzero(some) if passed or scheme < MOST_SCHEMES - 1 else np.arange(parts)
+                label = np.uint64(((cls + 1) << 32 | scheme << 20 | left << 16) * K.BASE & K.MASK)
+                out.append(K.mix((whole[full] - part[full, left]) ^ K.mix(full.astype(np.uint64) * K.STEP + label)))
             if passed:
                 break
     return np.concatenate(out)

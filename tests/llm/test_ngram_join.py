@@ -90,6 +90,24 @@ def test_similar_sets_always_share_a_signature():
                 assert len(np.intersect1d(J.signatures(x), J.signatures(y)))
 
 
+def test_bands_hold_every_match():
+    for size in range(1, 3000):
+        _, low, high = J.bands(size)[-1]
+        assert low <= size <= high
+        partner = size * J.DEN // J.NUM  # the largest set that can match
+        number = J.bands(size)[-1][0]
+        assert J.bands(partner)[-1][0] in (number, number + 1)
+        assert number in [c for c, _, _ in J.classes(partner)] and number in [c for c, _, _ in J.classes(size)]
+
+
+def test_a_passage_that_many_different_texts_share(spark):
+    passage = " ".join(f"p{i}" for i in range(120))
+    rows = [(i, f"{passage} " + " ".join(f"q{i}_{j}" for j in range(80)), "x") for i in range(2000)]
+    rows += [(5000 + i, rows[i][1] + f" tail{i}", "x") for i in range(0, 2000, 40)]
+    found = J.NgramJaccardJoin(spark).run(spark.createDataFrame(rows, SCHEMA).repartition(4))
+    assert {(r.doc_id, r.component_id) for r in found.collect()} == {(i, i - 5000 if i >= 5000 else i) for i, _, _ in rows}
+
+
 def brute_links(rows):
     sets = {i: shingles(t) for i, t, _ in rows if i is not None}
     near = lambda a, b: sets[a] and sets[b] and 100 * len(sets[a] & sets[b]) >= 80 * len(sets[a] | sets[b])
