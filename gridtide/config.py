@@ -30,7 +30,10 @@ class BalanceConfig:
 
     ``policy`` is lazy (the governor decides), always or never; ``loop`` is
     closed (the governor sees accepted arrivals) or open; ``merge_every`` is a
-    number of rounds, 0 for never.
+    number of rounds, 0 for never.  ``executor`` says what a point costs its
+    machine: a check of every query of its tile (scan), or a descent of the
+    machine's index and a check of the queries over its cell (index).
+    ``capacity`` are checks a round, ``memory`` queries that a machine can hold.
     """
 
     machines: int = 8
@@ -42,6 +45,8 @@ class BalanceConfig:
     order: str = "cost"
     merge_every: int = 0
     capacity: float | None = None
+    executor: str = "scan"
+    memory: int | None = None
 
 
 EVENTS = GridSpec()

@@ -2,6 +2,8 @@
 
 from __future__ import annotations
 
+from dataclasses import replace
+
 import numpy as np
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
@@ -77,25 +79,27 @@ def layout_costs(points: DataFrame, queries: DataFrame, tiles: list[Tile]) -> Da
     return R.reports(R.tile_stats(stream, plan_frame(spark, tiles), 0, 1.0)).select("machine_id", F.col("numerator").alias("cost"))
 
 
-def default_capacity(stream: R.Stream, tiles: list[Tile], machines: int) -> float:
+def default_capacity(stream: R.Stream, tiles: list[Tile], machines: int, executor: str = "scan") -> float:
     """Checks a machine can do in a round: 1.25 times the history layout's mean load."""
-    spark = stream.cells.sparkSession
-    mean = R.static_loads(stream, plan_frame(spark, tiles)).agg((F.sum("load") / (machines * stream.rounds)).alias("m")).first()["m"]
-    return 1.25 * float(mean or 1.0)
+    config = BalanceConfig(machines=machines, executor=executor)
+    run = R.static_run(R.static_loads(stream, plan_frame(stream.cells.sparkSession, tiles)), stream, "history_grid", len(tiles), config)
+    return 1.25 * (sum(r["mean_load"] for r in run.rows) / max(1, len(run.rows)) or 1.0)
+
+
+def static_runs(spark: SparkSession, stream: R.Stream, history: list[Tile], spec: GridSpec, config: BalanceConfig, replicas: int | None = None) -> list[R.Run]:
+    """The strategies that never change: replicated (on ``replicas`` machines), uniform grid, history grid."""
+    uniform, many = even_layout(spec, config.machines), replace(config, machines=replicas or config.machines)
+    return [
+        R.static_run(R.replicated_loads(stream, many.machines), stream, "replicated", many.machines, many),
+        R.static_run(R.static_loads(stream, plan_frame(spark, uniform)), stream, "uniform_grid", len(uniform), config),
+        R.static_run(R.static_loads(stream, plan_frame(spark, history)), stream, "history_grid", len(history), config),
+    ]
 
 
 def compare(spark: SparkSession, stream: R.Stream, history: list[Tile], spec: GridSpec, config: BalanceConfig, policies=("lazy",)) -> list[R.Run]:
     """All strategies on one stream: replicated, uniform grid, history grid, adaptive."""
-    m, cap = config.machines, config.capacity
-    uniform = even_layout(spec, m)
-    runs = [
-        R.static_run(R.replicated_loads(stream, m), stream, "replicated", m, m, cap),
-        R.static_run(R.static_loads(stream, plan_frame(spark, uniform)), stream, "uniform_grid", len(uniform), m, cap),
-        R.static_run(R.static_loads(stream, plan_frame(spark, history)), stream, "history_grid", len(history), m, cap),
-    ]
-    for policy in policies:
-        runs.append(R.adaptive(spark, stream, spec, BalanceConfig(**{**config.__dict__, "policy": policy})))
-    return runs
+    plays = [(stream, replace(config, policy=p), None) for p in policies]
+    return static_runs(spark, stream, history, spec, config) + R.adaptive_all(spark, spec, plays)
 
 
 def halt_and_replan(spark: SparkSession, points: DataFrame, queries: DataFrame, spec: GridSpec, machines: int, rounds: list[int]) -> list[tuple[int, list[Tile]]]:

@@ -109,16 +109,51 @@ def fold(collected: DataFrame, plan: DataFrame, at_round: int, decay: float = 1.
 
 
 def fold_round(previous: DataFrame | None, collected: DataFrame, plan: DataFrame, decay: float = 1.0) -> DataFrame:
-    """One round's step: the marginals before it and its collectors give the marginals after it."""
-    group = Window.partitionBy("tile_id", "axis").orderBy("idx").rowsBetween(Window.unboundedPreceding, 0)
-    key = ["tile_id", "axis", "idx"]
-    dense = spine(plan).join(collected.groupBy(*key).agg(*(F.sum(c).alias(c) for c in ("points", "starts", "spans"))), key, "left").fillna(0)
-    sums = dense.select(*key, F.sum("points").over(group).alias("p"), F.sum("starts").over(group).alias("s"), "spans")
-    if previous is None:
-        return sums.select(*key, F.col("p").cast("double").alias("n"), F.col("s").alias("q"), (F.col("p") + F.col("s")).alias("r"), F.col("spans").alias("span_q"), F.col("spans").alias("span_q_new"))
-    old = previous.select(*key, F.col("n").alias("n0"), F.col("q").alias("q0"), F.col("span_q").alias("g0"))
-    both = sums.join(old, key)
-    return both.select(*key, (F.col("n0") * decay + F.col("p")).alias("n"), (F.col("q0") + F.col("s")).alias("q"), (F.col("p") + F.col("s")).alias("r"), (F.col("g0") + F.col("spans")).alias("span_q"), F.col("spans").alias("span_q_new"))
+    """One round's step: the marginals before it and its collectors give the marginals after it.
+
+    Only the round's own counters and the tiles' rows and columns are read.
+    ``fresh`` are the round's points alone; a column ``work`` of the collectors
+    is summed along like them.
+    """
+    extra = [c for c in ("work",) if c in collected.columns]
+    more = lambda form: "".join(", " + form.format(c) for c in extra)
+    text = f"""
+        WITH objects AS (
+          SELECT tile_id, axis, idx, points, starts, spans, 0D AS n0, 0L AS q0, 0L AS g0{more("{}")} FROM {{collected}}
+          UNION ALL SELECT tile_id, 'row', explode(sequence(0, cy1 - cy0)), 0L, 0L, 0L, 0D, 0L, 0L{more("0L")} FROM {{plan}}
+          UNION ALL SELECT tile_id, 'col', explode(sequence(0, cx1 - cx0)), 0L, 0L, 0L, 0D, 0L, 0L{more("0L")} FROM {{plan}}
+          {"UNION ALL SELECT tile_id, axis, idx, 0L, 0L, 0L, n, q, span_q" + more("0L") + " FROM {previous}" if previous is not None else ""}),
+        dealt AS (SELECT /*+ REPARTITION(tile_id, axis) */ * FROM objects),
+        sums AS (
+          SELECT tile_id, axis, idx, sum(points) AS points, sum(starts) AS starts, sum(spans) AS spans, sum(n0) AS n0, sum(q0) AS q0, sum(g0) AS g0{more("sum({0}) AS {0}")}
+          FROM dealt GROUP BY tile_id, axis, idx)
+        SELECT tile_id, axis, idx, n0 * {decay!r}D + sum(points) OVER upto AS n, q0 + sum(starts) OVER upto AS q, sum(points + starts) OVER upto AS r,
+          g0 + spans AS span_q, spans AS span_q_new, sum(points) OVER upto AS fresh{more("sum({0}) OVER upto AS {0}")}
+        FROM sums WINDOW upto AS (PARTITION BY tile_id, axis ORDER BY idx ROWS UNBOUNDED PRECEDING)"""
+    held = {"previous": previous} if previous is not None else {}
+    return collected.sparkSession.sql(text, collected=collected, plan=plan, **held)  # one text, so that a round is analysed once
+
+
+def counted_collectors(cells: DataFrame, rects: DataFrame, side: DataFrame, on: list[str], values: list[str]) -> DataFrame:
+    """Collector rows from counts: ``values`` by (cx, cy) and ``queries`` by rectangle, at their tiles' rows and columns.
+
+    ``side`` is a plan's probe side, joined by bounds and by the columns ``on``.
+    """
+    same = "".join(f" AND o.{c} = t.{c}" for c in on)
+    names = ", ".join(values)
+    kinds = dict(cells.dtypes)
+    zeros = ", ".join(f"CAST(0 AS {kinds[c]}) AS {c}" for c in values)
+    part = lambda axis, c: f"named_struct('axis', '{axis}', 'a', greatest(o.{c}0, t.t_{c}0) - t.t_{c}0, 'b', least(o.{c}1, t.t_{c}1) - t.t_{c}0)"
+    text = f"""
+        SELECT tile_id, a.axis, a.idx, {names}, 0L AS starts, 0L AS spans FROM (
+          SELECT /*+ BROADCAST(t) */ t.tile_id, {names}, explode(array(named_struct('axis', 'row', 'idx', o.cy - t.t_cy0), named_struct('axis', 'col', 'idx', o.cx - t.t_cx0))) AS a
+          FROM {{cells}} o JOIN {{side}} t ON o.cx BETWEEN t.t_cx0 AND t.t_cx1 AND o.cy BETWEEN t.t_cy0 AND t.t_cy1{same})
+        UNION ALL
+        SELECT tile_id, s.axis, idx, {zeros}, if(idx = s.a, queries, 0L), if(idx = s.a, 0L, queries) FROM (
+          SELECT tile_id, queries, s, explode(sequence(s.a, s.b)) AS idx FROM (
+            SELECT /*+ BROADCAST(t) */ t.tile_id, o.queries, explode(array({part("row", "cy")}, {part("col", "cx")})) AS s
+            FROM {{rects}} o JOIN {{side}} t ON o.cx0 <= t.t_cx1 AND o.cx1 >= t.t_cx0 AND o.cy0 <= t.t_cy1 AND o.cy1 >= t.t_cy0{same}))"""
+    return cells.sparkSession.sql(text, cells=cells, rects=rects, side=side)
 
 
 def expire(points: DataFrame, at_round: int, window: int) -> DataFrame:

@@ -90,8 +90,9 @@ def workload(spark: SparkSession, points: DataFrame, queries: DataFrame, spec: G
     return (redirect(points, spec, spots, shape) if spots else points), asked
 
 
-def scale_queries(queries: DataFrame, factor: int, spec: GridSpec) -> DataFrame:
-    """Every query ``factor`` times, each copy shifted by a few hashed cells."""
+def scale_queries(queries: DataFrame, factor: int, spec: GridSpec, at_round: int | None = None) -> DataFrame:
+    """Every query ``factor`` times, each copy shifted by a few hashed cells; ``at_round`` -1 has them there before the first round."""
+    queries = queries if at_round is None else queries.withColumn("rnd", F.lit(at_round))
     copy = F.explode(F.sequence(F.lit(0), F.lit(factor - 1))).alias("copy")
     rows = queries.select("query_id", "rnd", "cx0", "cy0", "cx1", "cy1", copy)
     shift = lambda salt: F.when(F.col("copy") == 0, 0).otherwise(F.pmod(F.xxhash64("query_id", "copy", F.lit(salt)), F.lit(5)) - 2).cast("int")

@@ -20,6 +20,7 @@ from gridtide.operators import rounds as R
 from gridtide.plans import layout, lineage
 from gridtide.plans.layout import Tile, even_layout, plan_frame, values_sql
 from gridtide.sources import tables
+from gridtide.storage import Workspace
 from gridtide.streaming import loop
 
 LAST = 29
@@ -220,14 +221,15 @@ for _name, _at, _decay, _method in (("marginals_fold", LAST, 1.0, "window"), ("m
     query(_name, _marginal_sql(_at, "1.0" if _decay == 1.0 else "pow(0.5, {at} - rnd)"))(_fold)
 
 
-@query("marginals_stepwise", _marginal_sql(3, "pow(0.5, {at} - rnd)"))
+@query("marginals_stepwise", _marginal_sql(LAST, "pow(0.5, {at} - rnd)"))
 def _(spark, sf_dir):
     """The same marginals, round after round from the ones before."""
     got, plan = _collected(spark, sf_dir)
-    now = None
-    for r in range(4):
-        now = marginals.fold_round(now, got.where(F.col("rnd") == r), plan, 0.5)
-    return now
+    space = Workspace(spark, "stepwise")
+    got, now = space.put(got, "collected", "rnd"), None
+    for r in range(LAST + 1):
+        now = space.put(marginals.fold_round(now, got.where(F.col("rnd") == r), plan, 0.5), f"round-{r}")
+    return now.drop("fresh")
 
 
 @query(
@@ -513,8 +515,8 @@ def _(spark, sf_dir):
 def _(spark, sf_dir):
     """Lazy, always and never rebalancing, and the open loop, summed up."""
     stream, _, capacity = _capacity(spark, sf_dir)
-    make = lambda **k: R.adaptive(spark, stream, EVENTS, BalanceConfig(machines=MACHINES, capacity=capacity, **k))
-    runs = [make(), make(loop="open"), make(policy="always"), make(policy="never")]
+    play = lambda **k: (stream, BalanceConfig(machines=MACHINES, capacity=capacity, **k), None)
+    runs = R.adaptive_all(spark, EVENTS, [play(), play(loop="open"), play(policy="always"), play(policy="never")])
     return measures.units_of_work(R.run_frame(spark, *runs))
 
 
@@ -606,18 +608,24 @@ def _(spark, sf_dir):
     timed("route_points", lambda: routing.route_points(p, plan).count())
     timed("route_queries", lambda: routing.route_queries(q, plan).count())
     timed("collect_and_fold", lambda: marginals.fold(_collected(spark, sf_dir)[0], plan, LAST, 0.5).count())
-    got = []
-    timed("report", lambda: got.extend(R.reports(R.tile_stats(stream, plan, LAST, 0.5)).collect()) or len(got))
+    space = Workspace(spark, "overheads")
+    held = R.Held(space, stream.cells.withColumn("run", F.lit(0)), stream.rects.withColumn("run", F.lit(0)), 0.5)
+    before = space.put(held.rebuild(plan, LAST - 1), "before")
+    now, states = F.col("rnd") == LAST, []
+    fresh = marginals.counted_collectors(stream.cells.where(now), stream.rects.where(now), layout.probe_side(plan), [], ["points"])
+    timed("fold_round", lambda: states.append(space.put(marginals.fold_round(before, fresh, plan, 0.5), "state")) or states[0].count())
+    got, stats = [], R.totals(states[0], plan)
+    timed("report", lambda: got.extend(R.reports(stats).collect()) or len(got))
     load = {r["machine_id"]: float(r["numerator"]) for r in got}
-    stats = R.tile_stats(stream, plan, LAST, 0.5)
     costs = lambda m: {r["tile_id"]: float(r["c"]) for r in stats.where(F.col("machine_id") == m).select("tile_id", (F.col("n") * F.col("q") * F.col("r")).alias("c")).collect()}
-    axes = lambda t: planner.axis_stats(R.cell_marginals(stream, plan_frame(spark, [t]), LAST, 0.5).collect())
+    axes = lambda t: planner.axis_stats(states[0].where(F.col("tile_id") == t.tile_id).collect())
     moved = []
     timed("reduce_and_move", lambda: moved.extend(planner.rebalance_once(EVEN, load, costs, axes, LAST + 1)) or len(moved[0]))
     timed("receive", lambda: R.moved_queries(stream, [t for t in moved[0] if t.born_round]).count())
     timed("index_update", lambda: routing.cell_index(moved[0]).size)
     timed("decide", lambda: governor.Governor().step(float(sum(r["r"] for r in got))))
-    timed("donor_marginals", lambda: len(R.cell_marginals(stream, plan_frame(spark, EVEN[:1]), LAST, 0.5).collect()))
+    timed("donor_marginals", lambda: states[0].where(F.col("tile_id") == EVEN[0].tile_id).count())
+    timed("rebuild_after_split", lambda: R.carried(states[0], EVEN, moved[0], held, LAST).count())
     return spark.createDataFrame(rows, "step string, seconds double, row_count long")
 
 
@@ -629,7 +637,7 @@ LOADS = f"""{BASE}, {RP}, {RQ}, rounds AS (SELECT CAST(unnest(range(0, 30)) AS I
 
 
 def _uniform_loads(spark, sf_dir):
-    return R.static_loads(R.counted(spark, *_pq(spark, sf_dir)), _plan(spark))
+    return R.static_loads(R.counted(spark, *_pq(spark, sf_dir)), _plan(spark)).select("rnd", "machine_id", "load", "fresh")
 
 
 @query("static_uniform_load", f"{LOADS} SELECT rnd, machine_id, load, fresh FROM loads")
@@ -645,7 +653,7 @@ def _(spark, sf_dir):
     SELECT rnd, machine_id, CAST(mine * live AS BIGINT) AS load, CAST(mine AS BIGINT) AS fresh FROM d""",
 )
 def _(spark, sf_dir):
-    return R.replicated_loads(R.counted(spark, *_pq(spark, sf_dir)), MACHINES)
+    return R.replicated_loads(R.counted(spark, *_pq(spark, sf_dir)), MACHINES).select("rnd", "machine_id", "load", "fresh")
 
 
 @query("imbalance_by_round", f"{LOADS} SELECT rnd, min(load) AS min_load, avg(load) AS mean_load, max(load) AS max_load, max(load) / avg(load) AS max_over_mean FROM loads GROUP BY rnd")
@@ -660,7 +668,7 @@ def _(spark, sf_dir):
 )
 def _(spark, sf_dir):
     stream = R.counted(spark, *_pq(spark, sf_dir))
-    run = R.static_run(R.static_loads(stream, _plan(spark)), stream, "uniform_grid", MACHINES, MACHINES, 20000.0)
+    run = R.static_run(R.static_loads(stream, _plan(spark)), stream, "uniform_grid", MACHINES, BalanceConfig(machines=MACHINES, capacity=20000.0))
     return R.run_frame(spark, run).select("rnd", "accept", "arrivals", "live_queries", "processed")
 
 
