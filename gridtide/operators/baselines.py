@@ -52,7 +52,11 @@ def history_layout(points: DataFrame, queries: DataFrame, spec: GridSpec, machin
     grid = np.zeros((spec.side, spec.side))
     for r in cells:
         grid[r["cx"], r["cy"]] = r["n"]
-    rects = np.array([tuple(r) for r in boxes], dtype=np.int64).reshape(-1, 5)
+    return even_cost_layout(grid, np.array([tuple(r) for r in boxes], dtype=np.int64).reshape(-1, 5), spec, machines)
+
+
+def even_cost_layout(grid: np.ndarray, rects: np.ndarray, spec: GridSpec, machines: int) -> list[Tile]:
+    """Tiles of nearly equal cost from points by cell and (rectangle, queries) rows."""
     tiles, fresh = [Tile(0, 0, 0, 0, spec.side - 1, spec.side - 1)], 1
     while len(tiles) < machines:
         big = [t for t in tiles if t.area > 1]
@@ -102,6 +106,20 @@ def compare(spark: SparkSession, stream: R.Stream, history: list[Tile], spec: Gr
     return static_runs(spark, stream, history, spec, config) + R.adaptive_all(spark, spec, plays)
 
 
-def halt_and_replan(spark: SparkSession, points: DataFrame, queries: DataFrame, spec: GridSpec, machines: int, rounds: list[int]) -> list[tuple[int, list[Tile]]]:
-    """Centralised repartitioning: at each given round stop and lay out all history anew."""
-    return [(r, history_layout(points.where(F.col("rnd") <= r), queries.where(F.col("rnd") <= r), spec, machines, None)) for r in rounds]
+def halt_and_replan(spark: SparkSession, points: DataFrame, queries: DataFrame, spec: GridSpec, machines: int, rounds: list[int] | None = None) -> list[tuple[int, list[Tile]]]:
+    """Centralised repartitioning: at the end of each round (or of the given ones) stop and lay out all history anew.
+
+    The centre adds up each round's counts by cell and by rectangle, so a round
+    sends its own counts only; the layout is of everything up to then.
+    """
+    stream = R.counted(spark, points, queries)
+    grid, rects, out = np.zeros((spec.side, spec.side)), {}, []
+    for rnd in range(-1, stream.rounds):
+        for r in stream.cells.where(F.col("rnd") == rnd).collect():  # bounded by the grid
+            grid[r["cx"], r["cy"]] += r["points"]
+        for r in stream.rects.where(F.col("rnd") == rnd).collect():  # a round's rectangles
+            box = tuple(r[c] for c in R.RECT)
+            rects[box] = rects.get(box, 0) + r["queries"]
+        if rnd >= 0 and (rounds is None or rnd in rounds):
+            out.append((rnd, even_cost_layout(grid, np.array([(*b, n) for b, n in rects.items()], dtype=np.int64).reshape(-1, 5), spec, machines)))
+    return out

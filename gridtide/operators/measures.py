@@ -30,7 +30,7 @@ def units_of_work(rows: DataFrame) -> DataFrame:
     """(strategy, average and total units, mean latency, mean max over mean) over a run's rounds."""
     return rows.groupBy("strategy").agg(
         F.avg("units").alias("mean_units"), F.sum("units").alias("total_units"), F.avg("latency").alias("mean_latency"),
-        F.avg(F.col("max_load") / F.col("mean_load")).alias("mean_imbalance"), F.sum("moved_queries").alias("moved_queries"),
+        F.avg(F.col("max_load") / F.nullif(F.col("mean_load"), F.lit(0.0))).alias("mean_imbalance"), F.sum("moved_queries").alias("moved_queries"),
     )
 
 
@@ -46,6 +46,27 @@ def stats_traffic(spark: SparkSession, sides: list[int], machines: list[int]) ->
     return spark.createDataFrame(rows, "side int, machines int, decentral long, central long")
 
 
+def counted_traffic(points: DataFrame, queries: DataFrame, machines: int) -> DataFrame:
+    """(rnd, decentral, central): numbers sent by each round's end, 2 a machine against 5 for each cell that the round touched."""
+    over = queries.withColumn("cx", F.explode(F.sequence("cx0", "cx1"))).withColumn("cy", F.explode(F.sequence("cy0", "cy1")))
+    cells = points.select("rnd", "cx", "cy").unionByName(over.select("rnd", "cx", "cy")).distinct()
+    return cells.groupBy("rnd").agg(F.lit(2 * machines).cast("long").alias("decentral"), (F.count("*") * 5).alias("central"))
+
+
+def network_use(rows: DataFrame, forwarded: DataFrame, machines: int, share: float = 0.8) -> DataFrame:
+    """(strategy, rnd, rows_sent, used): accepted points, new query copies, forwarded rows, moved queries and reports by round.
+
+    ``used`` is against the reachable part (``share``) of a link that carries
+    the busiest round of any strategy.  ``forwarded``: (strategy, rnd,
+    forwarded).
+    """
+    sent = rows.join(forwarded, ["strategy", "rnd"], "left").fillna(0, ["forwarded", "moved_queries"])
+    total = F.col("processed") + F.col("new_copies") + F.col("forwarded") + F.col("moved_queries") + F.lit(2 * machines)
+    sent = sent.select("strategy", "rnd", total.alias("rows_sent"))
+    most = sent.agg((F.max("rows_sent") / share).alias("link"))
+    return sent.join(F.broadcast(most)).select("strategy", "rnd", "rows_sent", (F.col("rows_sent") / F.col("link")).alias("used"))
+
+
 def network_rows(routed_points: DataFrame, routed_queries: DataFrame, machines: int) -> DataFrame:
     """Rows sent by round: routed points, routed query copies, reports."""
     p = routed_points.groupBy("rnd").agg(F.count("*").alias("points"))

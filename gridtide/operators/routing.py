@@ -143,3 +143,9 @@ def route_with_lag(points: DataFrame, history: DataFrame, lag: int = 1) -> DataF
     old = plans.selectExpr("round AS old_round", "machine_id AS sent_to", "t_cx0", "t_cy0", "t_cx1", "t_cy1")
     both = now.join(F.broadcast(old), (F.col("old_round") == F.greatest(F.lit(0), F.col("rnd") - lag)) & holds())
     return both.withColumn("forwarded", F.col("sent_to") != F.col("machine_id")).drop("old_round", "t_cx0", "t_cy0", "t_cx1", "t_cy1")
+
+
+def route_queries_by_round(queries: DataFrame, history: DataFrame) -> DataFrame:
+    """Each query once for every tile that it overlaps in the plan of its round."""
+    plans = history.selectExpr("round", "tile_id", "machine_id", "cx0 AS t_cx0", "cy0 AS t_cy0", "cx1 AS t_cx1", "cy1 AS t_cy1")
+    return queries.join(F.broadcast(plans), (F.col("round") == F.col("rnd")) & overlaps()).drop("round", "t_cx0", "t_cy0", "t_cx1", "t_cy1")

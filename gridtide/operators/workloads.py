@@ -14,7 +14,7 @@ from gridtide.functions.grid import byte_sum, word
 BELL = (20, 80, 200, 320, 400, 400, 320, 200, 80, 20)
 STEP = (400,) * 10
 HALF_BELL = tuple(v // 2 for v in BELL)
-HOT_QUERIES = 100
+HOT_QUERIES, HOT_SHARE = 100, 20  # extra queries of a hotspot: so many at least, and one for so many of the stream
 
 
 def hotspot_side(spec: GridSpec, share: float = 0.15) -> int:
@@ -85,8 +85,9 @@ def workload(spark: SparkSession, points: DataFrame, queries: DataFrame, spec: G
     """(points, queries) of a named workload over a base stream."""
     spots, shape = SHAPES[name]
     asked = queries.select("query_id", "rnd", "cx0", "cy0", "cx1", "cy1")
+    count = max(HOT_QUERIES, queries.count() // HOT_SHARE) if spots else 0
     for where, start, _ in spots:
-        asked = asked.unionByName(hotspot_queries(spark, spec, where, start))
+        asked = asked.unionByName(hotspot_queries(spark, spec, where, start, count))
     return (redirect(points, spec, spots, shape) if spots else points), asked
 
 
@@ -94,11 +95,11 @@ def scale_queries(queries: DataFrame, factor: int, spec: GridSpec, at_round: int
     """Every query ``factor`` times, each copy shifted by a few hashed cells; ``at_round`` -1 has them there before the first round."""
     queries = queries if at_round is None else queries.withColumn("rnd", F.lit(at_round))
     copy = F.explode(F.sequence(F.lit(0), F.lit(factor - 1))).alias("copy")
-    rows = queries.select("query_id", "rnd", "cx0", "cy0", "cx1", "cy1", copy)
-    shift = lambda salt: F.when(F.col("copy") == 0, 0).otherwise(F.pmod(F.xxhash64("query_id", "copy", F.lit(salt)), F.lit(5)) - 2).cast("int")
+    rows = queries.select("query_id", "rnd", "cx0", "cy0", "cx1", "cy1", copy).withColumn("query_id", F.col("query_id") * factor + F.col("copy"))
+    shift = lambda salt: F.when(F.col("copy") == 0, 0).otherwise(word("query_id", salt) % 5 - 2).cast("int")
     rows = rows.withColumns({"dx": shift("x"), "dy": shift("y")})
     move = lambda c, d: F.greatest(F.lit(0), F.least(F.lit(spec.side - 1), F.col(c) + F.col(d))).cast("int")
-    return rows.select((F.col("query_id") * factor + F.col("copy")).alias("query_id"), "rnd", move("cx0", "dx").alias("cx0"), move("cy0", "dy").alias("cy0"), move("cx1", "dx").alias("cx1"), move("cy1", "dy").alias("cy1"))
+    return rows.select("query_id", "rnd", move("cx0", "dx").alias("cx0"), move("cy0", "dy").alias("cy0"), move("cx1", "dx").alias("cx1"), move("cy1", "dy").alias("cy1"))
 
 
 def drift(points: DataFrame, spec: GridSpec, cells_a_round: int = 1) -> DataFrame:

@@ -14,7 +14,7 @@ from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
 from gridtide import sql
-from gridtide.config import EVENTS, MACHINES, BalanceConfig
+from gridtide.config import EVENTS, MACHINES, BalanceConfig, GridSpec
 from gridtide.operators import baselines, cost, euler, governor, marginals, matching, measures, planner, reports, routing, workloads
 from gridtide.operators import rounds as R
 from gridtide.plans import layout, lineage
@@ -540,6 +540,35 @@ for _name in workloads.SHAPES:
     query(f"strategies_{_name}")(lambda spark, sf_dir, n=_name: measures.units_of_work(_strategies(spark, sf_dir, n)))
 
 
+def _other(spark, sf_dir, points, queries, spec=EVENTS):
+    stream = R.counted(spark, points, queries)
+    history = baselines.history_layout(points, queries, spec, MACHINES, max(200, points.count() // 4))
+    config = BalanceConfig(machines=MACHINES, capacity=baselines.default_capacity(stream, history, MACHINES))
+    return measures.units_of_work(R.run_frame(spark, *baselines.compare(spark, stream, history, spec, config, ("lazy", "always"))))
+
+
+@query("strategies_drift")
+def _(spark, sf_dir):
+    """All strategies while the whole stream wanders to the right, a cell a round."""
+    p, q = _pq(spark, sf_dir)
+    return _other(spark, sf_dir, workloads.drift(p, EVENTS), q)
+
+
+@query("strategies_replay")
+def _(spark, sf_dir):
+    """All strategies on the stream played three times; queries come with the first pass."""
+    p, q = _pq(spark, sf_dir)
+    return _other(spark, sf_dir, tables.replay(p, 3), q)
+
+
+@query("strategies_embeddings")
+def _(spark, sf_dir):
+    """All strategies on the natural blob of the embeddings; every tenth vector also asks for its surroundings."""
+    p = tables.embedding_points(spark, sf_dir).withColumn("rnd", F.expr("int(point_id div 50)")).withColumn("ts", F.col("point_id"))
+    q = tables.embedding_queries(spark, sf_dir)
+    return _other(spark, sf_dir, p, q, GridSpec(-0.5, -0.5, 1.0, 1.0, 64))
+
+
 @query("strategy_ratios")
 def _(spark, sf_dir):
     """Gain in units of work and latency quotient against the history grid, plain stream."""
@@ -555,26 +584,120 @@ def _(spark, sf_dir):
     return rows.groupBy("strategy", "period").agg(used("min_load").alias("least"), used("mean_load").alias("mean"), used("max_load").alias("most"))
 
 
+@query("network_hotspot")
+def _(spark, sf_dir):
+    """Least, mean and most of the network used by period of five rounds while a hotspot comes and goes."""
+    p, q = _pq(spark, sf_dir)
+    _, history, capacity = _capacity(spark, sf_dir)
+    wp, wq = workloads.workload(spark, p, q, EVENTS, "hotspot_uniform")
+    stream = R.counted(spark, wp, wq)
+    config = BalanceConfig(machines=MACHINES, capacity=capacity)
+    runs = baselines.static_runs(spark, stream, history, EVENTS, config) + [R.adaptive(spark, stream, EVENTS, config)]
+    plans = {"uniform_grid": [EVEN], "history_grid": [history], runs[-1].rows[0]["strategy"]: [EVEN, *runs[-1].plans]}
+    copies = forwarded = None
+    for name, tiles in plans.items():
+        by_round = None
+        for r in range(stream.rounds):
+            one = plan_frame(spark, tiles[min(r, len(tiles) - 1)], r)
+            by_round = one if by_round is None else by_round.unionByName(one)
+        routed = routing.route_queries_by_round(wq, by_round).groupBy("rnd").agg(F.count("*").alias("new_copies"))
+        sent = routing.route_with_lag(wp, by_round).groupBy("rnd").agg(F.sum(F.col("forwarded").cast("long")).alias("forwarded"))
+        tag = lambda f: f.withColumn("strategy", F.lit(name))  # noqa: B023, E731
+        copies, forwarded = (tag(routed), tag(sent)) if copies is None else (copies.unionByName(tag(routed)), forwarded.unionByName(tag(sent)))
+    all_of = wq.groupBy("rnd").agg((F.count("*") * MACHINES).alias("new_copies")).withColumn("strategy", F.lit("replicated"))
+    rows = R.run_frame(spark, *runs).join(copies.unionByName(all_of), ["strategy", "rnd"], "left").fillna(0, ["new_copies"])
+    used = measures.network_use(rows, forwarded, MACHINES).withColumn("period", F.floor(F.col("rnd") / 5).cast("int"))
+    return used.groupBy("strategy", "period").agg(F.min("used").alias("least"), F.avg("used").alias("mean"), F.max("used").alias("most"), F.sum("rows_sent").alias("rows_sent"))
+
+
 @query("hotspot_recovery")
 def _(spark, sf_dir):
     """Rounds from a hotspot's onset until max over mean is back under 2.5."""
     return measures.recovery_rounds(_strategies(spark, sf_dir, "hotspot_step"), 10, 2.5)
 
 
+LOADS = f"""{BASE}, {RP}, {RQ}, rounds AS (SELECT CAST(unnest(range(0, 30)) AS INTEGER) AS rnd),
+  lp AS (SELECT rnd, tile_id, count(*) AS fresh FROM rp GROUP BY 1, 2),
+  lq AS (SELECT r.rnd, q.tile_id, count(*) AS live FROM rounds r JOIN rq q ON q.rnd <= r.rnd GROUP BY 1, 2),
+  loads AS (SELECT r.rnd, t.machine_id, CAST(sum(coalesce(fresh, 0) * coalesce(live, 0)) AS BIGINT) AS load, CAST(sum(coalesce(fresh, 0)) AS BIGINT) AS fresh
+    FROM rounds r CROSS JOIN plan t LEFT JOIN lp ON lp.rnd = r.rnd AND lp.tile_id = t.tile_id LEFT JOIN lq ON lq.rnd = r.rnd AND lq.tile_id = t.tile_id GROUP BY 1, 2)"""
+
+
+FACTORS = (1, 2, 4, 8, 16)
+FINE, REPLICAS = GridSpec(side=256), 11  # replicas have the routers' machines too: 30 to 22 as published
+HELD_FACTOR = 8  # a machine can hold so many times the base queries, so replicas overflow at the largest factor
+
+
 @query("query_scaling")
 def _(spark, sf_dir):
-    """Units of work and latency of the static and replicated strategies and of adaptive balancing at 1, 4 and 16 times the queries."""
-    p, q = _pq(spark, sf_dir)
-    _, history, capacity = _capacity(spark, sf_dir)
+    """Units of work, latency and queries held by strategy and query count.
+
+    All queries are there before the first round; executors search an index;
+    capacity is the same at every factor; all adaptive runs play together.
+    ``settled_`` figures are of the last ten rounds, after the cold start.
+    """
+    p, q = tables.event_points(spark, sf_dir, FINE), tables.event_queries(spark, sf_dir, FINE, side=1)
+    n = q.count()
+    history = baselines.history_layout(p, q, FINE, MACHINES, max(200, p.count() // 4))
+    streams = {k: R.counted(spark, p, workloads.scale_queries(q, k, FINE, -1), indexed=True) for k in FACTORS}
+    capacity = baselines.default_capacity(streams[1], history, MACHINES, "index")
+    config = BalanceConfig(machines=MACHINES, capacity=capacity, executor="index", memory=HELD_FACTOR * n, policy="always")
+    runs = R.adaptive_all(spark, FINE, [(s, config, None) for s in streams.values()])
     out = None
-    for factor in (1, 4, 16):
-        stream = R.counted(spark, p, workloads.scale_queries(q, factor, EVENTS))
-        config = BalanceConfig(machines=MACHINES, capacity=capacity * 4)
-        rows = measures.units_of_work(R.run_frame(spark, *baselines.compare(spark, stream, history, EVENTS, config, ("always",)))).withColumn("factor", F.lit(factor))
+    for (k, stream), run in zip(streams.items(), runs, strict=True):
+        rows = R.run_frame(spark, *baselines.static_runs(spark, stream, history, FINE, config, REPLICAS), run)
+        held = rows.groupBy("strategy").agg(F.max("held").alias("most_held"), (F.max("held") > config.memory).alias("failed"))
+        settled = rows.where(F.col("rnd") >= LAST - 9).groupBy("strategy").agg(F.avg("units").alias("settled_units"), F.avg("latency").alias("settled_latency"))
+        rows = measures.units_of_work(rows).join(held, "strategy").join(settled, "strategy").withColumn("factor", F.lit(k)).withColumn("queries", F.lit(n * k).cast("long"))
         out = rows if out is None else out.unionByName(rows)
     return out
 
 
+def _scaled_sql() -> str:
+    shift = lambda salt: f"CASE WHEN copy = 0 THEN 0 ELSE CAST('0x' || substr(md5(CAST(query_id * f + copy AS VARCHAR) || ':{salt}'), 1, 7) AS BIGINT) % 5 - 2 END"
+    move = lambda c, s: f"greatest(0, least(63, {c} + {shift(s)}))"
+    return f"""s AS (SELECT f, copy, {', '.join(f"{move(c, c[1])} AS {c}" for c in R.RECT)} FROM qs CROSS JOIN (SELECT f, unnest(range(0, f)) AS copy FROM (SELECT unnest([{', '.join(map(str, FACTORS))}]) AS f)))"""
+
+
+@query(
+    "static_scaling",
+    f"""{BASE}, {_scaled_sql()}, {RP}, lp AS (SELECT rnd, tile_id, machine_id, count(*) AS fresh FROM rp GROUP BY ALL), lq AS (SELECT f, t.tile_id, count(*) AS held FROM s q JOIN plan t ON {OVER} GROUP BY ALL),
+    rounds AS (SELECT CAST(unnest(range(0, 30)) AS INTEGER) AS rnd), n AS (SELECT f, count(*) AS live FROM s GROUP BY f), a AS (SELECT rnd, count(*) AS arrivals FROM pts GROUP BY rnd),
+    tiled AS (SELECT 'uniform_grid' AS strategy, n.f, r.rnd, t.machine_id, sum(coalesce(fresh, 0) * coalesce(held, 0)) AS load FROM n CROSS JOIN rounds r CROSS JOIN plan t
+      LEFT JOIN lp ON lp.rnd = r.rnd AND lp.tile_id = t.tile_id LEFT JOIN lq ON lq.f = n.f AND lq.tile_id = t.tile_id GROUP BY ALL),
+    dealt AS (SELECT 'replicated' AS strategy, n.f, r.rnd, t.machine_id, (coalesce(arrivals, 0) // {MACHINES} + CASE WHEN t.machine_id < coalesce(arrivals, 0) % {MACHINES} THEN 1 ELSE 0 END) * live AS load
+      FROM n CROSS JOIN rounds r CROSS JOIN plan t LEFT JOIN a ON a.rnd = r.rnd),
+    m AS (SELECT strategy, f, rnd, CAST(max(load) AS DOUBLE) AS max_load, CAST(sum(load) AS DOUBLE) / {MACHINES} AS mean_load, CASE WHEN sum(load) = 0 THEN 0.0 ELSE CAST(sum(load * load) AS DOUBLE) / CAST(sum(load) AS DOUBLE) END AS latency
+      FROM (SELECT * FROM tiled UNION ALL SELECT * FROM dealt) GROUP BY ALL)
+    SELECT CAST(f AS INTEGER) AS factor, strategy, m.rnd, max_load, mean_load, latency, live * (CASE WHEN max_load = 0 THEN 1.0::DOUBLE ELSE least(1.0::DOUBLE, CAST(20000 AS DOUBLE) / max_load) END) * coalesce(arrivals, 0) AS units
+    FROM m JOIN n USING (f) LEFT JOIN a ON a.rnd = m.rnd""",
+)
+def _(spark, sf_dir):
+    """Rounds of the replicated and the uniform strategy at every number of preloaded queries, with scanning executors."""
+    p, q = _pq(spark, sf_dir)
+    config, out = BalanceConfig(machines=MACHINES, capacity=20000.0), None
+    for k in FACTORS:
+        stream = R.counted(spark, p, workloads.scale_queries(q, k, EVENTS, -1), 30)
+        rows = R.run_frame(spark, *baselines.static_runs(spark, stream, EVEN, EVENTS, config)[:2]).select(F.lit(k).alias("factor"), "strategy", "rnd", "max_load", "mean_load", "latency", "units")
+        out = rows if out is None else out.unionByName(rows)
+    return out
+
+
+@query(
+    "static_rounds",
+    f"""{LOADS}, d AS (SELECT rnd, machine_id, (sum(fresh) OVER r // {MACHINES} + CASE WHEN machine_id < sum(fresh) OVER r % {MACHINES} THEN 1 ELSE 0 END) * (SELECT count(*) FROM qs WHERE qs.rnd <= loads.rnd) AS load, sum(fresh) OVER r AS arrivals FROM loads WINDOW r AS (PARTITION BY rnd)),
+    u AS (SELECT 'uniform_grid' AS strategy, rnd, load, sum(fresh) OVER (PARTITION BY rnd) AS arrivals FROM loads UNION ALL SELECT 'replicated', rnd, load, arrivals FROM d),
+    m AS (SELECT strategy, rnd, arrivals, CAST(max(load) AS DOUBLE) AS max_load, CAST(min(load) AS DOUBLE) AS min_load, CAST(sum(load) AS DOUBLE) / {MACHINES} AS mean_load, CASE WHEN sum(load) = 0 THEN 0.0 ELSE CAST(sum(load * load) AS DOUBLE) / CAST(sum(load) AS DOUBLE) END AS latency,
+      CASE WHEN max(load) = 0 THEN 1.0::DOUBLE ELSE least(1.0::DOUBLE, CAST(20000 AS DOUBLE) / max(load)) END AS accept, (SELECT count(*) FROM qs WHERE qs.rnd <= any_value(w.rnd)) AS live FROM u w GROUP BY strategy, rnd, arrivals)
+    SELECT strategy, rnd, max_load, min_load, mean_load, latency, accept, live * accept * arrivals AS units FROM m""",
+)
+def _(spark, sf_dir):
+    """Every round of the replicated and the uniform strategy."""
+    stream = R.counted(spark, *_pq(spark, sf_dir), 30)
+    runs = baselines.static_runs(spark, stream, EVEN, EVENTS, BalanceConfig(machines=MACHINES, capacity=20000.0))[:2]
+    return R.run_frame(spark, *runs).select("strategy", "rnd", "max_load", "min_load", "mean_load", "latency", "accept", "units")
+
+
 @query("history_layout")
 def _(spark, sf_dir):
     """The history grid and its cost for each machine on that history."""
@@ -587,9 +710,9 @@ def _(spark, sf_dir):
 
 @query("halt_and_replan")
 def _(spark, sf_dir):
-    """Centralised repartitioning in rounds 9, 19 and 29: the plans, and what each had to read."""
+    """Centralised repartitioning at the end of every round: the plans."""
     p, q = _pq(spark, sf_dir)
-    rows = [(r, t.machine_id, t.cx0, t.cy0, t.cx1, t.cy1) for r, tiles in baselines.halt_and_replan(spark, p, q, EVENTS, MACHINES, [9, 19, 29]) for t in tiles]
+    rows = [(r, t.machine_id, t.cx0, t.cy0, t.cx1, t.cy1) for r, tiles in baselines.halt_and_replan(spark, p, q, EVENTS, MACHINES) for t in tiles]
     return spark.createDataFrame(rows, "rnd int, machine_id int, cx0 int, cy0 int, cx1 int, cy1 int")
 
 
@@ -629,13 +752,6 @@ def _(spark, sf_dir):
     return spark.createDataFrame(rows, "step string, seconds double, row_count long")
 
 
-LOADS = f"""{BASE}, {RP}, {RQ}, rounds AS (SELECT CAST(unnest(range(0, 30)) AS INTEGER) AS rnd),
-  lp AS (SELECT rnd, tile_id, count(*) AS fresh FROM rp GROUP BY 1, 2),
-  lq AS (SELECT r.rnd, q.tile_id, count(*) AS live FROM rounds r JOIN rq q ON q.rnd <= r.rnd GROUP BY 1, 2),
-  loads AS (SELECT r.rnd, t.machine_id, CAST(sum(coalesce(fresh, 0) * coalesce(live, 0)) AS BIGINT) AS load, CAST(sum(coalesce(fresh, 0)) AS BIGINT) AS fresh
-    FROM rounds r CROSS JOIN plan t LEFT JOIN lp ON lp.rnd = r.rnd AND lp.tile_id = t.tile_id LEFT JOIN lq ON lq.rnd = r.rnd AND lq.tile_id = t.tile_id GROUP BY 1, 2)"""
-
-
 def _uniform_loads(spark, sf_dir):
     return R.static_loads(R.counted(spark, *_pq(spark, sf_dir)), _plan(spark)).select("rnd", "machine_id", "load", "fresh")
 
@@ -690,6 +806,14 @@ def _(spark, sf_dir):
     return measures.stats_traffic(spark, [64, 256, 1000], [8, 22])
 
 
+@query(
+    "counted_traffic",
+    f"WITH {LOC}, c AS (SELECT rnd, cx, cy FROM pts UNION SELECT rnd, x, CAST(unnest(range(cy0, cy1 + 1)) AS INTEGER) FROM (SELECT *, CAST(unnest(range(cx0, cx1 + 1)) AS INTEGER) AS x FROM qs)) SELECT rnd, CAST({2 * MACHINES} AS BIGINT) AS decentral, 5 * count(*) AS central FROM c GROUP BY rnd",
+)
+def _(spark, sf_dir):
+    return measures.counted_traffic(*_pq(spark, sf_dir), MACHINES)
+
+
 @query("network_rows", f"{BASE}, {RP}, {RQ} SELECT rnd, coalesce(a.c, 0) AS points, coalesce(b.c, 0) AS query_copies, CAST({2 * MACHINES} AS BIGINT) AS reports FROM (SELECT rnd, count(*) AS c FROM rp GROUP BY 1) a FULL JOIN (SELECT rnd, count(*) AS c FROM rq GROUP BY 1) b USING (rnd)")
 def _(spark, sf_dir):
     p, q = _pq(spark, sf_dir)

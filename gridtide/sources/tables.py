@@ -77,6 +77,14 @@ def embedding_points(spark: SparkSession, sf_dir: str, side: int = 64) -> DataFr
     return to_cells(rows, spec)
 
 
+def embedding_queries(spark: SparkSession, sf_dir: str, side: int = 64, half: int = 1) -> DataFrame:
+    """F3 queries: ``half`` cells around every tenth vector, from its round on."""
+    rows = embedding_points(spark, sf_dir, side).where(F.col("point_id") % 10 == 0)
+    low = lambda c: F.greatest(F.lit(0), F.col(c) - half).cast("int")
+    high = lambda c: F.least(F.lit(side - 1), F.col(c) + half).cast("int")
+    return rows.select(F.col("point_id").alias("query_id"), F.col("point_id").alias("qts"), "rnd", low("cx").alias("cx0"), low("cy").alias("cy0"), high("cx").alias("cx1"), high("cy").alias("cy1"))
+
+
 def document_points(spark: SparkSession, sf_dir: str, side: int = 64) -> DataFrame:
     """F4 points: documents by length and a scattered id, with their text as payload."""
     spec = GridSpec(0.0, 0.0, 4096.0, 1000.0, side)

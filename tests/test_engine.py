@@ -57,7 +57,7 @@ def test_adaptive_beats_static_and_keeps_the_cover(spark):
     points, queries = tables.event_points(spark, SF), tables.event_queries(spark, SF)
     stream = R.counted(spark, points, queries, rounds=12)
     run = R.adaptive(spark, stream, EVENTS, BalanceConfig(policy="always", capacity=60.0))
-    still = R.static_run(R.static_loads(stream, plan_frame(spark, even_layout(EVENTS, 8))), stream, "uniform", 8, 8, 60.0)
+    still = R.static_run(R.static_loads(stream, plan_frame(spark, even_layout(EVENTS, 8))), stream, "uniform", 8, BalanceConfig(machines=8, capacity=60.0))
     units = lambda r: sum(row["units"] for row in r.rows)
     assert units(run) > 1.5 * units(still)
     assert all(registry.layout.covers(EVENTS, tiles) for tiles in run.plans)
