@@ -7,7 +7,8 @@ from pyspark.sql import functions as F
 
 from gridtide.operators.routing import route_points, route_queries
 
-SALTS = 8
+CHAIN_MOST = 1 << 18  # rows of tile chains that are broadcast at most
+SMALL_TAGS = 64  # parts over which the newest points of a tag are first looked for
 
 
 def _inside() -> Column:
@@ -15,11 +16,11 @@ def _inside() -> Column:
     return c("x").between(c("x0"), c("x1")) & c("y").between(c("y0"), c("y1"))
 
 
-def match_continuous(points: DataFrame, queries: DataFrame, plan: DataFrame, method: str = "tile", registered: bool = True, predicate: Column | None = None, salts: int = 1) -> DataFrame:
+def match_continuous(points: DataFrame, queries: DataFrame, plan: DataFrame, method: str = "cell", registered: bool = True, predicate: Column | None = None, salts: int = 1) -> DataFrame:
     """(query_id, point_id, machine_id): each point inside a query's rectangle, once.
 
-    ``tile`` joins on the tile; ``cell`` on the cell, for tiles too hot for one
-    task.  With ``registered`` a query sees points that arrive after it.  Extra
+    ``cell`` joins on the cell, so that a task meets only the queries near a
+    point; ``tile`` joins on the tile, as a machine without an index would.  With ``registered`` a query sees points that arrive after it.  Extra
     predicates are columns over both sides.  ``salts`` spreads a hot key: points
     are dealt over that many parts and each query is copied to all of them.
     """
@@ -41,6 +42,18 @@ def match_continuous(points: DataFrame, queries: DataFrame, plan: DataFrame, met
     return found.select("query_id", "point_id", "machine_id")
 
 
+def snapshot_links(queries: DataFrame, chain: DataFrame, window: int) -> DataFrame:
+    """Which stored tiles each query asks, and for which part of space: the links of the chains of all tiles that it overlaps.
+
+    ``chain`` has a row for each live tile and ancestor; it grows with the plan's
+    history, not with the data, and is broadcast up to CHAIN_MOST rows.
+    """
+    asked = queries.withColumn("from_rnd", F.col("rnd") - window + 1)
+    small = F.broadcast(chain) if chain.count() <= CHAIN_MOST else chain
+    links = asked.join(small, (F.col("cx0") <= F.col("t_cx1")) & (F.col("cx1") >= F.col("t_cx0")) & (F.col("cy0") <= F.col("t_cy1")) & (F.col("cy1") >= F.col("t_cy0")))
+    return links.where("born_round <= rnd and (retired_round is null or retired_round > from_rnd)").select("query_id", "rnd", "from_rnd", "x0", "x1", "y0", "y1", "stored_tile", "current_tile", "t_cx0", "t_cy0", "t_cx1", "t_cy1")
+
+
 def match_snapshot(queries: DataFrame, store: DataFrame, chain: DataFrame, window: int) -> DataFrame:
     """Points of the last ``window`` rounds inside each query, read where they were stored.
 
@@ -48,9 +61,7 @@ def match_snapshot(queries: DataFrame, store: DataFrame, chain: DataFrame, windo
     maps each current tile to ancestors with the rounds of which they are asked
     and the part of space that is asked for.
     """
-    asked = queries.withColumn("from_rnd", F.col("rnd") - window + 1)
-    links = asked.join(F.broadcast(chain), (F.col("cx0") <= F.col("t_cx1")) & (F.col("cx1") >= F.col("t_cx0")) & (F.col("cy0") <= F.col("t_cy1")) & (F.col("cy1") >= F.col("t_cy0")))
-    links = links.where("born_round <= rnd and (retired_round is null or retired_round > from_rnd)").select("query_id", "rnd", "from_rnd", "x0", "x1", "y0", "y1", "stored_tile", "current_tile", "t_cx0", "t_cy0", "t_cx1", "t_cy1")
+    links = snapshot_links(queries, chain, window)
     held = store.select("point_id", F.col("rnd").alias("arrived"), "x", "y", "cx", "cy", F.col("tile_id").alias("stored_tile"))
     found = links.join(held, "stored_tile").where(_inside() & F.col("arrived").between(F.col("from_rnd"), F.col("rnd")))
     found = found.where("cx between t_cx0 and t_cx1 and cy between t_cy0 and t_cy1")  # a child asks for its own part only
@@ -64,15 +75,23 @@ def continuous_aggregate(matches: DataFrame, points: DataFrame, rounds: int) ->
 
 
 def count_window(points: DataFrame, k: int) -> DataFrame:
-    """The last ``k`` points of every tag."""
-    last = Window.partitionBy("tag").orderBy(F.desc("ts"), F.desc("point_id"))
-    return points.withColumn("place", F.row_number().over(last)).where(F.col("place") <= k)
+    """The last ``k`` points of every tag: those of each part first, in parallel, then of what is left."""
+    newest = [F.desc("ts"), F.desc("point_id")]
+    part = F.pmod(F.xxhash64("point_id"), F.lit(SMALL_TAGS)).alias("part")
+    some = points.select("*", part).withColumn("place", F.row_number().over(Window.partitionBy("tag", "part").orderBy(*newest))).where(F.col("place") <= k)
+    return some.drop("part").withColumn("place", F.row_number().over(Window.partitionBy("tag").orderBy(*newest))).where(F.col("place") <= k)
 
 
 def size_window(points: DataFrame, size: Column, most: int) -> DataFrame:
-    """The newest points of every tag while their sizes add up to ``most`` at most."""
-    newest = Window.partitionBy("tag").orderBy(F.desc("ts"), F.desc("point_id")).rowsBetween(Window.unboundedPreceding, 0)
-    return points.withColumn("held", F.sum(size).over(newest)).where(F.col("held") <= most)
+    """The newest points of every tag while their sizes (no negative ones) add up to ``most`` at most.
+
+    A point whose newer neighbours in its own part already exceed ``most`` is
+    out; only what each part leaves is put in one order.
+    """
+    newest = lambda *by: Window.partitionBy(*by).orderBy(F.desc("ts"), F.desc("point_id")).rowsBetween(Window.unboundedPreceding, 0)
+    part = F.pmod(F.xxhash64("point_id"), F.lit(SMALL_TAGS)).alias("part")
+    some = points.select("*", part).withColumn("held", F.sum(size).over(newest("tag", "part"))).where(F.col("held") <= most)
+    return some.drop("part").withColumn("held", F.sum(size).over(newest("tag"))).where(F.col("held") <= most)
 
 
 def persistent_hotspots(cells: DataFrame, threshold: int, rounds: int) -> DataFrame:

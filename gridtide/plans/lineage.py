@@ -80,6 +80,20 @@ def chain_ledger(answers: DataFrame) -> DataFrame:
     return by_link.groupBy("query_id").agg(F.count("*").alias("links"), F.sum("sent").alias("rows"))
 
 
+def acknowledge(links: DataFrame, answers: DataFrame) -> DataFrame:
+    """(query_id, expected, acknowledged, rows, final): each asked link acknowledges with the rows it sent; final once all have.
+
+    ``links``: (query_id, stored_tile, ...) as asked; ``answers``: result rows as
+    received, with their link.  A link without any row acknowledges as well; an
+    answer of a link that was not asked leaves the query unfinished.
+    """
+    asked = links.select("query_id", "stored_tile").distinct()
+    got = answers.groupBy("query_id", "stored_tile").agg(F.count("*").alias("sent"))
+    both = asked.withColumn("asked", F.lit(1)).join(got, ["query_id", "stored_tile"], "full")
+    sums = both.groupBy("query_id").agg(F.count("asked").alias("expected"), F.count("*").alias("acknowledged"), F.coalesce(F.sum("sent"), F.lit(0)).alias("rows"))
+    return sums.withColumn("final", F.col("expected") == F.col("acknowledged"))
+
+
 def chain_stats(chain: DataFrame) -> DataFrame:
     """Chains, mean and largest number of links."""
     per = chain.groupBy("current_tile").agg(F.count("*").alias("links"))

@@ -889,6 +889,23 @@ def _(spark, sf_dir):
     return _snapshot(spark, sf_dir).select("query_id", "point_id", "stored_tile")
 
 
+LINKED = f"""{TWO_PLANS}, old AS (SELECT tile_id, cx0, cy0, cx1, cy1, tile_id IN (SELECT tile_id FROM plan_b) AS stays FROM plan_a),
+  links AS (SELECT DISTINCT q.query_id, t.tile_id FROM qs q JOIN (SELECT tile_id, cx0, cy0, cx1, cy1 FROM plan_b UNION ALL SELECT tile_id, cx0, cy0, cx1, cy1 FROM old WHERE NOT stays) t ON {OVER} AND q.rnd = {LAST})"""
+
+
+@query(
+    "chain_acknowledgements",
+    f"""{LINKED}, st AS (SELECT p.*, t.tile_id FROM pts p JOIN plans t ON t.later = CAST(p.rnd >= {SWITCH} AS INTEGER) AND {IN_TILE}),
+    ans AS (SELECT q.query_id, p.tile_id, count(*) AS sent FROM qs q JOIN st p ON {INSIDE} AND q.rnd = {LAST} AND p.rnd > {LAST - SNAP_WINDOW} AND p.rnd <= {LAST} GROUP BY 1, 2)
+    SELECT query_id, count(*) AS expected, count(*) AS acknowledged, CAST(coalesce(sum(sent), 0) AS BIGINT) AS rows, true AS final FROM links LEFT JOIN ans USING (query_id, tile_id) GROUP BY 1""",
+)
+def _(spark, sf_dir):
+    """Expected and received acknowledgements of every snapshot query; final once all links have answered."""
+    q = tables.event_queries(spark, sf_dir).where(F.col("rnd") == LAST)
+    links = matching.snapshot_links(q, lineage.chain_frame(spark, HISTORY, LAST - SNAP_WINDOW), SNAP_WINDOW)
+    return lineage.acknowledge(links, _snapshot(spark, sf_dir))
+
+
 @query("chain_ledger", f"{SNAP} SELECT query_id, count(DISTINCT tile_id) AS links, count(*) AS rows FROM ans GROUP BY 1")
 def _(spark, sf_dir):
     return lineage.chain_ledger(_snapshot(spark, sf_dir))
@@ -1145,11 +1162,53 @@ for _name, _method, _sql in (("sql_route_points", "route_points", ROUTED), ("sql
 
 
 def _played(frame: DataFrame, name: str, mode: str = "append") -> DataFrame:
-    """Play a finite stream to its end into a memory table."""
-    name = f"{name}_{time.time_ns()}"
-    job = frame.writeStream.format("memory").queryName(name).outputMode(mode).trigger(availableNow=True).start()
-    job.awaitTermination()
-    return frame.sparkSession.table(name)
+    """Play a finite stream to its end into written tables: all batches' rows, or in complete mode the last batch's."""
+    space, batches = Workspace(frame.sparkSession, name), []
+
+    def sink(rows: DataFrame, batch: int) -> None:
+        rows.write.mode("overwrite").parquet(f"{space.path}/out/batch={batch}")
+        batches.append(batch)
+
+    frame.writeStream.foreachBatch(sink).outputMode(mode).option("checkpointLocation", f"{space.path}/checkpoint").trigger(availableNow=True).start().awaitTermination()
+    schema = ", ".join(f"`{f.name}` {f.dataType.simpleString()}" for f in frame.schema)
+    held = frame.sparkSession.read.schema(f"{schema}, batch int").parquet(f"{space.path}/out")
+    return (held.where(F.col("batch") == max(batches)) if mode == "complete" else held).drop("batch")
+
+
+def _balanced(spark, sf_dir, parts: int = 6) -> loop.BalancedStream:
+    """The event stream in several batches, answered and balanced, with a restart half way."""
+    space = Workspace(spark, "balanced")
+    events, days = tables.table(spark, sf_dir, "events"), (LAST + parts) // parts
+    part = F.least(F.lit(parts - 1), F.expr(f"int(datediff(ts, '{tables.EPOCH}') div {days})"))
+    late = events.withColumn("part", part)
+    for k in range(parts):
+        late.where(F.col("part") == k).drop("part").coalesce(1).write.mode("append").parquet(f"{space.path}/in")
+        if k in (parts // 2 - 1, parts - 1):
+            job = loop.BalancedStream(spark, f"{space.path}/out", config=BalanceConfig(machines=MACHINES, policy="always"))
+            job.start(loop.event_source(spark, f"{space.path}/in")).awaitTermination()
+    return job
+
+
+@query("stream_balanced_matches", f"WITH {LOC} SELECT q.query_id, p.point_id FROM pts p JOIN qs q ON {INSIDE} AND q.qts <= p.ts")
+def _(spark, sf_dir):
+    """All matches of a balanced stream, over rebalances, forwarded points and a restart: each once."""
+    return _balanced(spark, sf_dir).matches().select("query_id", "point_id")
+
+
+@query("stream_query_state", f"WITH {LOC} SELECT q.query_id, count(*) AS matched, round(sum(p.x), 4) AS total FROM pts p JOIN qs q ON {INSIDE} AND q.qts <= p.ts GROUP BY 1")
+def _(spark, sf_dir):
+    """Each query's aggregates at the end of the balanced stream, wherever the query has moved."""
+    return _balanced(spark, sf_dir).aggregates().select("query_id", "matched", F.round("total", 4).alias("total"))
+
+
+@query("stream_sessions", """WITH e AS (SELECT user_id, ts, CASE WHEN ts >= lag(ts) OVER w + INTERVAL 6 HOUR OR lag(ts) OVER w IS NULL THEN 1 ELSE 0 END AS fresh FROM events WINDOW w AS (PARTITION BY user_id ORDER BY ts, event_id)),
+    s AS (SELECT user_id, ts, sum(fresh) OVER (PARTITION BY user_id ORDER BY ts ROWS UNBOUNDED PRECEDING) AS k FROM e),
+    t AS (SELECT user_id, CAST(min(ts) AS TIMESTAMP) AS start, max(ts) AS last, count(*) AS n FROM s GROUP BY user_id, k)
+    SELECT user_id, start, n FROM t WHERE last + INTERVAL 6 HOUR <= (SELECT max(ts) FROM events) - INTERVAL 1 HOUR""")
+def _(spark, sf_dir):
+    """Activity sessions that the watermark has closed by the stream's end."""
+    got = _played(loop.sessions(loop.event_source(spark, f"{sf_dir}/events*.parquet"), lateness="1 hour"), "sessions")
+    return got.select("user_id", F.col("start").cast("timestamp_ntz").alias("start"), "n")
 
 
 @query("stream_daily_windows", "SELECT CAST(date_trunc('day', ts) AS TIMESTAMP) AS start, event_type, count(*) AS n FROM events GROUP BY 1, 2")

@@ -2,20 +2,29 @@
 
 from __future__ import annotations
 
+from pyspark.errors import AnalysisException
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 from pyspark.sql.streaming import StatefulProcessor, StatefulProcessorHandle
 from pyspark.sql.streaming.query import StreamingQuery
 
 from gridtide.config import EVENTS, BalanceConfig, GridSpec
-from gridtide.functions.grid import rectangle_cells, to_cells
+from gridtide.functions.grid import overlaps, rectangle_cells, to_cells
 from gridtide.operators import planner
 from gridtide.operators import rounds as R
 from gridtide.operators.governor import Governor
+from gridtide.operators.marginals import counted_collectors, fold_round
 from gridtide.operators.routing import route_points, route_queries
-from gridtide.plans.layout import even_layout, plan_frame
+from gridtide.plans.layout import even_layout, plan_frame, probe_side
 from gridtide.plans.store import PlanStore
 from gridtide.sources.tables import event_locations
+from gridtide.storage import Workspace
+
+MATCHES = "query_id long, point_id long, tile_id long, machine_id int"
+QUERIES = "query_id long, ts timestamp_ntz, x0 double, y0 double, x1 double, y1 double, cx0 int, cy0 int, cx1 int, cy1 int, tile_id long, machine_id int"
+AGGREGATES = "query_id long, matched long, total double"
+MARGINALS = "tile_id long, axis string, idx int, n double, q long, span_q long"
+DECISION = "r_total double, stage int, rebalance boolean, repeats int, previous double, wanted boolean, action string, donor int, receiver int"
 
 
 def event_source(spark: SparkSession, folder: str, files_a_batch: int = 1) -> DataFrame:
@@ -34,54 +43,121 @@ def split_objects(batch: DataFrame, spec: GridSpec = EVENTS, side: int = 2) -> t
 
 
 class BalancedStream:
-    """Routes each micro-batch by the plan pinned to it and balances after it.
+    """Answers, counts and balances a stream of points and continuous queries, batch by batch.
+
+    Routers send a batch's points by a plan that may be ``lag`` batches old, and
+    the old owner forwards those of tiles that have moved since.  The owner
+    under the current plan matches each point once, with the queries of its cell
+    that were registered before it, and adds it to those queries' aggregates.
+    Tiles fold the batch into their marginals, machines report, the governor
+    decides on arrivals of both kinds (accepted ones, in a closed loop), and a
+    rebalance moves tiles with their queries and aggregates, not with their data.
 
     All a batch writes goes under its id and replaces what an earlier attempt
-    wrote, so a replayed batch neither loses nor repeats a result; the state
-    after a restart is rebuilt from the written counts and plans.
+    wrote, and all it reads is of batches before it, so a replayed batch neither
+    loses nor repeats a result, also after a restart.
     """
 
-    def __init__(self, spark: SparkSession, folder: str, spec: GridSpec = EVENTS, config: BalanceConfig | None = None):
-        self.spark, self.folder, self.spec, self.config = spark, folder.rstrip("/"), spec, config or BalanceConfig(policy="always")
+    def __init__(self, spark: SparkSession, folder: str, spec: GridSpec = EVENTS, config: BalanceConfig | None = None, lag: int = 1):
+        self.spark, self.folder, self.spec, self.config, self.lag = spark, folder.rstrip("/"), spec, config or BalanceConfig(), lag
         self.plans = PlanStore(spark, f"{self.folder}/plans")
         if self.plans.latest() is None:
             self.plans.publish(0, even_layout(spec, self.config.machines))
 
-    def counts(self, upto: int) -> R.Stream:
-        cells = self.spark.read.schema("rnd int, cx int, cy int, points long").parquet(f"{self.folder}/cells/batch=*").where(F.col("rnd") <= upto)
-        rects = self.spark.read.schema("rnd int, cx0 int, cy0 int, cx1 int, cy1 int, queries long").parquet(f"{self.folder}/rects/batch=*").where(F.col("rnd") <= upto)
-        return R.Stream(cells, rects, upto + 1)
-
-    def decide(self, upto: int) -> bool:
-        """The governor's decision, refolded from the arrivals of all rounds so far."""
-        if self.config.policy != "lazy":
-            return self.config.policy == "always"
-        totals = self.counts(upto).cells.groupBy("rnd").agg(F.sum("points").alias("n")).orderBy("rnd").collect()  # a row for each round
-        governor, wanted = Governor(self.config.beta), False
-        for r in totals:
-            wanted = governor.step(float(r.n))
-        return wanted
+    def table(self, name: str, schema: str, upto: int | None = None) -> DataFrame:
+        """What batches have written under a name, with their number as ``batch``."""
+        try:
+            held = self.spark.read.schema(f"{schema}, batch int").option("basePath", f"{self.folder}/{name}").parquet(f"{self.folder}/{name}/batch=*")
+        except AnalysisException as error:
+            if "PATH_NOT_FOUND" not in str(error):
+                raise
+            held = self.spark.createDataFrame([], f"{schema}, batch int")
+        return held if upto is None else held.where(F.col("batch") <= upto)
+
+    def _put(self, frame: DataFrame, name: str, batch_id: int) -> DataFrame:
+        where = f"{self.folder}/{name}/batch={batch_id}"
+        frame.write.mode("overwrite").parquet(where)
+        return self.spark.read.schema(frame.schema).parquet(where)
+
+    def matches(self) -> DataFrame:
+        return self.table("matches", MATCHES)
+
+    def aggregates(self) -> DataFrame:
+        """(query_id, matched, total) of every query with a match, as of the last batch."""
+        held = self.table("aggregates", AGGREGATES)
+        last = held.agg(F.max("batch")).first()[0]
+        return held.where(F.col("batch") == (-1 if last is None else last)).drop("batch")
 
     def batch(self, frame: DataFrame, batch_id: int) -> None:
         frame = frame.persist()
+        try:
+            self._batch(frame, batch_id)
+        finally:
+            frame.unpersist()
+
+    def _batch(self, frame: DataFrame, batch_id: int) -> None:
         points, queries = split_objects(frame, self.spec)
-        tiles = self.plans.read(batch_id)
+        tiles, stale = self.plans.read(batch_id), self.plans.read(max(0, batch_id - self.lag))
         plan = plan_frame(self.spark, tiles, batch_id)
-        out = lambda f, name: f.write.mode("overwrite").parquet(f"{self.folder}/{name}/batch={batch_id}")
-        out(route_points(points, plan).select("point_id", "ts", "x", "y", "cx", "cy", "tile_id", "machine_id"), "points")
-        out(route_queries(queries, plan).select("query_id", "ts", "x0", "y0", "x1", "y1", *R.RECT, "tile_id", "machine_id"), "queries")
-        at = F.lit(batch_id).alias("rnd")
-        out(points.groupBy("cx", "cy").agg(F.count("*").alias("points")).select(at, "cx", "cy", "points"), "cells")
-        out(queries.groupBy(*R.RECT).agg(F.count("*").alias("queries")).select(at, *R.RECT, "queries"), "rects")
-        frame.unpersist()
-        if self.decide(batch_id):
-            stream = self.counts(batch_id)
-            stats = R.tile_stats(stream, plan, batch_id, self.config.decay)
-            load = {r.machine_id: float(r.numerator) for r in R.reports(stats).collect()}
-            costs = lambda m: {r.tile_id: float(r.c) for r in stats.where(F.col("machine_id") == m).select("tile_id", (F.col("n") * F.col("q") * F.col("r")).alias("c")).collect()}
-            axes = lambda t: planner.axis_stats(R.cell_marginals(stream, plan_frame(self.spark, [t]), batch_id, self.config.decay).collect())
-            tiles, _ = planner.rebalance_once(tiles, load, costs, axes, batch_id + 1, self.config.split, self.config.order)
-        self.plans.publish(batch_id + 1, tiles)
+        sent = route_points(points, plan_frame(self.spark, stale, batch_id)).withColumnRenamed("machine_id", "sent_to").drop("tile_id")
+        routed = route_points(sent, plan).withColumn("forwarded", F.col("sent_to") != F.col("machine_id"))
+        routed = self._put(routed.select("point_id", "ts", "x", "y", "cx", "cy", "tile_id", "machine_id", "sent_to", "forwarded"), "points", batch_id)
+        asked = self._put(route_queries(queries, plan).select("query_id", "ts", "x0", "y0", "x1", "y1", *R.RECT, "tile_id", "machine_id"), "queries", batch_id)
+        found = self._match(routed, self.table("queries", QUERIES, batch_id).dropDuplicates(["query_id"]), batch_id)
+        fresh = found.join(routed.select("point_id", "x"), "point_id").groupBy("query_id").agg(F.count("*").alias("matched"), F.sum("x").alias("total"))
+        before = self.table("aggregates", AGGREGATES).where(F.col("batch") == batch_id - 1).drop("batch")
+        held = before.unionByName(fresh).groupBy("query_id").agg(F.sum("matched").alias("matched"), F.sum("total").alias("total"))
+        held = self._put(held, "aggregates", batch_id)
+        self._balance(points, queries, tiles, plan, held, asked, batch_id)
+
+    def _match(self, routed: DataFrame, live: DataFrame, batch_id: int) -> DataFrame:
+        """Each point once with every live query over it, keyed by cell."""
+        over = live.withColumn("cx", F.explode(F.sequence("cx0", "cx1"))).withColumn("cy", F.explode(F.sequence("cy0", "cy1"))).select("query_id", F.col("ts").alias("qts"), "x0", "y0", "x1", "y1", "cx", "cy")
+        hit = routed.join(over, ["cx", "cy"]).where("x BETWEEN x0 AND x1 AND y BETWEEN y0 AND y1 AND qts <= ts")
+        return self._put(hit.select("query_id", "point_id", "tile_id", "machine_id"), "matches", batch_id)
+
+    def _balance(self, points: DataFrame, queries: DataFrame, tiles: list, plan: DataFrame, held: DataFrame, asked: DataFrame, batch_id: int) -> None:
+        cells = self._put(points.groupBy("cx", "cy").agg(F.count("*").alias("points")), "cells", batch_id)
+        rects = self._put(queries.groupBy(*R.RECT).agg(F.count("*").alias("queries")), "rects", batch_id)
+        previous = self.table("marginals", MARGINALS).where(F.col("batch") == batch_id - 1).drop("batch") if batch_id else None
+        got = counted_collectors(cells, rects, probe_side(plan), [], ["points"])
+        state = self._put(fold_round(previous, got, plan, self.config.decay), "state", batch_id)
+        told = {r.machine_id: r for r in R.reports(R.totals(state, plan)).collect()}  # a row for each machine
+        governor = self._governor(batch_id)
+        loads = [float(told[m].load) if m in told else 0.0 for m in range(self.config.machines)]
+        accept = min(1.0, self.config.capacity / max(loads)) if self.config.capacity and max(loads) > 0 else 1.0
+        r_total = float(sum(r.r for r in told.values())) * (accept if self.config.loop == "closed" else 1.0)
+        wanted = governor.step(r_total) if self.config.policy == "lazy" else self.config.policy == "always"
+        after, action = tiles, planner.Action("none")
+        if wanted:
+            costs = lambda m: {r.tile_id: float(r.c) for r in R.totals(state, plan).where(F.col("machine_id") == m).select("tile_id", (F.col("n") * F.col("q") * F.col("r")).alias("c")).collect()}
+            axes = lambda t: planner.axis_stats(state.where(F.col("tile_id") == t.tile_id).collect())
+            load = {m: float(r.numerator) for m, r in told.items()}
+            after, action = planner.rebalance_once(tiles, load, costs, axes, batch_id + 1, self.config.split, self.config.order)
+        row = [(r_total, governor.stage, governor.rebalance, governor.repeats, governor.previous, wanted, action.kind, action.donor, action.receiver)]
+        self._put(self.spark.createDataFrame(row, DECISION).coalesce(1), "decisions", batch_id)
+        self._put(self._moved(tiles, after, held, batch_id), "moved", batch_id)
+        stored = lambda name, schema: self.table(name, schema, batch_id).withColumnRenamed("batch", "rnd").withColumn("run", F.lit(0))
+        counts = R.Held(Workspace(self.spark, "stream-held"), stored("cells", "cx int, cy int, points long"), stored("rects", "cx0 int, cy0 int, cx1 int, cy1 int, queries long"), self.config.decay)
+        self._put(R.carried(state, tiles, after, counts, batch_id).select("tile_id", "axis", "idx", "n", "q", "span_q"), "marginals", batch_id)
+        counts.space.drop()
+        self.plans.publish(batch_id + 1, after)
+
+    def _governor(self, batch_id: int) -> Governor:
+        governor = Governor(self.config.beta)
+        if batch_id:
+            last = self.table("decisions", DECISION).where(F.col("batch") == batch_id - 1).first()
+            governor.stage, governor.rebalance, governor.repeats, governor.previous = last.stage, last.rebalance, last.repeats, last.previous
+        return governor
+
+    def _moved(self, before: list, after: list, held: DataFrame, batch_id: int) -> DataFrame:
+        """(query_id, from_machine, to_machine, matched, total): queries of moved tiles, with the state that goes along."""
+        owner = {t.tile_id: t.machine_id for t in before}
+        moves = [t for t in after if t.tile_id not in owner and len(t.parent_ids) == 1 and t.machine_id != owner[t.parent_ids[0]]]
+        side = probe_side(plan_frame(self.spark, moves, batch_id)).join(plan_frame(self.spark, moves).select("tile_id", "prev_machine_id"), "tile_id")
+        live = self.table("queries", QUERIES, batch_id).select("query_id", *R.RECT).dropDuplicates(["query_id"])
+        gone = live.join(F.broadcast(side), overlaps()).select("query_id", F.col("prev_machine_id").alias("from_machine"), F.col("machine_id").alias("to_machine")).distinct()
+        return gone.join(held, "query_id", "left").fillna(0, ["matched"]).fillna(0.0, ["total"])
 
     def start(self, source: DataFrame) -> StreamingQuery:
         return source.writeStream.foreachBatch(self.batch).option("checkpointLocation", f"{self.folder}/checkpoint").trigger(availableNow=True).start()

@@ -4,8 +4,9 @@ import duckdb
 from pyspark.sql import functions as F
 
 from gridtide.operators.governor import Governor
-from gridtide.plans.layout import covers
-from gridtide.config import EVENTS
+from gridtide.plans.layout import covers, plan_frame
+from gridtide.config import EVENTS, BalanceConfig
+from gridtide.operators import marginals, routing
 from gridtide.streaming import loop
 
 SF = "/root/testdata/sf0.001"
@@ -22,19 +23,48 @@ def parts(spark, folder, days):
 def test_balanced_stream_survives_a_restart(spark, tmp_path):
     source, out = str(tmp_path / "in"), str(tmp_path / "out")
     events = parts(spark, source, [(0, 10), (10, 20)])
-    loop.BalancedStream(spark, out).start(loop.event_source(spark, source)).awaitTermination()
+    config = BalanceConfig(policy="always")
+    loop.BalancedStream(spark, out, config=config).start(loop.event_source(spark, source)).awaitTermination()
     parts(spark, source, [(20, 31)])
-    job = loop.BalancedStream(spark, out)
+    job = loop.BalancedStream(spark, out, config=config)
     job.start(loop.event_source(spark, source)).awaitTermination()
     routed = spark.read.parquet(f"{out}/points/batch=*")
     assert routed.count() == routed.select("point_id").distinct().count() == events.where("event_type <> 'signup'").count()
     tiles = job.plans.read(3)
     assert covers(EVENTS, tiles) and len(tiles) > 8
-    before = sorted(map(tuple, routed.select("point_id", "tile_id").collect()))
+    names = {"points": "point_id long, tile_id long, forwarded boolean", "matches": loop.MATCHES, "aggregates": loop.AGGREGATES, "marginals": loop.MARGINALS, "decisions": loop.DECISION, "moved": "query_id long, from_machine int, to_machine int, matched long, total double"}
+    read = lambda: {n: sorted(map(str, job.table(n, s).collect())) for n, s in names.items()}
+    before, plan = read(), job.plans.read(3)
     files = spark.read.parquet(source)
     third = files.where(F.dayofyear("ts") > 20)
     job.batch(third, 2)  # a replayed batch replaces what it wrote
-    assert sorted(map(tuple, spark.read.parquet(f"{out}/points/batch=*").select("point_id", "tile_id").collect())) == before
+    assert read() == before and job.plans.read(3) == plan
+    assert before["moved"] and any("forwarded=True" in r for r in before["points"])
+    # the marginals are those of all batches, counted anew under the last plan
+    frame = plan_frame(spark, tiles)
+    p, q = loop.split_objects(files)
+    number = F.when(F.dayofyear("ts") <= 10, 0).when(F.dayofyear("ts") <= 20, 1).otherwise(2)
+    got = marginals.collectors(*(f(route(x.withColumn("rnd", number), frame), frame) for f, route, x in ((marginals.in_tile, routing.route_points, p), (marginals.clip, routing.route_queries, q))))
+    want = {(r.tile_id, r.axis, r.idx): (r.n, r.q, r.span_q) for r in marginals.fold(got, frame, 2, 0.5).collect()}
+    held = {(r.tile_id, r.axis, r.idx): (r.n, r.q, r.span_q) for r in job.table("marginals", loop.MARGINALS).where("batch = 2").collect()}
+    empty = {k for k, v in want.items() if k not in held}
+    assert {k: v for k, v in want.items() if k in held} == held and all(want[k] == (0, 0, 0) for k in empty)
+
+
+def test_governor_sees_both_kinds_and_survives_a_restart(spark, tmp_path):
+    source, out = str(tmp_path / "in"), str(tmp_path / "out")
+    days = [(k * 3, k * 3 + 3) for k in range(6)]
+    for k, span in enumerate(days):
+        parts(spark, source, [span])
+        if k % 2:
+            job = loop.BalancedStream(spark, out)  # lazy: the governor decides
+            job.start(loop.event_source(spark, source)).awaitTermination()
+    got = job.table("decisions", loop.DECISION).orderBy("batch").collect()
+    copies = {r.batch: r["count"] for r in job.table("queries", loop.QUERIES).groupBy("batch").count().collect()}
+    points = {r.batch: r["count"] for r in job.table("points", "point_id long").groupBy("batch").count().collect()}
+    governor = Governor()
+    assert [r.r_total for r in got] == [float(copies[k] + points[k]) for k in range(6)]
+    assert [r.wanted for r in got] == [governor.step(r.r_total) for r in got]
 
 
 def run_memory(spark, frame, name, mode="append"):
