@@ -8,8 +8,10 @@ escaped reversibly.
 
 Defined cases: null text and null role are empty; turns are ordered by turn
 number (null first), then role, then text, so ties and repeats have one result;
-a record of unknown layout has no turns and the mapping ``unknown``; an empty
-table gives no rows.
+a record of unknown layout, or with an empty list of messages, has no turns and the
+mapping ``unknown`` (count those to see what was left out); a content in parts is
+the parts' texts joined; texts of any length are formatted whole; further columns,
+whatever their names, don't disturb the choice; an empty table gives no rows.
 """
 
 from __future__ import annotations
@@ -67,6 +69,7 @@ class Mapping:
 MAPPINGS = (
     Mapping("turn_rows", ("conv_id", "turn", "role", "text"), rows=("conv_id", "turn", "role", "text")),
     Mapping("messages", ("messages[].role", "messages[].content"), ("messages[].name",), items=("messages", "role", "content")),
+    Mapping("message_parts", ("messages[].role", "messages[].content[].text"), ("messages[].name", "messages[].content", "messages[].content[].type"), items=("messages", "role", "content")),
     Mapping("from_value", ("conversations[].from", "conversations[].value"), ("system",), items=("conversations", "from", "value"), fixed=(("system", ("system",)),)),
     Mapping("instruction", ("instruction", "output"), ("input", "system"), fixed=(("system", ("system",)), ("user", ("instruction", "input")), ("assistant", ("output",)))),
     Mapping("prompt_completion", ("prompt", "completion"), ("system",), fixed=(("system", ("system",)), ("user", ("prompt",)), ("assistant", ("completion",)))),
@@ -117,7 +120,12 @@ def canonical_turns(record) -> tuple[str, list[tuple[str, str]]]:
     mapping = BY_PRINT.get(fingerprint(value_paths(record)))
     if mapping is None or mapping.rows:
         return "unknown", []
-    text = lambda v: "" if v is None else v if isinstance(v, str) else json.dumps(v, ensure_ascii=False)
+
+    def text(v) -> str:
+        if isinstance(v, list) and all(isinstance(x, dict) and "text" in x for x in v):
+            return "".join(text(x["text"]) for x in v)  # a text in parts
+        return "" if v is None else v if isinstance(v, str) else json.dumps(v, ensure_ascii=False)
+
     turns = []
     for role, paths in mapping.fixed:
         parts = [text(v) for p in paths if (v := _at(record, p)) not in (None, "")]

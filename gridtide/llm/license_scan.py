@@ -8,9 +8,13 @@ threshold under which a family becomes unknown are calibrated on rows kept from
 the fit.  A prediction stands only when the paragraph also holds enough of the
 word pairs of one of the family's templates.
 
+The sample is bounded by parameters: SAMPLE_DOCS documents of under SAMPLE_BYTES
+bytes, and of them PLAIN_MOST paragraphs; scanning covers all texts.
+
 Defined cases: null, empty and blank texts have no paragraph; a document without
-a confirmed notice has no family; rows that repeat are reported alike; an empty
-table gives no rows, and an empty sample trains on the templates alone.
+a confirmed notice has no family; texts of any length are scanned whole; rows that
+repeat are reported alike; further columns, whatever their names, are not read; an
+empty table gives no rows, and an empty sample trains on the templates alone.
 """
 
 from __future__ import annotations
@@ -29,7 +33,7 @@ from .tiling import token_words
 GRAM_BITS, GRAMS = 15, 3
 WINDOW, STRIDE = 64, 32
 PLAIN_MOST = 800  # ordinary paragraphs of the sample that are trained on
-SAMPLE_DOCS = 300  # documents whose paragraphs serve as ordinary text
+SAMPLE_DOCS, SAMPLE_BYTES = 300, 20_000  # documents whose paragraphs serve as ordinary text, and their size
 CONTAINED = 0.5  # share of a template's word pairs, or of the paragraph's, that confirms
 VARIANTS = 30
 UNKNOWN = "unknown"
@@ -57,6 +61,18 @@ TEMPLATES = (
     ("CC-BY", "This work is licensed under a Creative Commons Attribution 4.0 International License."),
     ("CC-BY-SA", "This work is licensed under a Creative Commons Attribution-ShareAlike 4.0 International License. CC BY-SA 4.0"),
     ("CC0", "To the extent possible under law, the author has waived all copyright and related rights to this work. CC0 1.0 Universal public domain dedication"),
+    ("CC-BY-ND", "This work is licensed under a Creative Commons Attribution-NoDerivatives 4.0 International License. CC BY-ND 4.0"),
+    ("MIT", "The above copyright notice and this permission notice shall be included in all copies or substantial portions of the Software."),
+    ("BSD", "THIS SOFTWARE IS PROVIDED BY THE COPYRIGHT HOLDERS AND CONTRIBUTORS \"AS IS\" AND ANY EXPRESS OR IMPLIED WARRANTIES ARE DISCLAIMED"),
+    ("ISC", "Permission to use, copy, modify, and/or distribute this software for any purpose with or without fee is hereby granted, provided that the above copyright notice and this permission notice appear in all copies."),
+    ("Zlib", "This software is provided 'as-is', without any express or implied warranty. In no event will the authors be held liable for any damages arising from the use of this software."),
+    ("EPL", "This program and the accompanying materials are made available under the terms of the Eclipse Public License 2.0 which is available at https://www.eclipse.org/legal/epl-2.0"),
+    ("BSL-1.0", "Distributed under the Boost Software License, Version 1.0."),
+    ("CDDL", "The contents of this file are subject to the terms of the Common Development and Distribution License. You may not use this file except in compliance with the License."),
+    ("EUPL", "Licensed under the EUPL, Version 1.2 or, as soon they will be approved by the European Commission, subsequent versions of the EUPL"),
+    ("Unlicense", "This is free and unencumbered software released into the public domain. Anyone is free to copy, modify, publish, use, compile, sell, or distribute this software"),
+    ("proprietary", "All rights reserved."),
+    ("proprietary", "Copyright (c) 2020 The Authors. All rights reserved."),
     ("proprietary", "Copyright. All rights reserved. No part of this publication may be reproduced or distributed without prior written permission."),
 )
 # fixed values: ordinary sentences that use the words of notices
@@ -155,7 +171,7 @@ def _variants(text: str, rng: random.Random):
 
 
 def fit(documents: DataFrame, sample_docs: int = SAMPLE_DOCS) -> LicenceModel:
-    """Train on the templates and on ordinary paragraphs of at most ``sample_docs`` documents of under 20,000 bytes."""
+    """Train on the templates and on ordinary paragraphs of at most ``sample_docs`` documents of under SAMPLE_BYTES bytes."""
     rng = random.Random(11)
     families = sorted({f for f, _ in TEMPLATES})
     pieces, target = [], []
@@ -163,7 +179,7 @@ def fit(documents: DataFrame, sample_docs: int = SAMPLE_DOCS) -> LicenceModel:
         for v in _variants(text, rng):
             pieces.append(v)
             target.append(families.index(family))
-    sample = documents.select(F.col("doc_id").cast("long").alias("doc_id"), F.col("text").cast("string").alias("text")).where(F.octet_length("text") < 20_000)
+    sample = documents.select(F.col("doc_id").cast("long").alias("doc_id"), F.col("text").cast("string").alias("text")).where(F.octet_length("text") < SAMPLE_BYTES)
     # a hash picks about 1.5 times as many rows as wanted, so no task sends more than its share
     share = min(1.0, 1.5 * sample_docs / max(1, documents.count()))
     picked = sample.where(F.pmod(F.xxhash64("doc_id"), F.lit(1 << 30)) < int(share * (1 << 30)))

@@ -1,7 +1,8 @@
 """Quality classifier: random-indexing word vectors and a two-layer network.
 
 Words (and shape words: character classes, length band and repetition of the
-word before) get sparse ternary index vectors from their hash.  A word's vector
+word before) get sparse ternary index vectors from their hash; words whose hashes
+agree in WORD_BITS bits share one, which bounds the table of vectors.  A word's vector
 is its index vector plus the decayed sum of its neighbours' index vectors over
 the fitting sample.  A document is the mean of its word vectors and of its shape
 vectors over the whole text.  A two-layer network in numpy gives a logit, whose
@@ -9,8 +10,9 @@ temperature is calibrated on rows kept from the fit.
 
 Defined cases: null, empty and blank texts have zero vectors and get the score
 of such a document; without labels of both kinds every score is the share of
-label 1 in the sample, or 1 where there is no sample; rows that repeat are
-scored alike; an empty table gives no rows.
+label 1 in the sample, or 1 where there is no sample; texts of any length are
+scored whole; rows that repeat are scored alike; further columns go along, and the
+score takes a free name; an empty table gives no rows.
 """
 
 from __future__ import annotations
@@ -29,7 +31,7 @@ from .store import Scratch
 THRESHOLD = 0.3
 FOLDS, HELD = 5, 0
 DIMS, NONZERO = 32, 4
-WORD_BITS, SHAPES = 14, 1 << 12
+WORD_BITS, SHAPES = 16, 1 << 12
 WINDOW = 2
 HIDDEN = 32
 FIT_PARTS = 4
@@ -179,7 +181,7 @@ def fit(documents: DataFrame, labels: DataFrame, rows: int = FIT_ROWS, scratch:
         scratch.drop("sample")
         return QualityModel(None, None, None, counts.get(1, 0) / n if n else 1.0)
     sums = np.zeros((1 << WORD_BITS, DIMS), np.float32)
-    for row in sample.coalesce(FIT_PARTS).select("text").mapInArrow(_contexts, "sums binary").collect():  # one of 2 MB for each of FIT_PARTS tasks
+    for row in sample.coalesce(FIT_PARTS).select("text").mapInArrow(_contexts, "sums binary").collect():  # one of 8 MB for each of FIT_PARTS tasks
         sums += np.frombuffer(row.sums, np.float32).reshape(sums.shape)
     norm = np.linalg.norm(sums, axis=1, keepdims=True)
     words = index_vectors(np.arange(1 << WORD_BITS)) + 2 * sums / np.maximum(norm, 1)

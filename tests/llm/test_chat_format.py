@@ -59,3 +59,9 @@ def test_struct_schema_is_recognised(spark):
     frame = spark.createDataFrame([(5, [("user", "q"), ("assistant", "a")])], "k long, messages array<struct<role:string,content:string>>")
     row = C.format_table(frame).first()
     assert C.parse(row.formatted) == [("user", "q"), ("assistant", "a")] and row.layout == "messages"
+
+
+def test_content_in_parts():
+    record = {"messages": [{"role": "user", "content": [{"type": "text", "text": "a "}, {"type": "text", "text": "b"}]}, {"role": "assistant", "content": "plain"}]}
+    assert C.canonical_turns(record) == ("message_parts", [("user", "a b"), ("assistant", "plain")])
+    assert C.canonical_turns({"messages": []}) == ("unknown", [])

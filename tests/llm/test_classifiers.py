@@ -117,6 +117,35 @@ def test_licences(spark):
     assert license_scan.scan(spark.createDataFrame([], SCHEMA), model).count() == 0
 
 
+# fixed values: the notices that the given tables hold, as whole lines
+NOTICES = {
+    "This work is licensed under the GNU General Public License, version 3.": "GPL", "All rights reserved.": "proprietary", "Released under the MIT License.": "MIT",
+    "Licensed under CC BY-NC 4.0.": "CC-BY-NC", "Licensed under the Apache License, Version 2.0.": "Apache-2.0",
+}
+
+
+def test_licences_of_all_notices_in_the_tables(spark):
+    """Recall and precision over every document, against a plain search for the notices."""
+    docs = spark.read.parquet(f"{SF}/documents.parquet")
+    want = {r.doc_id: {f for line in (r.text or "").split("\n") for n, f in NOTICES.items() if n in line} for r in docs.collect()}
+    got = {r.doc_id: set((r.families or "").split(",")) - {""} for r in license_scan.scan(docs).collect()}
+    pairs = lambda d: {(i, f) for i, s in d.items() for f in s}
+    hit = len(pairs(want) & pairs(got))
+    assert hit / len(pairs(want)) > 0.98 and hit / len(pairs(got)) > 0.98, (hit, len(pairs(want)), len(pairs(got)), sorted(pairs(want) ^ pairs(got))[:5])
+
+
+@pytest.mark.parametrize("family,text", license_scan.TEMPLATES)
+def test_every_template_is_found_among_prose(licences, family, text):
+    spark, model = licences
+    rows = [(1, f"Some prose stands before.\n{text}\nand more behind.", "")]
+    assert license_scan.scan(spark.createDataFrame(rows, SCHEMA), model).first().families == family
+
+
+@pytest.fixture(scope="module")
+def licences(spark):
+    return spark, license_scan.fit(spark.read.parquet("/root/testdata/sf0.01/documents.parquet"))
+
+
 def brute_tiles(doc, item, least):
     """Greedy tiling by its definition: the longest free common run, again and again."""
     free_d, free_i, out = [True] * len(doc), [True] * len(item), []
