@@ -8,6 +8,7 @@ a Python string.
 
 from __future__ import annotations
 
+import ctypes
 import unicodedata
 from functools import lru_cache
 
@@ -202,8 +203,25 @@ class HashLookup:
         return some[right], self.values[at[right]]
 
 
+@lru_cache(maxsize=1)
+def _trim():
+    """In a Spark worker, memory that is freed goes back to the system, as workers live on after their task; returns what trims it."""
+    from pyspark import TaskContext
+
+    if TaskContext.get() is None:
+        return lambda: None
+    pa.set_memory_pool(pa.system_memory_pool())
+    try:
+        libc = ctypes.CDLL(None)
+        libc.mallopt(-3, 1 << 18)  # larger arrays are mapped, and unmapped when freed
+        return lambda: libc.malloc_trim(0)
+    except (OSError, AttributeError):  # another C library than the GNU one
+        return lambda: None
+
+
 def chunks(batches, text: str, most: int = CHUNK_BYTES):
     """Cut Arrow batches so that each piece holds few text bytes (one text at least)."""
+    trim = _trim()
     for batch in batches:
         if not batch.num_rows:
             continue
@@ -215,6 +233,7 @@ def chunks(batches, text: str, most: int = CHUNK_BYTES):
             stop = max(start + 1, int(np.searchsorted(sizes, base + most, side="right")))
             yield batch.slice(start, stop - start)
             start = stop
+    trim()
 
 
 def _sizes(column: pa.Array) -> np.ndarray:

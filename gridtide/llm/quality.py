@@ -31,7 +31,7 @@ from .store import Scratch
 THRESHOLD = 0.3
 FOLDS, HELD = 5, 0
 DIMS, NONZERO = 32, 4
-WORD_BITS, SHAPES = 16, 1 << 12
+WORD_BITS, SHAPES = 15, 1 << 12
 WINDOW = 2
 HIDDEN = 32
 FIT_PARTS = 4
@@ -181,7 +181,7 @@ def fit(documents: DataFrame, labels: DataFrame, rows: int = FIT_ROWS, scratch:
         scratch.drop("sample")
         return QualityModel(None, None, None, counts.get(1, 0) / n if n else 1.0)
     sums = np.zeros((1 << WORD_BITS, DIMS), np.float32)
-    for row in sample.coalesce(FIT_PARTS).select("text").mapInArrow(_contexts, "sums binary").collect():  # one of 8 MB for each of FIT_PARTS tasks
+    for row in sample.coalesce(FIT_PARTS).select("text").mapInArrow(_contexts, "sums binary").collect():  # one of 4 MB for each of FIT_PARTS tasks
         sums += np.frombuffer(row.sums, np.float32).reshape(sums.shape)
     norm = np.linalg.norm(sums, axis=1, keepdims=True)
     words = index_vectors(np.arange(1 << WORD_BITS)) + 2 * sums / np.maximum(norm, 1)
