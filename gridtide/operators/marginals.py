@@ -11,20 +11,20 @@ from __future__ import annotations
 from pyspark.sql import Column, DataFrame, Window
 from pyspark.sql import functions as F
 
-from gridtide.plans.layout import probe_side
+from gridtide.plans.layout import probe_side, small
 
 KEY = ["rnd", "tile_id", "axis", "idx"]
 
 
 def in_tile(points: DataFrame, plan: DataFrame) -> DataFrame:
     """Routed points with their local row and column."""
-    full = points.join(F.broadcast(probe_side(plan).drop("machine_id")), "tile_id")
+    full = points.join(small(probe_side(plan).drop("machine_id")), "tile_id")
     return full.select("rnd", "tile_id", (F.col("cy") - F.col("t_cy0")).alias("row"), (F.col("cx") - F.col("t_cx0")).alias("col"))
 
 
 def clip(queries: DataFrame, plan: DataFrame) -> DataFrame:
     """Routed queries with first and last local row and column of their overlap with the tile."""
-    full = queries.join(F.broadcast(probe_side(plan).drop("machine_id")), "tile_id")
+    full = queries.join(small(probe_side(plan).drop("machine_id")), "tile_id")
     low = lambda a, b: F.greatest(F.col(a), F.col(b)) - F.col(b)
     high = lambda a, b, base: F.least(F.col(a), F.col(b)) - F.col(base)
     return full.select(

@@ -5,6 +5,7 @@ from __future__ import annotations
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
+from gridtide.plans.layout import small
 from gridtide.sources.tables import table
 
 
@@ -46,4 +47,4 @@ def heat_map(points: DataFrame, hours: int = 6, coarse: int = 8) -> DataFrame:
 def keyword_subscriptions(documents: DataFrame, subscriptions: DataFrame) -> DataFrame:
     """Documents inside a subscription's cell rectangle that hold its keyword (subscriptions: a bounded table)."""
     on = F.col("cx").between(F.col("cx0"), F.col("cx1")) & F.col("cy").between(F.col("cy0"), F.col("cy1")) & F.contains(F.col("text"), F.col("keyword"))
-    return documents.join(F.broadcast(subscriptions), on).select("query_id", F.col("point_id").alias("doc_id"), "tag")
+    return documents.join(small(subscriptions), on).select("query_id", F.col("point_id").alias("doc_id"), "tag")

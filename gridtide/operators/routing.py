@@ -9,7 +9,7 @@ from pyspark.sql import functions as F
 from pyspark.sql import types as T
 
 from gridtide.functions.grid import holds, overlaps
-from gridtide.plans.layout import Tile, probe_side
+from gridtide.plans.layout import Tile, probe_side, small
 
 SMALL_PLAN = 4096  # tiles up to which a plan is probed by bounds
 CELLS_MOST = 4_000_000  # rows of a cell table that are broadcast at most (16 bytes each)
@@ -31,7 +31,7 @@ def route_points(points: DataFrame, plan: DataFrame, method: str = "probe") -> D
     if method == "auto":
         method = "probe" if plan.count() <= SMALL_PLAN else "lookup"
     if method == "probe":
-        return points.join(F.broadcast(probe_side(plan)), holds()).drop("t_cx0", "t_cy0", "t_cx1", "t_cy1")
+        return points.join(small(probe_side(plan)), holds()).drop("t_cx0", "t_cy0", "t_cx1", "t_cy1")
     if method == "lookup":
         cells = plan.agg(F.sum((F.col("cx1") - F.col("cx0") + 1).cast("long") * (F.col("cy1") - F.col("cy0") + 1))).first()[0] or 0
         return points.join(F.broadcast(cell_table(plan)) if cells <= CELLS_MOST else cell_table(plan), ["cx", "cy"])
@@ -47,10 +47,10 @@ def route_queries(queries: DataFrame, plan: DataFrame, method: str = "join", til
     can miss tiles and is kept for comparison.
     """
     if method == "join":
-        return queries.join(F.broadcast(probe_side(plan)), overlaps()).drop("t_cx0", "t_cy0", "t_cx1", "t_cy1")
+        return queries.join(small(probe_side(plan)), overlaps()).drop("t_cx0", "t_cy0", "t_cx1", "t_cy1")
     if method == "cells":
         each = queries.withColumn("cx", F.explode(F.sequence("cx0", "cx1"))).withColumn("cy", F.explode(F.sequence("cy0", "cy1")))
-        return each.join(F.broadcast(cell_table(plan)), ["cx", "cy"]).drop("cx", "cy").distinct()
+        return each.join(small(cell_table(plan)), ["cx", "cy"]).drop("cx", "cy").distinct()
     if method != "hop":
         raise ValueError(method)
     walk = border_walk(tiles, entry)
@@ -118,7 +118,7 @@ def border_walk(tiles: list[Tile], entry: str = "clipped_corner"):
 
 def deliver(routed: DataFrame, plan: DataFrame) -> DataFrame:
     """Tile bounds attached by id: what a machine's own table of tiles answers."""
-    return routed.drop("machine_id").join(F.broadcast(probe_side(plan)), "tile_id")
+    return routed.drop("machine_id").join(small(probe_side(plan)), "tile_id")
 
 
 def place(frame: DataFrame, machines: int) -> DataFrame:
@@ -139,13 +139,13 @@ def route_with_lag(points: DataFrame, history: DataFrame, lag: int = 1) -> DataF
     it to an earlier owner first.
     """
     plans = history.selectExpr("round", "tile_id", "machine_id", "cx0 AS t_cx0", "cy0 AS t_cy0", "cx1 AS t_cx1", "cy1 AS t_cy1")
-    now = points.join(F.broadcast(plans), (F.col("round") == F.col("rnd")) & holds()).drop("round", "t_cx0", "t_cy0", "t_cx1", "t_cy1")
+    now = points.join(small(plans), (F.col("round") == F.col("rnd")) & holds()).drop("round", "t_cx0", "t_cy0", "t_cx1", "t_cy1")
     old = plans.selectExpr("round AS old_round", "machine_id AS sent_to", "t_cx0", "t_cy0", "t_cx1", "t_cy1")
-    both = now.join(F.broadcast(old), (F.col("old_round") == F.greatest(F.lit(0), F.col("rnd") - lag)) & holds())
+    both = now.join(small(old), (F.col("old_round") == F.greatest(F.lit(0), F.col("rnd") - lag)) & holds())
     return both.withColumn("forwarded", F.col("sent_to") != F.col("machine_id")).drop("old_round", "t_cx0", "t_cy0", "t_cx1", "t_cy1")
 
 
 def route_queries_by_round(queries: DataFrame, history: DataFrame) -> DataFrame:
     """Each query once for every tile that it overlaps in the plan of its round."""
     plans = history.selectExpr("round", "tile_id", "machine_id", "cx0 AS t_cx0", "cy0 AS t_cy0", "cx1 AS t_cx1", "cy1 AS t_cy1")
-    return queries.join(F.broadcast(plans), (F.col("round") == F.col("rnd")) & overlaps()).drop("round", "t_cx0", "t_cy0", "t_cx1", "t_cy1")
+    return queries.join(small(plans), (F.col("round") == F.col("rnd")) & overlaps()).drop("round", "t_cx0", "t_cy0", "t_cx1", "t_cy1")

@@ -6,6 +6,7 @@ from dataclasses import dataclass, replace
 
 import pyarrow as pa
 from pyspark.sql import DataFrame, SparkSession
+from pyspark.sql.functions import broadcast
 
 from gridtide.config import GridSpec
 
@@ -79,6 +80,15 @@ def plan_frame(spark: SparkSession, tiles: list[Tile], at_round: int = 0) -> Dat
     return spark.createDataFrame(pa.table([pa.array(c, f.type) for c, f in zip(columns, ARROW_PLAN, strict=True)], schema=ARROW_PLAN))
 
 
+BROADCAST_BYTES = 64 << 20  # plans and other side tables that are broadcast at most
+
+
+def small(frame: DataFrame) -> DataFrame:
+    """``frame`` marked for broadcast where the optimiser's estimate of its size is within BROADCAST_BYTES, else as it is."""
+    size = int(str(frame._jdf.queryExecution().optimizedPlan().stats().sizeInBytes()))
+    return broadcast(frame) if size <= BROADCAST_BYTES else frame
+
+
 def probe_side(plan: DataFrame) -> DataFrame:
     """Plan columns named for joins: tile and machine ids and bounds ``t_cx0..``."""
     return plan.selectExpr("tile_id", "machine_id", "cx0 AS t_cx0", "cy0 AS t_cy0", "cx1 AS t_cx1", "cy1 AS t_cy1")

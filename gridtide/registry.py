@@ -457,38 +457,47 @@ def _(spark, sf_dir):
     return rows.join(F.broadcast(totals), "tile_id").groupBy("tile_id").applyInPandas(search, "tile_id long, axis string, idx int, moved string, gap double")
 
 
-@query(
-    "rebalance_first_step",
-    f"""{SCAN}, d AS (SELECT machine_id, numerator FROM mc ORDER BY numerator DESC, machine_id LIMIT 1), e AS (SELECT machine_id, numerator FROM mc ORDER BY numerator, machine_id LIMIT 1),
+STEP = f"""{SCAN}, d AS (SELECT machine_id, numerator FROM mc ORDER BY numerator DESC, machine_id LIMIT 1), e AS (SELECT machine_id, numerator FROM mc ORDER BY numerator, machine_id LIMIT 1),
     fit AS (SELECT count(*) AS k FROM cs WHERE machine_id = (SELECT machine_id FROM d) AND numerator > 0 AND numerator <= ((SELECT numerator FROM d) - (SELECT numerator FROM e)) / 2),
-    top AS (SELECT tile_id FROM cs WHERE machine_id = (SELECT machine_id FROM d) ORDER BY numerator DESC, tile_id LIMIT 1)
-    SELECT CASE WHEN fit.k > 0 THEN 'subset' ELSE 'split' END AS kind, d.machine_id AS donor, e.machine_id AS receiver, b.tile_id, b.axis, b.idx, b.moved, b.gap
-    FROM d, e, fit, best b WHERE b.k = 1 AND b.tile_id = (SELECT tile_id FROM top)""",
-)
-def _(spark, sf_dir):
+    top AS (SELECT tile_id FROM cs WHERE machine_id = (SELECT machine_id FROM d) ORDER BY numerator DESC, tile_id LIMIT 1),
+    step AS (SELECT CASE WHEN fit.k > 0 THEN 'subset' ELSE 'split' END AS kind, d.machine_id AS donor, e.machine_id AS receiver, b.tile_id, b.axis, b.idx, b.moved, b.gap
+      FROM d, e, fit, best b WHERE b.k = 1 AND b.tile_id = (SELECT tile_id FROM top))"""
+
+
+def _first_step(spark, sf_dir, at_round: int = 1):
+    """(tiles, action) of one rebalance of the even layout, the whole stream taken as one round."""
     rows, _ = _split_inputs(spark, sf_dir)
     stats = _one_round(spark, sf_dir)
     report = {r["machine_id"]: r["numerator"] for r in cost.machine_report(stats).collect()}
     costs = lambda m: {r["tile_id"]: r["numerator"] for r in stats.where(F.col("machine_id") == m).collect()}
     axes = lambda t: planner.axis_stats(rows.where(F.col("tile_id") == t.tile_id).collect())
-    _, act = planner.rebalance_once(EVEN, report, costs, axes, 1)
+    return planner.rebalance_once(EVEN, report, costs, axes, at_round)
+
+
+@query("rebalance_first_step", f"{STEP} SELECT * FROM step")
+def _(spark, sf_dir):
+    _, act = _first_step(spark, sf_dir)
     cut = act.cut or planner.Cut(0.0, None, None, None)
     return spark.createDataFrame([(act.kind, act.donor, act.receiver, act.tiles[0], cut.axis, cut.after, cut.moved, cut.gap)], "kind string, donor int, receiver int, tile_id long, axis string, idx int, moved string, gap double")
 
 
-MERGEABLE = [Tile(1, 0, 0, 0, 31, 31), Tile(2, 0, 32, 0, 63, 31), Tile(3, 0, 0, 32, 31, 63), Tile(4, 1, 32, 32, 63, 63)]
+OWNED = f"owned AS (SELECT t.* REPLACE (CAST(coalesce(c.n, 0) % 2 AS INTEGER) AS machine_id) FROM plan t LEFT JOIN (SELECT tile_id, count(*) AS n FROM rp GROUP BY 1) c USING (tile_id))"
 
 
 @query(
     "merge_once",
-    f"""WITH {values_sql(MERGEABLE)}, pairs AS (SELECT a.tile_id AS a, b.tile_id AS b, a.machine_id, least(a.cx0, b.cx0) AS cx0, least(a.cy0, b.cy0) AS cy0, greatest(a.cx1, b.cx1) AS cx1, greatest(a.cy1, b.cy1) AS cy1
-      FROM plan a JOIN plan b ON a.tile_id < b.tile_id AND a.machine_id = b.machine_id AND (
+    f"""{SPREAD_BASE}, {RP}, {OWNED}, pairs AS (SELECT a.tile_id AS a, b.tile_id AS b, a.machine_id, least(a.cx0, b.cx0) AS cx0, least(a.cy0, b.cy0) AS cy0, greatest(a.cx1, b.cx1) AS cx1, greatest(a.cy1, b.cy1) AS cy1
+      FROM owned a JOIN owned b ON a.tile_id < b.tile_id AND a.machine_id = b.machine_id AND (
         (a.cy0 = b.cy0 AND a.cy1 = b.cy1 AND (a.cx1 + 1 = b.cx0 OR b.cx1 + 1 = a.cx0)) OR (a.cx0 = b.cx0 AND a.cx1 = b.cx1 AND (a.cy1 + 1 = b.cy0 OR b.cy1 + 1 = a.cy0))) ORDER BY 1, 2 LIMIT 1)
-    SELECT tile_id, machine_id, cx0, cy0, cx1, cy1 FROM plan WHERE tile_id NOT IN (SELECT a FROM pairs UNION SELECT b FROM pairs)
-    UNION ALL SELECT (SELECT max(tile_id) + 1 FROM plan), machine_id, cx0, cy0, cx1, cy1 FROM pairs""",
+    SELECT tile_id, machine_id, cx0, cy0, cx1, cy1 FROM owned WHERE tile_id NOT IN (SELECT a FROM pairs UNION SELECT b FROM pairs)
+    UNION ALL SELECT (SELECT max(tile_id) + 1 FROM owned), machine_id, cx0, cy0, cx1, cy1 FROM pairs""",
 )
 def _(spark, sf_dir):
-    return plan_frame(spark, layout.merge_once(MERGEABLE)).select("tile_id", "machine_id", "cx0", "cy0", "cx1", "cy1")
+    """One merge among tiles whose owners the stream decides (even and odd numbers of points)."""
+    counts = routing.route_points(tables.event_points(spark, sf_dir), _plan(spark, SPREAD)).groupBy("tile_id").count().collect()  # a row for each tile
+    held = {r["tile_id"]: r["count"] for r in counts}
+    owned = [Tile(t.tile_id, held.get(t.tile_id, 0) % 2, t.cx0, t.cy0, t.cx1, t.cy1) for t in SPREAD]
+    return plan_frame(spark, layout.merge_once(owned)).select("tile_id", "machine_id", "cx0", "cy0", "cx1", "cy1")
 
 
 # ---- rounds and strategies
@@ -911,25 +920,31 @@ def _(spark, sf_dir):
     return lineage.chain_ledger(_snapshot(spark, sf_dir))
 
 
-def _history_values() -> str:
-    rows = ", ".join(f"({t.tile_id}::BIGINT, [{', '.join(map(str, t.parent_ids))}]::BIGINT[], {t.machine_id}, {t.born_round}, {t.retired_round if t.retired_round is not None else 'NULL'})" for t in HISTORY)
-    return f"h(tile_id, parent_ids, machine_id, born_round, retired_round) AS (VALUES {rows})"
+STEP_HISTORY = f"""{STEP}, old AS (SELECT max(tile_id) AS last FROM plan), h AS (
+  SELECT t.tile_id, []::BIGINT[] AS parent_ids, t.machine_id, 0 AS born_round, CASE WHEN t.tile_id = step.tile_id THEN {SWITCH} END AS retired_round FROM plan t, step
+  UNION ALL SELECT last + k, [step.tile_id], CASE WHEN (moved = 'first') = (k = 1) THEN receiver ELSE donor END, {SWITCH}, NULL FROM step, old, (SELECT unnest([1, 2]) AS k))"""
+
+
+def _step_history(spark, sf_dir) -> list[Tile]:
+    """The tiles' history when the rebalance that the stream calls for takes place in round SWITCH."""
+    after, _ = _first_step(spark, sf_dir, SWITCH)
+    return lineage.tile_history([EVEN] * SWITCH + [after] * (LAST + 1 - SWITCH))
 
 
 @query(
     "lineage_chain",
-    f"""WITH RECURSIVE {_history_values()}, links(current_tile, stored_tile, depth) AS (SELECT tile_id, tile_id, 0 FROM h WHERE retired_round IS NULL
+    f"""{STEP_HISTORY}, links(current_tile, stored_tile, depth) AS (SELECT tile_id, tile_id, 0 FROM h WHERE retired_round IS NULL
       UNION ALL SELECT l.current_tile, p.parent, l.depth + 1 FROM links l JOIN (SELECT tile_id, unnest(parent_ids) AS parent, born_round FROM h) p ON p.tile_id = l.stored_tile AND p.born_round > 4)
     SELECT l.current_tile, l.stored_tile, CAST(l.depth AS INTEGER) AS depth, h.machine_id, h.born_round, h.retired_round FROM links l JOIN h ON h.tile_id = l.stored_tile WHERE h.retired_round IS NULL OR h.retired_round > 4""",
 )
 def _(spark, sf_dir):
-    return lineage.chain_sql(spark, plan_frame(spark, HISTORY), 4)
+    return lineage.chain_sql(spark, plan_frame(spark, _step_history(spark, sf_dir)), 4)
 
 
-@query("lineage_pruned", f"WITH {_history_values()} SELECT tile_id, (SELECT count(*) FROM h p WHERE list_contains(c.parent_ids, p.tile_id) AND (p.retired_round IS NULL OR p.retired_round > 12)) AS parents FROM h c WHERE c.retired_round IS NULL OR c.retired_round > 12")
+@query("lineage_pruned", f"{STEP_HISTORY} SELECT tile_id, (SELECT count(*) FROM h p WHERE list_contains(c.parent_ids, p.tile_id) AND (p.retired_round IS NULL OR p.retired_round > 12)) AS parents FROM h c WHERE c.retired_round IS NULL OR c.retired_round > 12")
 def _(spark, sf_dir):
     """What is left of the history once data up to round 12 have expired."""
-    return plan_frame(spark, lineage.prune(HISTORY, 12)).select("tile_id", F.size("parent_ids").cast("long").alias("parents"))
+    return plan_frame(spark, lineage.prune(_step_history(spark, sf_dir), 12)).select("tile_id", F.size("parent_ids").cast("long").alias("parents"))
 
 
 @query("chain_stats")
@@ -939,9 +954,9 @@ def _(spark, sf_dir):
     return lineage.chain_stats(lineage.chain_frame(spark, history, 0))
 
 
-@query("retired_tiles", f"WITH {_history_values()} SELECT tile_id, retired_round FROM h WHERE retired_round IS NOT NULL AND retired_round <= 12 AND retired_round < 20")
+@query("retired_tiles", f"{STEP_HISTORY} SELECT tile_id, retired_round FROM h WHERE retired_round IS NOT NULL AND retired_round <= 12 AND retired_round < 20")
 def _(spark, sf_dir):
-    return lineage.retire_ready(plan_frame(spark, HISTORY), 12, 20).select("tile_id", "retired_round")
+    return lineage.retire_ready(plan_frame(spark, _step_history(spark, sf_dir)), 12, 20).select("tile_id", "retired_round")
 
 
 MOVED = [t for t in STEPPED if t.parent_ids and t.machine_id != t.prev_machine_id]
