@@ -429,13 +429,20 @@ SCAN = f"""WITH RECURSIVE sub AS (WITH RECURSIVE {LINES}), {values_sql(EVEN)}, {
 SPLITS = f"{SCAN} SELECT tile_id, axis, idx, moved, gap FROM best WHERE k = 1"
 
 
-def _split_inputs(spark, sf_dir):
+def _folded(spark, sf_dir) -> tuple[DataFrame, DataFrame]:
+    """(marginals, tile stats) of the whole stream as one round under the even layout: the stream is read and routed once."""
     got, plan = _collected(spark, sf_dir)
-    stats = _one_round(spark, sf_dir)
+    rows = Workspace(spark, "folded").put(marginals.fold(got.withColumn("rnd", F.lit(0)), plan, 0), "rows")
+    stats = marginals.tile_totals(rows).join(plan.select("tile_id", "machine_id"), "tile_id")
+    return rows, stats.withColumn("numerator", F.col("n") * F.col("q") * F.col("r"))
+
+
+def _split_inputs(spark, sf_dir):
+    rows, stats = _folded(spark, sf_dir)
     report = cost.machine_report(stats)
     low = report.agg(F.min("numerator").alias("low"))
     totals = stats.select("tile_id", "machine_id", F.col("numerator").alias("cost")).join(report.select("machine_id", F.col("numerator").alias("high")), "machine_id").join(F.broadcast(low)).drop("machine_id")
-    return marginals.fold(got.withColumn("rnd", F.lit(0)), plan, 0), totals
+    return rows, totals
 
 
 @query("split_scan", SPLITS)
@@ -466,8 +473,7 @@ STEP = f"""{SCAN}, d AS (SELECT machine_id, numerator FROM mc ORDER BY numerator
 
 def _first_step(spark, sf_dir, at_round: int = 1):
     """(tiles, action) of one rebalance of the even layout, the whole stream taken as one round."""
-    rows, _ = _split_inputs(spark, sf_dir)
-    stats = _one_round(spark, sf_dir)
+    rows, stats = _folded(spark, sf_dir)
     report = {r["machine_id"]: r["numerator"] for r in cost.machine_report(stats).collect()}
     costs = lambda m: {r["tile_id"]: r["numerator"] for r in stats.where(F.col("machine_id") == m).collect()}
     axes = lambda t: planner.axis_stats(rows.where(F.col("tile_id") == t.tile_id).collect())
@@ -858,7 +864,7 @@ def _(spark, sf_dir):
 
 INSIDE = "p.x BETWEEN q.x0 AND q.x1 AND p.y BETWEEN q.y0 AND q.y1"
 MATCHES = f"{BASE}, {RP} SELECT q.query_id, p.point_id, p.machine_id FROM rp p JOIN qs q ON {INSIDE} AND q.qts <= p.ts"
-for _name, _kind, _salts in (("continuous_matches", "tile", 1), ("continuous_matches_cell", "cell", 1), ("continuous_matches_salted", "tile", 8)):
+for _name, _kind, _salts in (("continuous_matches", "cell", 1), ("continuous_matches_tile", "tile", 1), ("continuous_matches_salted", "tile", 8)):
     query(_name, MATCHES)(lambda spark, sf_dir, k=_kind, s=_salts: matching.match_continuous(*_pq(spark, sf_dir), _plan(spark), k, salts=s))
 
 
