@@ -1,12 +1,14 @@
 """Matches counted without being listed, and matching by a machine's own index."""
 
+from dataclasses import replace
+
 import numpy as np
 import pytest
 from pyspark.sql import functions as F
 
 from gridtide.config import EVENTS
 from gridtide.functions.grid import rectangle_cells, to_cells
-from gridtide.operators import boxes, matching
+from gridtide.operators import boxes, matching, measures
 from gridtide.plans.layout import even_layout, plan_frame
 
 
@@ -43,3 +45,20 @@ def test_aggregates_list_no_match(spark):
     assert len(held) == len(want) > 0
     for r in want:
         assert held[r.query_id, r.rnd][0] == r.n and held[r.query_id, r.rnd][1] == pytest.approx(r.s, abs=1e-6)
+
+
+def test_plan_faults_equal_those_of_listed_matches(spark, monkeypatch):
+    points, queries = crowd(spark, 300, 120)
+    points = points.unionByName(points.where("point_id IN (5, 6)"))  # delivered twice
+    queries = queries.unionByName(queries.where("query_id = 7"))
+    even = even_layout(EVENTS, 8)
+    twice, gone = [*even, replace(even[0], tile_id=99)], even[1:]
+    due = plan_frame(spark, even)
+    for found, wanted in ((due, due), (plan_frame(spark, twice), due), (plan_frame(spark, gone), due), (due, plan_frame(spark, gone)), (due, plan_frame(spark, twice)), (plan_frame(spark, gone), plan_frame(spark, twice))):
+        listed = measures.match_faults(matching.match_continuous(points, queries, found), matching.match_continuous(points, queries, wanted))
+        want = {r.kind: r["count"] for r in listed.groupBy("kind").count().collect()}
+        assert {r.kind: r.faults for r in measures.plan_faults(points, queries, found, wanted).collect() if r.faults} == want
+    sides = []
+    monkeypatch.setattr(measures, "match_continuous", lambda p, q, plan: sides.append(p) or matching.match_continuous(p, q, plan))
+    one = points.dropDuplicates(["point_id"]), queries.dropDuplicates(["query_id"])
+    assert measures.plan_faults(*one, due, due).agg(F.sum("faults")).first()[0] == 0 and not sides  # no match is listed
