@@ -62,3 +62,12 @@ def test_plan_faults_equal_those_of_listed_matches(spark, monkeypatch):
     monkeypatch.setattr(measures, "match_continuous", lambda p, q, plan: sides.append(p) or matching.match_continuous(p, q, plan))
     one = points.dropDuplicates(["point_id"]), queries.dropDuplicates(["query_id"])
     assert measures.plan_faults(*one, due, due).agg(F.sum("faults")).first()[0] == 0 and not sides  # no match is listed
+
+
+def test_tile_matches_meet_only_what_is_near(spark):
+    points, queries = crowd(spark)
+    plan = plan_frame(spark, even_layout(EVENTS, 8))
+    got = matching.match_continuous(points, queries, plan, "tile")
+    join = next(line for line in got._jdf.queryExecution().optimizedPlan().toString().splitlines() if "Join Inner" in line)
+    assert "row#" in join and "col#" in join  # not every point of a tile with every query of it
+    assert got.count() == got.distinct().count() == pairs(points, queries).count() > 0
