@@ -71,3 +71,15 @@ def test_tile_matches_meet_only_what_is_near(spark):
     join = next(line for line in got._jdf.queryExecution().optimizedPlan().toString().splitlines() if "Join Inner" in line)
     assert "row#" in join and "col#" in join  # not every point of a tile with every query of it
     assert got.count() == got.distinct().count() == pairs(points, queries).count() > 0
+
+
+def test_only_hot_keys_are_salted(spark):
+    points, queries = crowd(spark, 3000, 900)
+    one = spark.createDataFrame([(1, 1, 0), (2, 1, 0), (3, 9, 9)], "point_id long, row int, col int")
+    crowded = one.unionByName(spark.range(100, 5000).selectExpr("id AS point_id", "7 AS row", "7 AS col"))
+    asked = spark.createDataFrame([(k, 7, 7) for k in range(50)] + [(60, 1, 0), (61, 9, 9)], "query_id long, row int, col int")
+    p, q = matching._salted(crowded, asked, ["row", "col"], 8)
+    assert {(r.row, r["count"]) for r in q.groupBy("row").count().collect()} == {(7, 400), (1, 1), (9, 1)}  # the cold keys' queries are not copied
+    assert p.count() == crowded.count() and p.where("row = 7").select("salt").distinct().count() == 8
+    got = matching.match_continuous(points, queries, plan_frame(spark, even_layout(EVENTS, 8)), "tile", salts=8)
+    assert got.count() == got.distinct().count() == pairs(points, queries).count()
