@@ -10,6 +10,7 @@ from gridtide.config import EVENTS
 from gridtide.functions.grid import rectangle_cells, to_cells
 from gridtide.operators import boxes, matching, measures
 from gridtide.plans.layout import even_layout, plan_frame
+from gridtide.streaming import loop
 
 
 def crowd(spark, points=4000, queries=1500):
@@ -83,3 +84,18 @@ def test_only_hot_keys_are_salted(spark):
     assert p.count() == crowded.count() and p.where("row = 7").select("salt").distinct().count() == 8
     got = matching.match_continuous(points, queries, plan_frame(spark, even_layout(EVENTS, 8)), "tile", salts=8)
     assert got.count() == got.distinct().count() == pairs(points, queries).count()
+
+
+def test_stream_aggregates_need_no_listed_match(spark, tmp_path):
+    events = spark.read.parquet("/root/testdata/sf0.001/events.parquet")
+    job = loop.BalancedStream(spark, str(tmp_path / "out"), listed=False)
+    for k, some in enumerate((events.where("event_id % 2 = 0"), events.where("event_id % 2 = 1"))):
+        job.batch(some, k)
+    points, queries = loop.split_objects(events)
+    number = "CASE WHEN {0} % 2 = 0 THEN 0 ELSE 1 END"
+    seen = pairs(points, queries.withColumnRenamed("ts", "qts")).where(f"{number.format('q.query_id')} <= {number.format('p.point_id')}")
+    want = {r.query_id: (r.n, r.s) for r in seen.groupBy("q.query_id").agg(F.count("*").alias("n"), F.sum("p.x").alias("s")).collect()}
+    got = {r.query_id: (r.matched, r.total) for r in job.aggregates().collect()}
+    assert got.keys() == want.keys() and want
+    assert all(got[k][0] == n and got[k][1] == pytest.approx(s) for k, (n, s) in want.items())
+    assert job.matches().isEmpty()
