@@ -99,3 +99,9 @@ def test_stream_aggregates_need_no_listed_match(spark, tmp_path):
     assert got.keys() == want.keys() and want
     assert all(got[k][0] == n and got[k][1] == pytest.approx(s) for k, (n, s) in want.items())
     assert job.matches().isEmpty()
+
+
+def test_stats_traffic_follows_the_stream(spark):
+    points = spark.createDataFrame([(0, 1.0, 1.0), (0, 1.2, 1.0), (0, 200.0, 50.0), (2, 1.0, 1.0)], "rnd int, x double, y double")
+    got = {(r.side, r.machines): (r.collections, r.decentral, r.central, r.touched) for r in measures.stats_traffic(points, EVENTS, [64, 1000], [8, 22]).collect()}
+    assert got == {(64, 8): (2, 32, 40960, 15), (64, 22): (2, 88, 40960, 15), (1000, 8): (2, 32, 10_000_000, 20), (1000, 22): (2, 88, 10_000_000, 20)}
