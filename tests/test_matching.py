@@ -105,3 +105,13 @@ def test_stats_traffic_follows_the_stream(spark):
     points = spark.createDataFrame([(0, 1.0, 1.0), (0, 1.2, 1.0), (0, 200.0, 50.0), (2, 1.0, 1.0)], "rnd int, x double, y double")
     got = {(r.side, r.machines): (r.collections, r.decentral, r.central, r.touched) for r in measures.stats_traffic(points, EVENTS, [64, 1000], [8, 22]).collect()}
     assert got == {(64, 8): (2, 32, 40960, 15), (64, 22): (2, 88, 40960, 15), (1000, 8): (2, 32, 10_000_000, 20), (1000, 22): (2, 88, 10_000_000, 20)}
+
+
+def test_stream_aggregates_do_not_read_listed_matches(spark, tmp_path, monkeypatch):
+    """Matches are written and not shuffled again to be summed."""
+    monkeypatch.setattr(loop.BalancedStream, "_match", lambda self, routed, live, batch_id: None)
+    job = loop.BalancedStream(spark, str(tmp_path / "out"))
+    events = spark.read.parquet("/root/testdata/sf0.001/events.parquet")
+    job.batch(events, 0)
+    points, queries = loop.split_objects(events)
+    assert job.aggregates().agg(F.sum("matched")).first()[0] == pairs(points, queries.withColumnRenamed("ts", "qts")).count() > 0
