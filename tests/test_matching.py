@@ -115,3 +115,20 @@ def test_stream_aggregates_do_not_read_listed_matches(spark, tmp_path, monkeypat
     job.batch(events, 0)
     points, queries = loop.split_objects(events)
     assert job.aggregates().agg(F.sum("matched")).first()[0] == pairs(points, queries.withColumnRenamed("ts", "qts")).count() > 0
+
+
+def test_stream_lists_matches_without_storing_them(spark, tmp_path):
+    """What is stored grows with points and queries; a query that comes again counts from its first batch, one that comes late not before its own."""
+    out = tmp_path / "out"
+    events = spark.read.parquet("/root/testdata/sf0.001/events.parquet")
+    again = events.where("event_type = 'signup' AND event_id % 4 = 0")
+    for k, some in enumerate((events.where("event_id % 2 = 0"), events.where("event_id % 2 = 1").unionByName(again))):
+        loop.BalancedStream(spark, str(out), config=loop.BalanceConfig(policy="always")).batch(some, k)
+    assert not (out / "matches").exists()
+    points, queries = loop.split_objects(events)
+    seen = pairs(points, queries.withColumnRenamed("ts", "qts")).where("q.query_id % 2 <= p.point_id % 2")
+    want = sorted(tuple(r) for r in seen.select("q.query_id", "p.point_id").collect())
+    held = loop.BalancedStream(spark, str(out)).matches()
+    assert sorted(tuple(r) for r in held.select("query_id", "point_id").collect()) == want and want
+    owners = {(r.point_id, r.tile_id, r.machine_id) for r in spark.read.parquet(f"{out}/points").collect()}
+    assert {(r.point_id, r.tile_id, r.machine_id) for r in held.collect()} <= owners
