@@ -82,3 +82,15 @@ def test_row_ids_are_the_same_in_every_plan(spark, tmp_path):
     a = {r.row_id: r["_row_id"] for r in placed.collect()}
     b = {r.row_id: r["_row_id"] for r in placed.select("row_id", "_row_id").repartition(3).collect()}
     assert a == b and len(set(a.values())) == 1000 and placed.columns == ["file", "row_id", "_row_id"]
+
+
+def test_dropping_tables_trims_the_drivers_native_memory(spark, monkeypatch):
+    from gridtide.llm import store
+
+    assert "native heap" in store.trim_native(spark).lower()  # OpenJDK 17.0.9 and later have the command
+    told = []
+    monkeypatch.setattr(store, "trim_native", told.append)
+    scratch = store.Scratch(spark, "trimmed")
+    scratch.keep(spark.range(3), "some")
+    scratch.drop("some")
+    assert told == [spark]
