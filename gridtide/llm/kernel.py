@@ -46,7 +46,7 @@ BASE = 0x9E3779B97F4A7C15 | 1
 BASE_INVERSE = pow(BASE, -1, 1 << 64)
 
 
-SEGMENT = 1 << 20  # bytes that are hashed at once, unless one word is longer
+SEGMENT = 1 << 18  # bytes that are hashed at once, unless one word is longer; a worker keeps tables of 32 times as many
 _TABLES: dict[int, np.ndarray] = {}
 
 
@@ -236,6 +236,17 @@ def chunks(batches, text: str, most: int = CHUNK_BYTES):
     trim()
 
 
+def trimming(run):
+    """``run``, a function of Arrow batches, which at its end gives what it has freed back to the system."""
+
+    def whole(batches):
+        trim = _trim()
+        yield from run(batches)
+        trim()
+
+    return whole
+
+
 def _sizes(column: pa.Array) -> np.ndarray:
     return np.asarray(pc.binary_length(column).fill_null(0), np.int64)
 

@@ -329,7 +329,7 @@ class NgramJaccardJoin:
         sets = self.scratch.keep(some.mapInArrow(_sets, "doc long, items binary").dropDuplicates(["doc"]), f"{tag}-sets")
         left = pairs.join(sets.select(F.col("doc").alias("a"), F.col("items").alias("x")), "a")
         both = left.join(sets.select(F.col("doc").alias("b"), F.col("items").alias("y")), "b").select("a", "b", "x", "y")
-        done = self.scratch.keep(both.mapInArrow(_overlaps, "a long, b long, common long, joint long"), tag)
+        done = self.scratch.keep(both.mapInArrow(K.trimming(_overlaps), "a long, b long, common long, joint long"), tag)
         self.scratch.drop(f"{tag}-sets", f"{tag}-need")
         return done
 
@@ -352,7 +352,7 @@ class NgramJaccardJoin:
         entries = (
             docs.mapInArrow(_emit(buckets), "bucket int, sigs binary, docs binary, sets binary")
             .repartition(parts, "bucket")
-            .mapInArrow(_shared, "sig long, doc long")
+            .mapInArrow(K.trimming(_shared), "sig long, doc long")
         )
         reps = info.join(wide, ["n", "h1", "h2"]).select(F.col("doc_id").alias("doc"), "rep")
         entries = keep(entries, "shared")
@@ -412,7 +412,7 @@ class NgramJaccardJoin:
         dealt = members.join(sets.withColumnRenamed("doc", "rep"), "rep").withColumn("other", F.explode(F.sequence(F.lit(0), F.col("blocks") - 1)))
         cells = dealt.select("root", F.least("block", "other").alias("i"), F.greatest("block", "other").alias("j"), "rep", "block", "weight", "items")
         cells = cells.repartition(partitions(self.spark), "root", "i", "j").sortWithinPartitions("root", "i", "j")
-        similar = keep(cells.mapInArrow(_cell_links, "rep long, links long").groupBy("rep").agg(F.sum("links").alias("links")), "links")
+        similar = keep(cells.mapInArrow(K.trimming(_cell_links), "rep long, links long").groupBy("rep").agg(F.sum("links").alias("links")), "links")
         scratch.drop("members", "blocks", "links-need", "links-sets")
         return size.join(similar, "rep", "left").select("rep", (F.col("weight") - 1 + F.coalesce("links", F.lit(0))).alias("n_links"))
 
@@ -464,7 +464,7 @@ def _possible(pairs: DataFrame, sketch: DataFrame) -> DataFrame:
     u = sketch.select(F.col("doc").alias("a"), F.col("n").alias("na"), F.col("wide").alias("u"))
     v = sketch.select(F.col("doc").alias("b"), F.col("n").alias("nb"), F.col("wide").alias("v"))
     both = left.join(u, "a").join(v, "b").select("a", "b", "na", "nb", "u", "v")
-    return both.mapInArrow(_wide_close, "a long, b long")
+    return both.mapInArrow(K.trimming(_wide_close), "a long, b long")
 
 
 def _wide_close(batches):

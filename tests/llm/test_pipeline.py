@@ -1,7 +1,9 @@
 """The pipeline's stages on the given documents, and registered queries against SQL."""
 
 import duckdb
+import pyarrow as pa
 import pytest
+from pyspark.sql import functions as F
 
 import __spark_entry__ as entry_module
 import corpus_pipeline
@@ -94,3 +96,34 @@ def test_dropping_tables_trims_the_drivers_native_memory(spark, monkeypatch):
     scratch.keep(spark.range(3), "some")
     scratch.drop("some")
     assert told == [spark]
+
+
+def test_tables_are_written_through_small_arrow_batches(spark):
+    from gridtide.llm import store
+
+    def told(batches):
+        for batch in batches:
+            yield pa.RecordBatch.from_arrays([pa.array([batch.nbytes])], names=["size"])
+
+    before = spark.conf.get(store.ARROW)
+    texts = spark.range(0, 4000, 1, 1).select(F.expr("repeat(cast(id as string), 2000)").alias("text"))
+    scratch = store.Scratch(spark, "batches")
+    sizes = [r.size for r in scratch.keep(texts.mapInArrow(told, "size long"), "some").collect()]
+    assert sum(sizes) > 6 * store.ARROW_BYTES and max(sizes) < 1.1 * store.ARROW_BYTES
+    assert spark.conf.get(store.ARROW) == before
+    try:
+        spark.conf.set(store.ARROW, "1m")  # a lower bound of the session holds
+        sizes = [r.size for r in scratch.keep(texts.mapInArrow(told, "size long"), "less").collect()]
+        assert max(sizes) < 1.2 * (1 << 20) and spark.conf.get(store.ARROW) in ("1m", "1048576b")
+    finally:
+        spark.conf.set(store.ARROW, before)
+        scratch.close()
+    assert [store._byte_count(x) for x in ("64m", "67108864b", "7", "2 KB", "-1b", "1gb")] == [1 << 26, 1 << 26, 7, 2048, -1, 1 << 30]
+
+
+def test_a_workers_word_tables_are_small(monkeypatch):
+    from gridtide.llm import kernel as K
+
+    monkeypatch.setattr(K, "_TABLES", {})
+    K.Words(K.Texts(pa.array(["some words " * 300_000]))).hashes()
+    assert sum(x.nbytes for x in K._TABLES.values()) <= 32 * K.SEGMENT <= 8 << 20
