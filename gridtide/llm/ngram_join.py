@@ -17,7 +17,10 @@ one with a probability of 2 ** -64.
 Sets that share a signature are candidates.  They are compared exactly, first
 with the least member of their signature group (a star, never all pairs), then
 only those pairs whose link is still open: members of different components.
-That settles components.  Links themselves are asked for separately: every link
+These come in rings: a set outside its group's main component meets a few members
+first, and ever more of them only while it is in a component of its own, so that
+pairs which later merges make needless are never listed.  The last ring leaves no
+member out.  That settles components.  Links themselves are asked for separately: every link
 lies inside a component, so all pairs of a component's sets are then compared,
 in blocks, and each row's number of links is exact.
 Before any comparison parity sketches, of 512 bits first and then of at least a
@@ -43,7 +46,9 @@ NUM, DEN = 80, 100  # similarity as a fraction
 SIG_BYTES, SET_BYTES = 6, 6
 SEEN_MOST = 1 << 18
 SUBPARTS = 3  # subparts of a part; all subsets of one less are enumerated
-CHUNK = 4096  # members of a signature group in one block
+CHUNK = 4096  # members of a signature group in one cell at most, about
+MEET, WIDER = 32, 16  # members of its largest group that a set meets in the first ring, and each ring's end over that of the one before
+CIRCLE = 30  # bits of a set's place on the circle along which rings are cut
 MOST_SCHEMES = 64
 SKETCH = 8  # longs of a parity sketch
 NEED_MOST = 1 << 18  # ids that are broadcast at most
@@ -367,22 +372,28 @@ class NgramJaccardJoin:
         sketch = keep(sketch, "sketch")
         # each set first meets the least of its leaders
         first = starred.where("doc <> lead").groupBy("doc").agg(F.min("lead").alias("a")).select("a", F.col("doc").alias("b"))
-        checked, turn = None, 0
-        while True:
-            pairs = first if turn == 0 else self._leader_pairs(starred, labels, checked, sketch) if turn == 1 else self._cross_pairs(starred, labels, checked, sketch, turn)
+        checked, turn, low, high, most = None, 0, 0, MEET, 0
+        while turn < 2 or low < most:
+            pairs = first if turn == 0 else self._leader_pairs(starred, labels, checked, sketch) if turn == 1 else self._cross_pairs(live, checked, sketch, low, high)
             pairs = keep(_possible(pairs, sketch), f"open-{turn}")
-            if turn == 2 and pairs.isEmpty():
-                break
-            done = self._verify(docs, pairs, f"round-{turn}")
-            checked = done if checked is None else checked.unionByName(done)
+            met = turn < 2 or not pairs.isEmpty()
+            if met:
+                done = self._verify(docs, pairs, f"round-{turn}")
+                checked = done if checked is None else checked.unionByName(done)
+                near = checked.where(F.col("common") * DEN >= F.col("joint") * NUM)
+                labels = connected(near.select(F.col("b").alias("u"), F.col("a").alias("v")), scratch, f"label-{turn}")
             scratch.drop(f"open-{turn}")
-            near = checked.where(F.col("common") * DEN >= F.col("joint") * NUM)
-            labels = connected(near.select(F.col("b").alias("u"), F.col("a").alias("v")), scratch, f"label-{turn}")
             turn += 1
-            if turn == 3:  # all pairs across components have been met: merging components opens no new ones
-                break
+            if turn == 2:
+                live = self._apart(starred, labels)
+            elif turn > 2:
+                low, high = high, high * WIDER
+                if met and low < most:
+                    live = keep(self._mixed(live, labels, turn, low), f"live-{turn}")
+            if turn > 1:  # where low reaches the largest group of all that are left, every pair across components has been met
+                most = live.agg(F.max("most")).first()[0] or 0
         # the result reads sets, classes and labels; all else can go
-        scratch.drop("sketch", "starred", *(f"{t}-{k}" for t in ("open", "live", "mixed", "shape") for k in range(1, turn + 1)))
+        scratch.drop("sketch", "starred", "shape", "apart", *(f"{t}-{k}" for t in ("live", "mixed") for k in range(1, turn + 1)))
         label = labels.select(F.col("node").alias("rep"), "root")
         shown = ["doc_id", F.col("n").alias("n_shingles"), F.coalesce("root", "rep", "doc_id").alias("component_id")]
         if links:  # joined to classes, not rows, so that a large class is no hot key
@@ -416,11 +427,12 @@ class NgramJaccardJoin:
         scratch.drop("members", "blocks", "links-need", "links-sets")
         return size.join(similar, "rep", "left").select("rep", (F.col("weight") - 1 + F.coalesce("links", F.lit(0))).alias("n_links"))
 
-    def _mixed(self, starred: DataFrame, labels: DataFrame, turn: int) -> DataFrame:
-        """Members of signature groups that still hold several components, with their component."""
+    def _mixed(self, groups: DataFrame, labels: DataFrame, turn: int, low: int = 0) -> DataFrame:
+        """Members of signature groups that still hold several components, with their component; with ``low`` only of groups in which rings go on beyond it."""
         of = labels.select(F.col("node").alias("doc"), F.col("root").alias("comp"))
-        held = starred.join(of, "doc", "left").withColumn("comp", F.coalesce("comp", "doc"))
-        mixed = held.groupBy("sig").agg(F.min("comp").alias("lo"), F.max("comp").alias("hi")).where("lo < hi").select("sig")
+        held = groups.drop("comp").join(of, "doc", "left").withColumn("comp", F.coalesce("comp", "doc"))
+        reach = F.max("most") if low else F.lit(1)
+        mixed = held.groupBy("sig").agg(F.min("comp").alias("lo"), F.max("comp").alias("hi"), reach.alias("reach")).where(f"lo < hi and reach > {low}").select("sig")
         return held.join(self.scratch.keep(mixed, f"mixed-{turn}"), "sig")
 
     def _leader_pairs(self, starred: DataFrame, labels: DataFrame, checked: DataFrame, sketch: DataFrame) -> DataFrame:
@@ -431,20 +443,40 @@ class NgramJaccardJoin:
         pairs = live.where(F.coalesce("lead_comp", "lead") != F.col("comp")).select(F.col("lead").alias("a"), F.col("doc").alias("b"))
         return pairs.join(checked.select("a", "b"), ["a", "b"], "left_anti")
 
-    def _cross_pairs(self, starred: DataFrame, labels: DataFrame, checked: DataFrame, sketch: DataFrame, turn: int) -> DataFrame:
-        """All pairs of a group across components: those outside its main component against every member, in blocks."""
-        live = self.scratch.keep(self._mixed(starred, labels, turn).select("sig", "doc", "comp"), f"live-{turn}")
+    def _apart(self, starred: DataFrame, labels: DataFrame) -> DataFrame:
+        """Members of groups of several components; ``most``, the size of its largest such group, is null for a group's main component.
+
+        Later merges may give a group another main component.  ``most`` and the
+        group's size ``m`` stay, so that rings go on where they were.
+        """
+        live = self.scratch.keep(self._mixed(starred, labels, 2).select("sig", "doc", "comp"), "apart")
         by_comp = live.groupBy("sig", "comp").agg(F.count("*").alias("k"))
         shape = by_comp.groupBy("sig").agg(F.max_by("comp", F.struct("k", "comp")).alias("main"), F.sum("k").alias("m"))
-        shape = self.scratch.keep(shape, f"shape-{turn}")
-        live = live.join(shape, "sig").join(sketch.drop("wide"), "doc").withColumn("blocks", F.ceil(F.col("m") / CHUNK).cast("int"))
-        cell = F.pmod(F.xxhash64("doc"), F.col("blocks")).cast("int")
-        every = F.explode(F.sequence(F.lit(0), F.col("blocks") - 1))
-        names = ["doc", "comp", "n", *LONGS]
-        x = live.where("comp <> main").withColumn("i", cell).withColumn("j", every).select("sig", "i", "j", F.struct(*names).alias("x"))
-        y = live.withColumn("j", cell).withColumn("i", every).select("sig", "i", "j", F.struct(*names).alias("y"))
-        may = (F.col("x.comp") != F.col("y.comp")) & _close(F.col("x"), F.col("y"))
-        pairs = x.join(y, ["sig", "i", "j"]).where(may).select(F.least("x.doc", "y.doc").alias("a"), F.greatest("x.doc", "y.doc").alias("b")).distinct()
+        live = live.join(self.scratch.keep(shape, "shape"), "sig")
+        most = live.where("comp <> main").groupBy("doc").agg(F.max("m").alias("most"))
+        live = live.join(most, "doc", "left").withColumn("most", F.when(F.col("comp") != F.col("main"), F.col("most")))
+        return self.scratch.keep(live.select("sig", "doc", "comp", "m", "most"), "live-2")
+
+    def _cross_pairs(self, live: DataFrame, checked: DataFrame, sketch: DataFrame, low: int, high: int) -> DataFrame:
+        """Pairs of a group across components that lie in one ring.
+
+        All sets have a place on a circle.  A set outside a group's main
+        component meets those members to which the way on is a share of the
+        circle from ``low / most`` to ``high / most``, the same in all of its groups.
+        """
+        one = 1 << CIRCLE
+        live = live.join(sketch.drop("wide"), "doc").withColumn("at", F.pmod(F.xxhash64("doc"), F.lit(one)))
+        live = live.withColumn("cells", F.ceil(F.col("m") / min(high - low, CHUNK)))
+        start, end = F.expr(f"{low * one}L div most"), F.least(F.expr(f"{high * one - 1}L div most"), F.lit(one - 1))
+        start, end = (F.shiftright((F.col("at") + x) * F.col("cells"), CIRCLE) for x in (start, end))
+        every = F.explode(F.sequence(start, F.least(end, start + F.col("cells") - 1)))
+        names = ["doc", "comp", "n", "at", *LONGS]
+        x = live.where(F.col("most") > low).select("sig", "cells", F.struct("most", *names).alias("x"), every.alias("cell"))
+        x = x.select("sig", F.pmod("cell", "cells").alias("cell"), "x")
+        y = live.select("sig", F.shiftright(F.col("at") * F.col("cells"), CIRCLE).alias("cell"), F.struct(*names).alias("y"))
+        way = F.pmod(F.col("y.at") - F.col("x.at"), F.lit(one)) * F.col("x.most")
+        may = (F.col("x.comp") != F.col("y.comp")) & (way >= low * one) & (way < high * one) & _close(F.col("x"), F.col("y"))
+        pairs = x.join(y, ["sig", "cell"]).where(may).select(F.least("x.doc", "y.doc").alias("a"), F.greatest("x.doc", "y.doc").alias("b")).distinct()
         return pairs.join(checked.select("a", "b"), ["a", "b"], "left_anti")
 
 

@@ -108,6 +108,22 @@ def test_a_passage_that_many_different_texts_share(spark):
     assert {(r.doc_id, r.component_id) for r in found.collect()} == {(i, i - 5000 if i >= 5000 else i) for i, _, _ in rows}
 
 
+
+@pytest.mark.parametrize("rings", [(J.MEET, J.WIDER, J.CHUNK), (2, 6, 5)])
+def test_a_large_group_of_near_copies_lists_few_pairs(spark, monkeypatch, rings):
+    for name, value in zip(("MEET", "WIDER", "CHUNK"), rings, strict=True):
+        monkeypatch.setattr(J, name, value)
+    rng = random.Random(11)
+    base = [f"w{i}" for i in range(300)]
+    # those of the least ids lead most groups and are similar to few; the others are similar to each other
+    rows = [(i, " ".join(edited(rng, base, 8 if i < 80 else 3)), "x") for i in range(800)]
+    tried, verify = [], J.NgramJaccardJoin._verify
+    monkeypatch.setattr(J.NgramJaccardJoin, "_verify", lambda self, docs, pairs, tag: tried.append(pairs.count()) or verify(self, docs, pairs, tag))
+    found = J.NgramJaccardJoin(spark).run(spark.createDataFrame(rows, SCHEMA).repartition(3))
+    assert {tuple(r) for r in found.select("doc_id", "n_shingles", "component_id").collect()} == brute(rows)
+    assert len(tried) > 2 and sum(tried[2:]) <= 10 * len(rows), tried  # all open pairs are 100 times as many as rows
+
+
 def brute_links(rows):
     sets = {i: shingles(t) for i, t, _ in rows if i is not None}
     near = lambda a, b: sets[a] and sets[b] and 100 * len(sets[a] & sets[b]) >= 80 * len(sets[a] | sets[b])
